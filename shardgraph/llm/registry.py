@@ -1,10 +1,15 @@
 """Queries and oracle SQL of the corpus operators."""
 
-from shardgraph.llm import line_dedup, mixing
+from shardgraph.llm import licenses, line_dedup, mixing, packing
 
 
 def queries():
-    return {"op4_line_dedup": line_dedup.query, "op6_source_mixing": mixing.query}
+    return {
+        "op2_packing": packing.query,
+        "op4_line_dedup": line_dedup.query,
+        "op6_source_mixing": mixing.query,
+        "op8_license_scan": licenses.query,
+    }
 
 
 def oracle_sql():
