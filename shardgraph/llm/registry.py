@@ -1,6 +1,6 @@
 """Queries and oracle SQL of the corpus operators."""
 
-from shardgraph.llm import licenses, line_dedup, mixing, packing
+from shardgraph.llm import fingerprints, licenses, line_dedup, mixing, packing
 
 
 def queries():
@@ -8,6 +8,7 @@ def queries():
         "op2_packing": packing.query,
         "op4_line_dedup": line_dedup.query,
         "op6_source_mixing": mixing.query,
+        "op7_document_fingerprints": fingerprints.query,
         "op8_license_scan": licenses.query,
     }
 
