@@ -128,8 +128,8 @@ def _tokenised(docs: DataFrame, path: str, window: int) -> DataFrame:
         words, end = word_ids(path), np.array([END_ID], "<u4").tobytes()
         for b in batches:
             out: list[tuple] = []
-            for doc, row, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
-                ids = words.packed(text) + end
+            for doc, row, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
+                ids = words.packed(text.as_py()) + end
                 n = len(ids) // 4
                 out += [(doc, row, s, min(window, n - s), zlib.crc32(ids[4 * s : 4 * (s + window)]), n) for s in range(0, n, window)]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True) if out else [[]] * 6, (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64()), strict=True)], names=["doc_id", "_row", "start", "length", "crc", "doc_tokens"])

@@ -3,11 +3,18 @@
 from __future__ import annotations
 
 import os
+import unicodedata
 
 import numpy as np
 
 #: Words that a worker remembers at most.
-REMEMBERED = 400_000
+REMEMBERED = 150_000
+
+
+def byte_letters() -> dict[int, str]:
+    """The letter that stands for each byte in byte-level vocabularies: printable Latin-1 for itself, others from U+0100 on."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    return {b: chr(b) for b in plain} | {b: chr(256 + k) for k, b in enumerate(x for x in range(256) if x not in plain)}
 
 
 def default_vocabulary() -> str:
@@ -29,12 +36,16 @@ class WordIds(dict):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
+        self.model, self.letters = self.tokenizer.model, byte_letters()
 
     def __missing__(self, word: str) -> bytes:
         if word.isascii() and "<" not in word and word != (low := word.lower()):
             found = self[low]
         elif word[-1:] in (".", ",") and "a" <= word[-2:-1] <= "ɏ" and word[-2].isalpha():
             found = self[word[:-1]] + self[word[-1]]  # a letter and a mark never share a token
+        elif word.isalpha() and max(word) <= "ɏ" and (low := word.lower()).isalpha() and unicodedata.is_normalized("NFC", low):
+            # letters only are one pre-token: the merges alone are left to do
+            found = np.array([t.id for t in self.model.tokenize(low.encode().decode("latin-1").translate(self.letters))], "<u4").tobytes()
         else:
             found = np.array(self.tokenizer.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
         self[word] = found
