@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from shardgraph.llm.common import SPACE, ascii_lower
+from shardgraph.llm.common import SPACE, ascii_lower, saved
 
 MIN_CHARS, MIN_DOCS = 40, 5
 
@@ -20,9 +20,10 @@ def shared_lines(docs: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MI
     """(lines, shared): every long line's place and 128-bit key, and the keys in min_docs documents or more with the last of these."""
     split = _rows(docs).select("doc_id", "_row", F.posexplode(F.split("_text", "\n")).alias("_pos", "_line"))
     keyed = split.select("doc_id", "_row", "_pos", ascii_lower(F.btrim("_line", F.lit(SPACE))).alias("_key")).where(F.length("_key") >= min_chars)
-    lines = keyed.select("doc_id", "_row", "_pos", F.xxhash64("_key").alias("_h"), F.xxhash64(F.lit(1), "_key").alias("_g"))
+    lines = saved(keyed.select("doc_id", "_row", "_pos", F.xxhash64("_key").alias("_h"), F.xxhash64(F.lit(1), "_key").alias("_g")), "lines")
     each = lines.groupBy("_h", "_g", "doc_id").agg(F.lit(1).alias("_one"))
-    return lines, each.groupBy("_h", "_g").agg(F.count("*").alias("_docs"), F.max("doc_id").alias("_last")).where(F.col("_docs") >= min_docs)
+    counted = each.groupBy("_h", "_g").agg(F.count("*").alias("_docs"), F.max("doc_id").alias("_last"))
+    return lines, saved(counted.where(F.col("_docs") >= min_docs), "shared-lines")
 
 
 def dedup_lines(docs: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN_DOCS) -> DataFrame:
@@ -32,6 +33,7 @@ def dedup_lines(docs: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN
     Rows that repeat are cleaned alike; a document whose lines all go keeps an empty text. Columns
     of docs stay, whatever their names.
 
+    Line keys and shared keys are written tables, so texts are split once and AQE can split a hot key's join.
     The lines go to their key's counter without text and a shared line's places come back to its
     document, so a text moves once; dropped places cut the line array into runs that are sliced.
     """
