@@ -23,7 +23,7 @@ def shared_lines(docs: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MI
     lines = saved(keyed.select("doc_id", "_row", "_pos", F.xxhash64("_key").alias("_h"), F.xxhash64(F.lit(1), "_key").alias("_g")), "lines")
     each = lines.groupBy("_h", "_g", "doc_id").agg(F.lit(1).alias("_one"))
     counted = each.groupBy("_h", "_g").agg(F.count("*").alias("_docs"), F.max("doc_id").alias("_last"))
-    return lines, saved(counted.where(F.col("_docs") >= min_docs), "shared-lines")
+    return lines, saved(counted.where(F.col("_docs") >= min_docs), "shared-lines", few=True)
 
 
 def dedup_lines(docs: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN_DOCS) -> DataFrame:

@@ -49,7 +49,7 @@ def mix(docs: DataFrame) -> DataFrame:
     t = docs.withColumn("_size", F.coalesce(F.regexp_count("text", F.lit(WORD)).cast("bigint"), F.lit(0)))
     sized = saved(t.select("doc_id", "source", "_size"), "mix-sizes")
     by = sized.groupBy("source").agg(F.sum("_size").alias("size"))
-    src = saved(with_index(by, [F.col("source").asc_nulls_last()], "_i").select("source", "size", (F.col("_i") % 3 + 1).alias("weight")), "mix-sources")
+    src = saved(with_index(by, [F.col("source").asc_nulls_last()], "_i").select("source", "size", (F.col("_i") % 3 + 1).alias("weight")), "mix-sources", few=True)
     total = src.agg(F.sum("size")).first()[0] or 0
     level = water_level(src, total)
     target = F.least(F.lit(MAX_RATE) * F.col("size").cast("double"), F.lit(level) * F.col("weight"))
@@ -61,7 +61,7 @@ def mix(docs: DataFrame) -> DataFrame:
     sums = drawn.groupBy("_source").agg(F.first("_target").alias("t"), F.first(F.col("_times") * F.col("_source_size")).alias("base"), *(F.coalesce(F.sum(F.when(draw(F.col("doc_id"), k) < F.col("_part"), F.col("_size"))), F.lit(0)).alias(f"s{k}") for k in range(SEEDS)))
     off = F.array(*(F.abs(F.col("base") + F.col(f"s{k}") - F.col("t")) for k in range(SEEDS)))
     seeds = sums.select("_source", (F.array_position(off, F.array_min(off)) - 1).alias("_seed"))
-    chosen = saved(rates.join(seeds.withColumnRenamed("_source", "_s"), F.col("_source").eqNullSafe(F.col("_s"))).drop("_s"), "mix-rates")
+    chosen = saved(rates.join(seeds.withColumnRenamed("_source", "_s"), F.col("_source").eqNullSafe(F.col("_s"))).drop("_s"), "mix-rates", few=True)
     u = F.coalesce(*(F.when(F.col("_seed") == k, draw(F.col("doc_id"), k)) for k in range(SEEDS)))
     out = t.join(chosen, same).withColumn("_copies", (F.col("_times") + F.when(u < F.col("_part"), 1).otherwise(0)).cast("bigint"))
     return out.select(*docs.columns, "_size", "_source_size", "_target", "_copies")

@@ -206,7 +206,7 @@ def pack(docs: DataFrame, path: str | None = None, window: int = WINDOW) -> Data
     placed = ranked.select("doc_id", "_row", "start", "length", "crc", "doc_tokens", "_rank").mapInArrow(place, "doc_id long, _row long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
     if total == 0:
         return placed.drop("_row")
-    placed = saved(placed, "pack-placed")
+    placed = saved(placed, "pack-placed", few=True)
     cut = placed.where("ids_crc32 is null")
     sums = _cut_checksums(docs, cut, path)
     c, s = cut.alias("c"), sums.alias("s")

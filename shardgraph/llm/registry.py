@@ -1,12 +1,14 @@
 """Queries and oracle SQL of the corpus operators."""
 
-from shardgraph.llm import fingerprints, licenses, line_dedup, mixing, packing
+from shardgraph.llm import embeddings, fingerprints, licenses, line_dedup, mixing, packing, simhash
 
 
 def queries():
     return {
+        "op1_embedding_dedup": embeddings.query,
         "op2_packing": packing.query,
         "op4_line_dedup": line_dedup.query,
+        "op5_simhash_dedup": simhash.query,
         "op6_source_mixing": mixing.query,
         "op7_document_fingerprints": fingerprints.query,
         "op8_license_scan": licenses.query,
@@ -14,4 +16,4 @@ def queries():
 
 
 def oracle_sql():
-    return {"op4_line_dedup": line_dedup.ORACLE, "op6_source_mixing": mixing.ORACLE}
+    return {"op1_embedding_dedup": embeddings.ORACLE, "op4_line_dedup": line_dedup.ORACLE, "op6_source_mixing": mixing.ORACLE}
