@@ -4,11 +4,11 @@ from __future__ import annotations
 
 import os
 import unicodedata
-
-import numpy as np
+from array import array
+from itertools import islice
 
 #: Words that a worker remembers at most.
-REMEMBERED = 150_000
+REMEMBERED = 500_000
 
 
 def byte_letters() -> dict[int, str]:
@@ -38,23 +38,32 @@ class WordIds(dict):
         self.tokenizer = Tokenizer.from_file(path)
         self.model, self.letters = self.tokenizer.model, byte_letters()
 
-    def __missing__(self, word: str) -> bytes:
-        if word.isascii() and "<" not in word and word != (low := word.lower()):
-            found = self[low]
-        elif word[-1:] in (".", ",") and "a" <= word[-2:-1] <= "ɏ" and word[-2].isalpha():
-            found = self[word[:-1]] + self[word[-1]]  # a letter and a mark never share a token
+    def look_up(self, word: str) -> bytes:
+        """The ids of a word that isn't remembered; words of letters only are one pre-token, so only merges are left to do."""
+        if word.isascii():
+            if word.isalpha():
+                low = word.lower()
+                return (low != word and self.get(low)) or array("I", [t.id for t in self.model.tokenize(low)]).tobytes()
         elif word.isalpha() and max(word) <= "ɏ" and (low := word.lower()).isalpha() and unicodedata.is_normalized("NFC", low):
-            # letters only are one pre-token: the merges alone are left to do
-            found = np.array([t.id for t in self.model.tokenize(low.encode().decode("latin-1").translate(self.letters))], "<u4").tobytes()
-        else:
-            found = np.array(self.tokenizer.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
-        self[word] = found
+            return (low != word and self.get(low)) or array("I", [t.id for t in self.model.tokenize(low.encode().decode("latin-1").translate(self.letters))]).tobytes()
+        if word[-1:] in (".", ",") and "A" <= word[-2:-1] <= "ɏ" and word[-2].isalpha():  # a letter and a mark never share a token
+            return self[word[:-1]] + self[word[-1]]
+        return array("I", self.tokenizer.encode(word, add_special_tokens=False).ids).tobytes()
+
+    def __missing__(self, word: str) -> bytes:
+        self[word] = found = self.look_up(word)
         return found
 
     def packed(self, text: str) -> bytes:
-        if len(self) > REMEMBERED:
+        if len(self) > REMEMBERED:  # words met first are the frequent ones
+            kept = dict(islice(self.items(), REMEMBERED // 3))
             self.clear()
-        return b"".join(map(self.__getitem__, text.replace("\n", " ").split(" ")))
+            self.update(kept)
+        words = text.replace("\n", " ").split(" ")
+        found = list(map(self.get, words))
+        if None in found:
+            found = [self[w] if x is None else x for w, x in zip(words, found, strict=True)]
+        return b"".join(found)
 
 
 _LOADED: dict[str, WordIds] = {}
