@@ -1,17 +1,19 @@
 """Queries and oracle SQL of the corpus operators."""
 
-from shardgraph.llm import embeddings, fingerprints, licenses, line_dedup, mixing, packing, simhash
+from shardgraph.llm import embeddings, fingerprints, licenses, line_dedup, mixing, packing, quality, simhash, toxicity
 
 
 def queries():
     return {
         "op1_embedding_dedup": embeddings.query,
         "op2_packing": packing.query,
+        "op3_toxicity": toxicity.query,
         "op4_line_dedup": line_dedup.query,
         "op5_simhash_dedup": simhash.query,
         "op6_source_mixing": mixing.query,
         "op7_document_fingerprints": fingerprints.query,
         "op8_license_scan": licenses.query,
+        "op9_quality_classifier": quality.query,
     }
 
 
