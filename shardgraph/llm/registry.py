@@ -1,6 +1,6 @@
 """Queries and oracle SQL of the corpus operators."""
 
-from shardgraph.llm import embeddings, fingerprints, licenses, line_dedup, mixing, packing, quality, simhash, toxicity
+from shardgraph.llm import embeddings, fingerprints, language_model, licenses, line_dedup, mixing, packing, quality, simhash, toxicity
 
 
 def queries():
@@ -14,6 +14,7 @@ def queries():
         "op7_document_fingerprints": fingerprints.query,
         "op8_license_scan": licenses.query,
         "op9_quality_classifier": quality.query,
+        "op10_lm_scoring": language_model.query,
     }
 
 
