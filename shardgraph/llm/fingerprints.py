@@ -22,9 +22,11 @@ SPAN, SLOTS, CHUNK = 12, 64, 1 << 18
 
 def _mod(x: np.ndarray) -> np.ndarray:
     """x modulo PRIME for x below 2^62, by folding."""
-    x = (x & np.uint64(PRIME)) + (x >> np.uint64(31))
-    x = (x & np.uint64(PRIME)) + (x >> np.uint64(31))
-    return np.where(x >= PRIME, x - np.uint64(PRIME), x)
+    for _ in range(2):
+        high = x >> np.uint64(31)
+        x = x & np.uint64(PRIME)
+        x += high
+    return np.subtract(x, np.uint64(PRIME), out=x, where=x >= PRIME)
 
 
 def _powers(base: int, n: int) -> np.ndarray:
@@ -58,17 +60,17 @@ def points(text: str) -> np.ndarray:
 class Prefixes:
     """Prefix hashes of a text: any span's hash, span equality, and common extensions by binary search."""
 
-    def __init__(self, codes: np.ndarray):
+    def __init__(self, codes: np.ndarray, bases: int = len(BASES)):
         self.n, self.sums = len(codes), []
-        for p in _POWERS:
+        for p in _POWERS[:bases]:
             p.need(self.n + 1)
             part = np.cumsum(_mod((codes + np.uint64(1)) * p.up[: self.n]), dtype=np.uint64)  # each below 2^31: no overflow below 2^33 code points
             self.sums.append(np.concatenate([np.zeros(1, np.uint64), _mod(part)]))
 
     def spans(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-        """62-bit hashes of the spans [start, end), which don't depend on where they stand."""
+        """Hashes of the spans [start, end), 31 bits for each base, which don't depend on where they stand."""
         out = None
-        for p, s in zip(_POWERS, self.sums, strict=True):
+        for p, s in zip(_POWERS, self.sums, strict=False):
             h = _mod(_mod(s[end] + np.uint64(PRIME) - s[start]) * p.down[start])
             out = h if out is None else (out << np.uint64(31)) | h
         return out
@@ -114,14 +116,15 @@ class Sketch:
 
     def _add(self, codes: np.ndarray) -> None:
         both = np.concatenate([self.tail, codes])
-        p, kept = Prefixes(both), len(self.tail)
-        if len(both) >= self.span:
-            at = np.arange(len(both) - self.span + 1)
-            h = p.spans(at, at + self.span)
-            _slots(h, self.least)
+        p, kept, n = Prefixes(both, 1), len(self.tail), len(both)  # minima do with one base, the whole takes both
+        if n >= self.span:
+            at = np.arange(n - self.span + 1)
+            _slots(p.spans(at, at + self.span), self.least)
+        other = _POWERS[1]
+        other.need(len(codes) + 1)
+        own = (p.span(kept, n), int(_mod((codes + np.uint64(1)) * other.up[: len(codes)]).sum(dtype=np.uint64)))
         for k, base in enumerate(BASES):
-            own = p.spans(np.array([kept]), np.array([len(both)]))[0] >> np.uint64(31 * (1 - k)) & np.uint64(PRIME)
-            self.whole[k] = (self.whole[k] + int(own) * pow(base, self.n, PRIME)) % PRIME
+            self.whole[k] = (self.whole[k] + own[k] * pow(base, self.n, PRIME)) % PRIME
         self.n += len(codes)
         self.tail = both[max(0, len(both) - self.span + 1) :]
 
@@ -182,7 +185,9 @@ class _Held:
         head = nxt[: self.cut]
         self.start.add(points(head))
         other = self.start.text()
-        shared = len(self.keep) + common_extension(Prefixes(points(self.last)), 0, Prefixes(points(head)), 0)
+        shared = len(self.keep)
+        if self.last[:1] == head[:1]:
+            shared += common_extension(Prefixes(points(self.last)), 0, Prefixes(points(head)), 0)
         sha = hashlib.sha256((self.keep + head).encode("utf-8", "surrogatepass")).hexdigest()
         return self.doc, len(self.text), sha, self.print, other, likeness(self.print, other), likeness(self.print, next_print), shared
 
