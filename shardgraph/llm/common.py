@@ -164,10 +164,10 @@ def whole_runs(batches: Iterator[pa.RecordBatch], keys: int = 3) -> Iterator[tup
 
 
 class Links:
-    """Sets of linked positions (union by least position)."""
+    """Sets of linked positions (union by least position), and the links that joined two of them."""
 
     def __init__(self, n: int):
-        self.up = np.arange(n)
+        self.up, self.made = np.arange(n), []
 
     def find(self, i: int) -> int:
         while self.up[i] != i:
@@ -180,6 +180,7 @@ class Links:
             x, y = self.find(i), self.find(j)
             if x != y:
                 self.up[max(x, y)] = min(x, y)
+                self.made.append((i, j))
 
     def roots(self) -> np.ndarray:
         up = self.up

@@ -3,6 +3,12 @@
 from shardgraph.llm import embeddings, fingerprints, language_model, licenses, line_dedup, mixing, packing, quality, simhash, toxicity
 
 
+def _pipeline(spark, sf_dir):
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries():
     return {
         "op1_embedding_dedup": embeddings.query,
@@ -15,6 +21,7 @@ def queries():
         "op8_license_scan": licenses.query,
         "op9_quality_classifier": quality.query,
         "op10_lm_scoring": language_model.query,
+        "pipeline": _pipeline,
     }
 
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -51,12 +52,21 @@ def fingerprints(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
     return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce("text", F.lit("")).cast("binary").alias("text")).mapInArrow(run, "doc_id long, fp long")
 
 
+def distance(fp: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Differing bits between the codes at a and at b; codes are numbers or rows of numbers."""
+    d = np.bitwise_count(fp[a] ^ fp[b])
+    return (d if fp.ndim == 1 else d.sum(-1)).astype(np.int64)
+
+
 def _compare(fp: np.ndarray, a: np.ndarray, b: np.ndarray, links: Links, radius: int) -> None:
-    """Link members of a with members of b within radius, a few thousand at a time."""
-    for k in range(0, len(a), max(1, (1 << 20) // max(1, len(b)))):
-        part = a[k : k + max(1, (1 << 20) // max(1, len(b)))]
-        x, y = np.nonzero(np.bitwise_count(fp[part][:, None] ^ fp[b][None, :]) <= radius)
-        x, y = part[x], b[y]
+    """Link members of a with members of b within radius, nearest first, some at a time."""
+    step = max(1, (1 << 20) // max(1, len(b) * fp[:1].size))
+    for k in range(0, len(a), step):
+        part = a[k : k + step]
+        d = distance(fp, part[:, None], b[None, :])
+        x, y = np.nonzero(d <= radius)
+        order = np.argsort(d[x, y], kind="stable")
+        x, y = part[x[order]], b[y[order]]
         new = links.up[x] != links.up[y]
         links.join(x[new], y[new])
 
@@ -78,7 +88,7 @@ def tree_join(fp: np.ndarray, a: np.ndarray, b: np.ndarray | None, links: Links,
             _compare(fp, a, a if b is None else b, links, radius)
             continue
         v = a[len(a) // 2]
-        da = np.bitwise_count(fp[a] ^ fp[v]).astype(np.int64)
+        da = distance(fp, a, v)
         if b is None:
             near = da <= radius
             links.join(a[near], np.full(int(near.sum()), v))
@@ -95,7 +105,7 @@ def tree_join(fp: np.ndarray, a: np.ndarray, b: np.ndarray | None, links: Links,
             if not near[low].all():
                 todo.append((a[low], None))
             continue
-        db = np.bitwise_count(fp[b] ^ fp[v]).astype(np.int64)
+        db = distance(fp, b, v)
         cut = int(np.median(da))
         al, ah = da <= cut, da > cut
         parts = [(a[al], b[db <= cut + radius]), (a[ah], b[db > cut - radius])]
@@ -161,6 +171,108 @@ def near_groups(docs: DataFrame, radius: int = RADIUS, shingle: int = SHINGLE) -
     return prints.join(groups, "fp").select("doc_id", "fp", "component_id")
 
 
+#: Long codes for a similarity below what three of 64 bits can tell: 64-bit words of a code, bits in a band, bands, deviations of slack.
+WORDS, BAND_BITS, BANDS, SLACK = 8, 12, 40, 2.0
+
+
+def long_code(text: bytes, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """(code, shingle hashes): majority bits over WORDS independent hashes of each distinct shingle."""
+    from xxhash import xxh64_intdigest
+
+    words = text.lower().split()
+    hashes = np.fromiter({xxh64_intdigest(b" ".join(words[k : k + shingle])) for k in range(max(1, len(words) - shingle + 1))} if words else (), np.uint64)
+    ones = np.zeros(64 * WORDS, np.int64)
+    for at in range(0, len(hashes), 1 << 11):
+        h = hashes[at : at + (1 << 11), None] ^ _SALTS
+        h = (h ^ h >> np.uint64(30)) * np.uint64(0xBF58476D1CE4E5B9)
+        h = (h ^ h >> np.uint64(27)) * np.uint64(0x94D049BB133111EB)
+        h ^= h >> np.uint64(31)
+        ones += np.unpackbits(h.view(np.uint8), axis=1).sum(0, dtype=np.int32)
+    return np.packbits(2 * ones > len(hashes)).view(np.uint64), hashes
+
+
+_SALTS = np.random.default_rng(SEED).integers(0, 1 << 63, WORDS, dtype=np.uint64)
+
+
+def code_radius(similarity: float) -> int:
+    """Differing bits up to which codes may stand for sets of this similarity.
+
+    Sets of equal size with Jaccard similarity s have cosine 2s / (1 + s); a bit differs with
+    probability angle / pi, and SLACK standard deviations of their sum are added.
+    """
+    n, p = 64 * WORDS, np.arccos(2 * similarity / (1 + similarity)) / np.pi
+    return int(n * p + SLACK * np.sqrt(n * p * (1 - p)))
+
+
+def _code_search(batches: Iterator[pa.RecordBatch], radius: int) -> Iterator[pa.RecordBatch]:
+    """Links (a, b) that join each bucket's groups of codes within radius, nearest first."""
+    for size, part in whole_runs(batches):
+        size_of = np.repeat(size, size)
+        part, size = part.filter(pa.array(size_of > 1)), size[size > 1]
+        node = part.column(3).to_numpy()
+        fp = np.frombuffer(b"".join(part.column(4).to_pylist()), np.uint64).reshape(-1, WORDS)
+        links = Links(len(node))
+        for s, n in zip((np.cumsum(size) - size).tolist(), size.tolist(), strict=True):
+            tree_join(fp, np.arange(s, s + n), None, links, radius)
+        made = np.array(links.made, np.int64).reshape(-1, 2)
+        yield pa.RecordBatch.from_arrays([pa.array(node[made[:, 0]]), pa.array(node[made[:, 1]])], names=["a", "b"])
+
+
+def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+    """(_id, _h, _group): rows' ids and text hashes with the node of their group of near copies.
+
+    Texts link at this Jaccard similarity of their distinct shingles (lower-cased A-Z; fewer words
+    than a shingle: the whole; none: all alike). Equal texts are one node. Bands of a long SimHash
+    code deal nodes to buckets, vantage-point trees join codes inside each, and the links that
+    join groups there, the nearest first, are held against the shingles themselves.
+    At the threshold itself the bands meet in 99.7 % of pairs and the radius holds 97 %; nearer pairs are surer.
+    """
+
+    def code(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            codes = [long_code(t.as_py(), shingle)[0] for t in b.column(1)]
+            keys = []
+            for c in codes:
+                bits = np.unpackbits(c.view(np.uint8))[: BAND_BITS * BANDS].reshape(BANDS, BAND_BITS)
+                keys.append(bits @ (1 << np.arange(BAND_BITS)) + (np.arange(BANDS) << BAND_BITS))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array(keys, pa.list_(pa.int64()))], names=["node", "code", "keys"])
+
+    text = F.coalesce("text", F.lit(""))
+    rows = docs.select(F.col("doc_id").cast("bigint").alias("_id"), F.xxhash64(text).alias("_h"), text.cast("binary").alias("_text"))
+    coded = saved(rows.select(F.col("_h").alias("node"), "_text").mapInArrow(code, "node long, code binary, keys array<long>"), "sim-codes")
+    nodes = coded.dropDuplicates(["node"])
+    same = nodes.groupBy("code").agg(F.min("node").alias("lead"))  # equal codes meet their least node only
+    led = saved(nodes.join(same, "code").select("node", "lead", F.when(F.col("node") == F.col("lead"), F.struct("code", "keys")).alias("own")), "sim-led", few=True)
+    dealt = led.where("own is not null").select(F.explode("own.keys").alias("_key"), "node", F.col("own.code").alias("code"))
+    met = in_blocks(dealt, "_key", F.xxhash64("node"), BLOCK).select("_key", "_lo", "_hi", "node", "code").mapInArrow(lambda it: _code_search(it, code_radius(similarity)), "a long, b long")
+    alike = led.where("node <> lead").select(F.col("node").alias("a"), F.col("lead").alias("b"))
+    edges = saved(met.unionByName(alike).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "sim-candidates", few=True)
+
+    @F.pandas_udf("array<long>")
+    def shingles(texts: pd.Series) -> pd.Series:
+        return pd.Series([long_code(t, shingle)[1].view(np.int64) for t in texts])
+
+    asked = edges.select(F.col("a").alias("_h")).union(edges.select("b")).distinct()
+    sets = saved(rows.join(asked, "_h", "left_semi").dropDuplicates(["_h"]).select("_h", shingles("_text").alias("_set")), "sim-sets")
+    both = edges.join(sets.select(F.col("_h").alias("a"), F.col("_set").alias("_x")), "a").join(sets.select(F.col("_h").alias("b"), F.col("_set").alias("_y")), "b")
+    shared = F.size(F.array_intersect("_x", "_y"))
+    near = F.when((F.size("_x") == 0) & (F.size("_y") == 0), 1.0).otherwise(shared / (F.size("_x") + F.size("_y") - shared)) >= similarity
+    roots = saved(components(both.where(near).select("a", "b")), "sim-roots", few=True).select(F.col("id").alias("_h"), F.col("root").alias("_group"))
+    return rows.drop("_text").join(roots, "_h", "left").withColumn("_group", F.coalesce("_group", "_h"))
+
+
+def keep_one(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+    """docs without near copies: of each group the row with the least doc_id stays (null last, then by text hash), once."""
+    groups = saved(similar_groups(docs, shingle, similarity), "sim-groups")
+    first = groups.groupBy("_group").agg(F.min(F.struct(F.col("_id").isNull().alias("n"), F.col("_id").alias("i"), F.col("_h").alias("h"))).alias("_f"))
+    stay = saved(first.select(F.col("_f.i").alias("_i"), F.col("_f.h").alias("_k")), "sim-stay", few=True)
+    hashed = F.xxhash64(F.coalesce("text", F.lit("")))
+    kept = docs.join(stay, docs["doc_id"].cast("bigint").eqNullSafe(stay["_i"]) & (hashed == stay["_k"]), "left_semi")
+    if groups.groupBy("_id", "_h").agg(F.count("*").alias("n")).where("n > 1").isEmpty():
+        return kept
+    return kept.withColumn("_k", hashed).dropDuplicates(["doc_id", "_k"]).select(*docs.columns)
+
+
 def hex_digits(c):
     return F.lower(F.lpad(F.hex(c), 16, "0"))
 
