@@ -1 +1,54 @@
-"""The corpus pipeline."""
+"""The corpus pipeline: quality, shared lines, near copies, source weights, packing.
+
+Each stage takes (spark, docs, sf_dir) and returns a DataFrame; its result is written as Parquet and
+read again as the next one's docs. All stages but the last return the columns of documents.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from shardgraph.llm import line_dedup, mixing, packing, quality, simhash
+from shardgraph.llm.common import saved
+
+#: Words in a shingle where the pipeline looks for near copies, and the similarity from which texts are near.
+SHINGLE, SIMILARITY = 5, 0.8
+
+
+def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality classifier rejects go."""
+    return quality.classify(docs).where("_keep").select(*docs.columns)
+
+
+def drop_shared_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Lines that many documents share stay in one of them; n_chars follows."""
+    out = line_dedup.dedup_lines(docs).select(*docs.columns)
+    return out.withColumn("n_chars", F.length("text").cast("bigint")) if "n_chars" in docs.columns else out
+
+
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each group of near copies the document with the least id stays."""
+    return simhash.keep_one(docs, SHINGLE, SIMILARITY)
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents come as often as their source's target weight asks for."""
+    return mixing.mixed(docs)
+
+
+def pack_windows(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts as token pieces in full windows."""
+    return packing.pack(docs)
+
+
+STAGES = [("quality_classifier", keep_good), ("line_dedup", drop_shared_lines), ("simhash_dedup", drop_near_copies), ("source_mixing", mix_sources), ("packing", pack_windows)]
+#: The classifier and the packing plan have no SQL form; tests hold each stage against a brute-force version.
+ORACLE_SQL = None
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for name, stage in STAGES:
+        docs = saved(stage(spark, docs, sf_dir), name)
+    return docs
