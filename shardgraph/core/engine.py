@@ -136,7 +136,7 @@ def run_kernel(sg: ShardedGraph, csr: DataFrame, program: VertexProgram | ArrowP
                         yield pa.RecordBatch.from_arrays([pa.array([lo]), pa.array([np.ascontiguousarray(new).tobytes()], pa.binary())], names=["lo", "new"])
 
             new = old.copy()
-            for r in csr.mapInArrow(step, "lo long, new binary").toLocalIterator():
+            for r in csr.mapInArrow(step, "lo long, new binary").collect():  # one array of at most KERNEL_ROWS values, by shard
                 part = np.frombuffer(r["new"], old.dtype)
                 new[r["lo"] : r["lo"] + len(part)] = part
             sent.destroy()

@@ -191,7 +191,7 @@ def test_builders_have_dense_ids(spark, data):
         n = g.vertices.count()
         row = g.edges.selectExpr("min(src)", "max(src)", "min(dst)", "max(dst)").first()
         assert row[0] is None or (min(row[0], row[2]) >= 0 and max(row[1], row[3]) < n), name
-    want = {"part_next": (200, 4276), "word_next": (22646, 56904), "event_chain": (1000, 985), "user_next": (15, 207), "cust_part": (350, 5382), "supp_part": (210, 1905), "page_link": (328, 279)}
+    want = {"part_next": (200, 4276), "word_next": (22646, 56904), "event_chain": (1000, 985), "user_next": (15, 207), "cust_part": (350, 5382), "supp_part": (210, 1905), "page_link": (329, 279)}
     for name, (v, e) in want.items():
         g = graphs.BUILDERS[name](spark, data)
         assert (g.vertices.count(), g.edges.count()) == (v, e), name
