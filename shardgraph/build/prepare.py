@@ -165,6 +165,7 @@ def prepare(g: Graph, threshold: int | None = None, path: str | None = None, pol
     vinfo = deg.withColumn("shard_id", interval_of(F.col("id"), [b[1] for b in bounds]))
     write_meta(path, g, n, m, bounds, vinfo)
     sharded = _edges(spark, path)
+    to_csr(sharded, bounds).write.parquet(f"{path}/csr")
     sharded.select("shard_id", "src").distinct().write.parquet(f"{path}/mirror")
     if filters:
         build_filters(spark.read.parquet(f"{path}/mirror")).write.parquet(f"{path}/filters")
@@ -187,7 +188,7 @@ def open_sharded(spark: SparkSession, path: str, g: Graph | None = None) -> Shar
         filters = spark.read.parquet(f"{path}/filters")
     except Exception:  # noqa: BLE001  written only on demand
         filters = None
-    return ShardedGraph(g, p["num_vertices"], p["num_edges"], bounds, edges, vinfo, spark.read.parquet(f"{path}/mirror"), filters, path)
+    return ShardedGraph(g, p["num_vertices"], p["num_edges"], bounds, edges, vinfo, spark.read.parquet(f"{path}/mirror"), filters, spark.read.parquet(f"{path}/csr"), path)
 
 
 def graph_stats(g: Graph) -> DataFrame:

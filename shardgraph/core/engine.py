@@ -70,9 +70,7 @@ def run(sg: ShardedGraph, program: VertexProgram, opts: EngineOptions = EngineOp
     broadcast = opts.value_mode == "broadcast" or opts.value_mode == "auto" and sg.n <= opts.broadcast_rows
     cache = None
     if opts.cache is not None:
-        from shardgraph.build.prepare import to_csr
-
-        cache = EdgeCache(to_csr(sg.edges, sg.bounds), opts.cache_bytes, opts.cache)
+        cache = EdgeCache(sg.csr, opts.cache_bytes, opts.cache)
     gens = Generations(spark, f"state-{program.name}")
     state, active = gens.keep(start(sg.vinfo, program, sg.n))
     edges_in = {b[0]: b[3] for b in sg.bounds}
@@ -101,7 +99,7 @@ def run(sg: ShardedGraph, program: VertexProgram, opts: EngineOptions = EngineOp
 KERNEL_ROWS = 1 << 24
 
 
-def run_kernel(sg: ShardedGraph, csr: DataFrame, program: VertexProgram | ArrowProgram, opts: EngineOptions = EngineOptions()) -> Result:
+def run_kernel(sg: ShardedGraph, program: VertexProgram | ArrowProgram, opts: EngineOptions = EngineOptions()) -> Result:
     """The same rounds over CSR shards with vertex arrays in memory: each worker writes the values of its own shards only.
 
     For graphs whose vertex arrays fit, checked against KERNEL_ROWS; larger ones take run().
@@ -118,7 +116,7 @@ def run_kernel(sg: ShardedGraph, csr: DataFrame, program: VertexProgram | ArrowP
     active = int(np.count_nonzero(first.column("active").to_numpy()))
     update: Callable = program.update if isinstance(program, ArrowProgram) else program.kernel
     n, ledger, rounds = sg.n, [], 0
-    csr = csr.persist()
+    csr = sg.csr.persist()
     edges_in = sum(b[3] for b in sg.bounds)
     try:
         while active and rounds < opts.max_iter:

@@ -107,7 +107,7 @@ class ShardedGraph:
     """A prepared graph: shards of in-edges by destination interval, with what each application needs.
 
     edges(shard_id, src, dst, weight) partitioned by shard_id; intervals(shard_id, lo, hi, edges);
-    vinfo(id, shard_id, in_deg, out_deg); mirror(shard_id, src); filters(shard_id, m, k, words).
+    vinfo(id, shard_id, in_deg, out_deg); mirror(shard_id, src); filters(shard_id, m, k, words); csr, one row a shard.
     bounds is the intervals on the driver: one row a shard.
     """
 
@@ -119,6 +119,7 @@ class ShardedGraph:
     vinfo: DataFrame
     mirror: DataFrame
     filters: DataFrame | None
+    csr: DataFrame
     path: str
 
     @property

@@ -36,7 +36,7 @@ def sharded(spark: SparkSession, sf: str, name: str, symmetric: bool = False) ->
 
 def _csr(spark: SparkSession, sf: str, name: str, symmetric: bool = False) -> tuple[ShardedGraph, DataFrame]:
     sg = sharded(spark, sf, name, symmetric)
-    return sg, prepare.to_csr(sg.edges, sg.bounds)
+    return sg, sg.csr
 
 
 def _rounded(df: DataFrame) -> DataFrame:
@@ -49,8 +49,7 @@ def _run(model: str, app: str, sg: ShardedGraph, rounds: int, **opts) -> engine.
 
 
 def _kernel(spark, sf, name, program, rounds, symmetric=False) -> DataFrame:
-    sg, csr = _csr(spark, sf, name, symmetric)
-    return engine.run_kernel(sg, csr, program, EngineOptions(max_iter=rounds)).values
+    return engine.run_kernel(sharded(spark, sf, name, symmetric), program, EngineOptions(max_iter=rounds)).values
 
 
 def _cuts(spark, sf, g):
@@ -108,8 +107,7 @@ def _ledger(spark, sf, model):
 
 def _activity(spark, sf, g):
     """Vertices that each round of unit-weight distances changes."""
-    sg, csr = _csr(spark, sf, g)
-    r = engine.run_kernel(sg, csr, programs.bfs(0), EngineOptions(max_iter=1000))
+    r = engine.run_kernel(sharded(spark, sf, g), programs.bfs(0), EngineOptions(max_iter=1000))
     rows = [(x["iter"], x["active"]) for x in r.ledger]
     return spark.createDataFrame(rows, "iter int, active long")
 

@@ -108,13 +108,11 @@ def test_components_and_kernels(spark, sharded):
     for model in ("pull_window", "bsp_push"):
         got = values(run_model(model, sym, programs.components(), EngineOptions(max_iter=20)))
         assert [got[i] for i in range(7)] == want
-    csr = prepare.to_csr(sym.edges, sym.bounds)
-    got = values(engine.run_kernel(sym, csr, programs.components(), EngineOptions(max_iter=20)))
+    got = values(engine.run_kernel(sym, programs.components(), EngineOptions(max_iter=20)))
     assert [got[i] for i in range(7)] == want
-    csr = prepare.to_csr(sharded.edges, sharded.bounds)
-    pr = values(engine.run_kernel(sharded, csr, programs.pagerank(), EngineOptions(max_iter=10)))
+    pr = values(engine.run_kernel(sharded, programs.pagerank(), EngineOptions(max_iter=10)))
     assert [pr[i] for i in range(7)] == pytest.approx(ref_pagerank(EDGES, 7, 10), abs=1e-12)
-    d = values(engine.run_kernel(sharded, csr, programs.sssp((0,)), EngineOptions(max_iter=10)))
+    d = values(engine.run_kernel(sharded, programs.sssp((0,)), EngineOptions(max_iter=10)))
     assert [d[i] for i in range(7)] == ref_sssp(EDGES, 7)
 
 
