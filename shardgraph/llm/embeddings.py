@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -20,11 +19,15 @@ BITS, BANDS, SEED = 16, 32, 20
 BLOCK = 20_000
 
 
-@cache
+_ROTATIONS: dict[tuple[int, int], np.ndarray] = {}
+
+
 def rotation(dim: int, k: int) -> np.ndarray:
     """The k-th random rotation of dim dimensions (rows are its directions)."""
-    q, r = np.linalg.qr(np.random.default_rng([SEED, dim, k]).standard_normal((dim, dim)))
-    return (q * np.sign(np.diag(r))).T.astype(np.float32)
+    if (dim, k) not in _ROTATIONS:
+        q, r = np.linalg.qr(np.random.default_rng([SEED, dim, k]).standard_normal((dim, dim)))
+        _ROTATIONS[dim, k] = (q * np.sign(np.diag(r))).T.astype(np.float32)
+    return _ROTATIONS[dim, k]
 
 
 def encode(units: np.ndarray, k: int = 0) -> tuple[np.ndarray, np.ndarray]:
