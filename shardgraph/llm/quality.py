@@ -23,14 +23,24 @@ LABELLERS = {
 
 def shape(word: str) -> str:
     """The word with runs of capitals, small letters and digits written as one A, a or 0, and repeats of other marks as one."""
+    if word.isalpha():
+        if word.islower():
+            return "a"
+        if word[0].isupper() and word[1:].islower():
+            return "Aa"
+    elif len(word) > 1 and word[:-1].isalpha() and not word[-1].isalnum():
+        return shape(word[:-1]) + word[-1]
     return "".join(k for k, _ in groupby("A" if c.isupper() else "a" if c.isalpha() else "0" if c.isdigit() else c for c in word))
 
 
 def describe(word: str) -> tuple:
-    """(shape's hash, capitals, shout, symbol tail, lone symbol) of a word."""
-    alnum = any(map(str.isalnum, word))
-    tail = len(word) > 3 and word[-1] == word[-2] == word[-3] and not word[-1].isalnum()
-    return zlib.crc32(shape(word).encode("utf-8", "surrogatepass")) % (DIMS - 64), len(word) > 1 and word.isupper(), word.endswith("!!"), tail, not alnum
+    """(shape's hash, capitals, shout, symbol tail, lone symbol, letters, length) of a word."""
+    n = len(word)
+    code = zlib.crc32(shape(word).encode("utf-8", "surrogatepass")) % (DIMS - 64)
+    if word.isalpha():
+        return code, n > 1 and word.isupper(), False, False, False, n, n
+    tail = n > 3 and word[-1] == word[-2] == word[-3] and not word[-1].isalnum()
+    return code, n > 1 and word.isupper(), word.endswith("!!"), tail, not any(map(str.isalnum, word)), sum(map(str.isalpha, word)), n
 
 
 _TABLE: list[WordTable] = []
@@ -39,27 +49,22 @@ _TABLE: list[WordTable] = []
 def _read(text: str) -> tuple[np.ndarray, np.ndarray]:
     """(shape hashes, measures) of a text; a text without words has none of the first."""
     if not _TABLE:
-        _TABLE.append(WordTable(5, describe))
+        _TABLE.append(WordTable(7, describe))
     table, words = _TABLE[0], text.split()
     n = len(words)
     if not n:
         return np.zeros(0, np.int64), np.full(len(LABELLERS), np.nan)
     at = table.look_up(words)
     rows = table.rows[at]
-    caps, shouts, tails, lone = rows[:, 1:].mean(0)
+    caps, shouts, tails, lone, letters, inked = rows[:, 1:].mean(0)
     repeats = (at[1:] == at[:-1]).sum() / n
     sameness = 1 - len(set(words)) / n if n >= 50 else np.nan  # too few words to tell
     lines = text.split("\n")
     line_repeats = 1 - len(set(lines)) / len(lines) if len(lines) >= 4 else np.nan
-    inked = sum(map(len, words))
-    off = (inked - sum(map(str.isalpha, "".join(words)))) / inked if inked < 4096 else 1 - len(_letters(words)) / inked
+    off = 1 - letters / inked
     return rows[:, 0].astype(np.int64), np.array([repeats, caps, shouts, tails, lone, sameness, off, line_repeats])
 
 
-def _letters(words: list[str]) -> list[str]:
-    return list(filter(str.isalpha, "".join(words)))
-
-
 _BOUNDS = np.array(list(LABELLERS.values()))
 
 

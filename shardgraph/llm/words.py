@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from itertools import islice
 
 import numpy as np
 from pyspark.sql import Column, DataFrame
@@ -10,7 +11,7 @@ from pyspark.sql import functions as F
 
 
 class WordTable:
-    """Word to place, and a row of numbers for each place; cleared when it grows beyond `most` words."""
+    """Word to place, and a row of numbers for each place; beyond `most` words only those met first, the frequent ones, stay."""
 
     def __init__(self, width: int, describe: Callable[[str], tuple], most: int = 300_000):
         self.places: dict[str, int] = {}
@@ -19,7 +20,7 @@ class WordTable:
     def look_up(self, words: list[str]) -> np.ndarray:
         """The places of words; their rows are self.rows[places]."""
         if len(self.places) > self.most:
-            self.places.clear()
+            self.places = dict(islice(self.places.items(), self.most // 3))
         found = list(map(self.places.get, words))
         if None in found:
             for k, x in enumerate(found):
