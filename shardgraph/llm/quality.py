@@ -10,6 +10,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from shardgraph.llm.common import saved
 from shardgraph.llm.words import WordTable, sampled
 
 #: Documents that the linear scorer is trained on at most, hashed features, and the least score of a kept document.
@@ -134,34 +135,40 @@ def fit_scorer(rows: list[tuple[np.ndarray, np.ndarray]], good: np.ndarray, roun
     return w
 
 
+def _logistic(z: float) -> float:
+    return float(1 / (1 + np.exp(-np.clip(z, -40, 40))))
+
+
 def score(text: str | None, w: np.ndarray) -> float:
     at, x = features(*_read(text or ""))
-    return float(1 / (1 + np.exp(-np.clip(w[at] @ x + w[-1], -40, 40))))
+    return _logistic(w[at] @ x.astype(np.float32).astype(np.float64) + w[-1])
 
 
-def fit(docs: DataFrame, most: int = SAMPLE) -> np.ndarray:
-    """The scorer's weights: votes are counted over all documents, the scorer learns from a bounded sample of them."""
+def read_features(docs: DataFrame) -> DataFrame:
+    """(doc_id, p, at, x): each text's vote pattern and hashed features, written once: about a tenth of the text."""
 
-    @F.pandas_udf("int")
-    def vote(text: pd.Series) -> pd.Series:
-        return pd.Series([pattern(_read(t or "")[1]) for t in text], dtype="int32")
-
-    @F.pandas_udf("struct<p: int, at: array<int>, x: array<double>>")
+    @F.pandas_udf("struct<p: int, at: array<int>, x: array<float>>")
     def read(text: pd.Series) -> pd.DataFrame:
         out = []
         for t in text:
             shapes, measures = _read(t or "")
             at, x = features(shapes, measures)
-            out.append((pattern(measures), at.astype(np.int32), x))
+            out.append((pattern(measures), at.astype(np.int32), x.astype(np.float32)))
         return pd.DataFrame(out, columns=["p", "at", "x"])
 
-    seen = docs.select(vote("text").alias("p")).groupBy("p").agg(F.count("*").alias("n")).collect()  # 3^8 patterns at most
+    return saved(docs.select("doc_id", read("text").alias("f")).select("doc_id", "f.p", "f.at", "f.x"), "quality-features")
+
+
+def fit(read: DataFrame, most: int = SAMPLE) -> np.ndarray:
+    """The scorer's weights from read_features: votes of all documents count, the scorer learns from a bounded sample."""
+    seen = read.groupBy("p").agg(F.count("*").alias("n")).collect()  # 3^8 patterns at most
     if not seen:
         return np.zeros(DIMS + 1)
     patterns, counts = np.array([r["p"] for r in seen]), np.array([float(r["n"]) for r in seen])
     bad = dict(zip(patterns.tolist(), fit_votes(patterns, counts)[0].tolist(), strict=True))
-    chosen = docs.join(F.broadcast(sampled(docs, most)), "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    rows = chosen.select("doc_id", read("text").alias("f")).orderBy("doc_id").select("f.*").collect()  # `most` at most
+    chosen = read.join(F.broadcast(sampled(read.select("doc_id"), most)), "doc_id", "left_semi")
+    one = chosen.groupBy("doc_id").agg(F.min(F.struct("p", "at", "x")).alias("f"))
+    rows = one.orderBy("doc_id").select("f.*").collect()  # `most` at most
     return fit_scorer([(np.array(r["at"], np.int64), np.array(r["x"])) for r in rows], np.array([1 - bad[r["p"]] for r in rows]))
 
 
@@ -173,7 +180,7 @@ def classify(docs: DataFrame, keep: float = KEEP, most: int = SAMPLE) -> DataFra
     count as often as they come and are scored alike; an empty table gives no rows. Columns of docs
     stay, whatever their names.
     """
-    w = fit(docs.select("doc_id", "text"), most)
+    w = fit(read_features(docs.select("doc_id", "text")), most)
 
     @F.pandas_udf("double")
     def rate(text: pd.Series) -> pd.Series:
@@ -183,5 +190,12 @@ def classify(docs: DataFrame, keep: float = KEEP, most: int = SAMPLE) -> DataFra
 
 
 def query(spark, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    return classify(docs).select("doc_id", F.col("_score").alias("score"), F.col("_keep").alias("keep"))
+    """Scores from the written features: each text is read once."""
+    read = read_features(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
+    w = fit(read)
+
+    @F.pandas_udf("double")
+    def rate(at: pd.Series, x: pd.Series) -> pd.Series:
+        return pd.Series([_logistic(w[a] @ np.asarray(v, np.float64) + w[-1]) for a, v in zip(at, x, strict=True)], dtype="float64")
+
+    return read.select("doc_id", rate("at", "x").alias("score")).withColumn("keep", F.col("score") >= KEEP)

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from itertools import islice
+from itertools import islice, repeat
 
 import numpy as np
 from pyspark.sql import Column, DataFrame
@@ -21,19 +21,17 @@ class WordTable:
         """The places of words; their rows are self.rows[places]."""
         if len(self.places) > self.most:
             self.places = dict(islice(self.places.items(), self.most // 3))
-        found = list(map(self.places.get, words))
-        if None in found:
-            for k, x in enumerate(found):
-                if x is None:
-                    w = words[k]
-                    at = self.places.get(w)
-                    if at is None:
-                        at = self.places[w] = len(self.places)
-                        if at >= len(self.rows):
-                            self.rows = np.concatenate([self.rows, np.zeros_like(self.rows)])
-                        self.rows[at] = self.describe(w)
-                    found[k] = at
-        return np.array(found, np.int64)
+        found = np.fromiter(map(self.places.get, words, repeat(-1)), np.int64, len(words))
+        for k in np.flatnonzero(found < 0).tolist():
+            w = words[k]
+            at = self.places.get(w)
+            if at is None:
+                at = self.places[w] = len(self.places)
+                if at >= len(self.rows):
+                    self.rows = np.concatenate([self.rows, np.zeros_like(self.rows)])
+                self.rows[at] = self.describe(w)
+            found[k] = at
+        return found
 
 
 def sampled(ids: DataFrame, most: int) -> DataFrame:

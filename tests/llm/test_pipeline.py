@@ -42,7 +42,7 @@ def test_each_stage_against_brute_force(spark, data, tmp_path):
     assert all(out.columns == docs.columns for name, (_, out) in seen.items() if name != "packing")
 
     before, after = seen["quality_classifier"]
-    w = quality.fit(before.select("doc_id", "text"))
+    w = quality.fit(quality.read_features(before))
     assert {r.doc_id for r in after.collect()} == {r.doc_id for r in before.collect() if quality.score(r.text, w) >= quality.KEEP}
 
     before, after = seen["line_dedup"]

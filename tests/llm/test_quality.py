@@ -27,7 +27,7 @@ def test_whole_table_against_labels(spark):
 
 def test_query_equals_scoring_each_text(spark, data):
     docs = spark.read.parquet(f"{data}/documents.parquet")
-    w = quality.fit(docs.select("doc_id", "text"))
+    w = quality.fit(quality.read_features(docs))
     want = {r.doc_id: quality.score(r.text, w) for r in docs.collect()}
     got = {r.doc_id: r.score for r in quality.query(spark, data).collect()}
     assert got.keys() == want.keys() and all(abs(got[i] - want[i]) < 1e-9 for i in want)
