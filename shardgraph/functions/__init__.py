@@ -8,6 +8,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 
 def dot(a: Column, b: Column) -> Column:
@@ -37,19 +38,19 @@ def as_text(array: Column) -> Column:
     return F.concat_ws(",", F.transform(array, lambda x: x.cast("string")))
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(LongType())
 def words_in(text: pd.Series) -> pd.Series:
     """Words by white space: an Arrow-batched scalar function."""
     return text.fillna("").str.split().str.len()
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(LongType())
 def mode_least(values: pd.Series) -> int:
     """The commonest value, the least of equals: a grouped aggregate."""
     return int(values.mode().min())
 
 
-@F.udtf(returnType="dst long, src long")
+@F.udtf(returnType=StructType([StructField("dst", LongType()), StructField("src", LongType())]))
 class CsrRows:
     """Table function: the edges of one CSR shard."""
 

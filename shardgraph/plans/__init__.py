@@ -24,7 +24,8 @@ def read_columns(df: DataFrame) -> list[str]:
 
 
 def pushed(df: DataFrame) -> list[str]:
-    return [x for m in re.findall(r"PushedFilters: \[([^\]]*)\]", text(df)) for x in re.findall(r"\w+\([^)]*\)", m)]
+    """Filters that reach the files; Spark shortens long lists, so the last one may be cut off."""
+    return [x for m in re.findall(r"PushedFilters: \[([^\]]*)", text(df)) for x in re.findall(r"\w+\([^),]*", m)]
 
 
 def partition_filters(df: DataFrame) -> bool:
