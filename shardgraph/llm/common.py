@@ -114,6 +114,16 @@ def components(edges: DataFrame, max_rounds: int = 200) -> DataFrame:
     return whole.unionByName(roots)
 
 
+def packed(df: DataFrame) -> DataFrame:
+    """df as one column _d, so that no name of its columns can meet a name of ours."""
+    return df.select(F.struct(*(F.col(f"`{c}`") for c in df.columns)).alias("_d"))
+
+
+def own(df: DataFrame, but: tuple[str, ...] = ()) -> list[Column]:
+    """df's columns out of packed(df), without those named."""
+    return [F.col(f"_d.`{c}`").alias(c) for c in df.columns if c not in but]
+
+
 def in_blocks(df: DataFrame, key: str, row_hash: Column, block: int) -> DataFrame:
     """df dealt and sorted by (key, _lo, _hi), with _own: rows of a key up to `block` stay together, as block 0 with 0.
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from shardgraph.llm.common import SPACE, ascii_lower, saved
+from shardgraph.llm.common import SPACE, ascii_lower, packed, saved
 
 MIN_CHARS, MIN_DOCS = 40, 5
 
@@ -30,8 +30,8 @@ def dedup_lines(docs: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN
     """docs with text cleaned, plus _n_lines and _n_dropped.
 
     A null or empty text is one empty line. A null doc_id counts as one document before all others.
-    Rows that repeat are cleaned alike; a document whose lines all go keeps an empty text. Columns
-    of docs stay, whatever their names.
+    Rows that repeat are cleaned alike; a document whose lines all go keeps an empty text; an empty
+    table gives no rows. Columns of docs stay, whatever their names, but for one named as an added one.
 
     Line keys and shared keys are written tables, so texts are split once and AQE can split a hot key's join.
     The lines go to their key's counter without text and a shared line's places come back to its
@@ -40,14 +40,14 @@ def dedup_lines(docs: DataFrame, min_chars: int = MIN_CHARS, min_docs: int = MIN
     lines, shared = shared_lines(docs, min_chars, min_docs)
     out = lines.join(shared, ["_h", "_g"]).where(~F.col("doc_id").eqNullSafe(F.col("_last")))
     drops = out.groupBy(F.col("doc_id").alias("_id"), F.col("_row").alias("_r")).agg(F.sort_array(F.collect_set("_pos")).alias("_drops"))
-    text = F.coalesce("text", F.lit(""))
-    both = docs.join(drops, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.xxhash64(text) == F.col("_r")), "left")
+    text = F.coalesce("_d.text", F.lit(""))
+    both = packed(docs).join(drops, F.col("_d.doc_id").eqNullSafe(F.col("_id")) & (F.xxhash64(text) == F.col("_r")), "left")
     parts = F.split(text, "\n")
     cuts = F.concat(F.array(F.lit(-1)), F.col("_drops"), F.array(F.size(parts)))
     runs = F.transform(F.sequence(F.lit(0), F.size("_drops")), lambda i: F.slice(F.col("_parts"), F.col("_cuts")[i] + 2, F.col("_cuts")[i + 1] - F.col("_cuts")[i] - 1))
-    both = both.withColumn("_parts", parts).withColumn("_cuts", cuts)
     clean = F.when(F.col("_drops").isNull(), text).otherwise(F.array_join(F.flatten(runs), "\n"))
-    return both.select(*(clean.alias(c) if c == "text" else F.col(c) for c in docs.columns), F.size("_parts").cast("bigint").alias("_n_lines"), F.coalesce(F.size("_drops"), F.lit(0)).cast("bigint").alias("_n_dropped"))
+    columns = [clean.alias("text") if c == "text" else F.col(f"_d.`{c}`").alias(c) for c in docs.columns if c not in ("_n_lines", "_n_dropped")]
+    return both.withColumns({"_parts": parts, "_cuts": cuts}).select(*columns, F.size("_parts").cast("bigint").alias("_n_lines"), F.coalesce(F.size("_drops"), F.lit(0)).cast("bigint").alias("_n_dropped"))
 
 
 def query(spark, sf_dir: str) -> DataFrame:

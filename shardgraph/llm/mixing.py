@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from shardgraph.llm.common import saved, with_index
+from shardgraph.llm.common import own, packed, saved, with_index
 
 WORD = r"[^\x20\x09-\x0D]+"
 #: How often a source may repeat at most, and how many hash seeds a source chooses from.
@@ -44,10 +44,10 @@ def mix(docs: DataFrame) -> DataFrame:
     floor(rate) times and once more if its draw is below the fraction. Each source uses the seed, of
     SEEDS, whose total is nearest its target (ties: the least seed), so small sources come near too.
     Null texts have no words; a null doc_id draws as one id; equal rows draw alike; an empty table
-    gives no rows. Columns of docs stay, whatever their names.
+    gives no rows. Columns of docs stay, whatever their names, but for one named as an added one.
     """
-    t = docs.withColumn("_size", F.coalesce(F.regexp_count("text", F.lit(WORD)).cast("bigint"), F.lit(0)))
-    sized = saved(t.select("doc_id", "source", "_size"), "mix-sizes")
+    t = packed(docs).withColumn("_size", F.coalesce(F.regexp_count("_d.text", F.lit(WORD)).cast("bigint"), F.lit(0)))
+    sized = saved(t.select("_d.doc_id", "_d.source", "_size"), "mix-sizes")
     by = sized.groupBy("source").agg(F.sum("_size").alias("size"))
     src = saved(with_index(by, [F.col("source").asc_nulls_last()], "_i").select("source", "size", (F.col("_i") % 3 + 1).alias("weight")), "mix-sources", few=True)
     total = src.agg(F.sum("size")).first()[0] or 0
@@ -62,15 +62,17 @@ def mix(docs: DataFrame) -> DataFrame:
     off = F.array(*(F.abs(F.col("base") + F.col(f"s{k}") - F.col("t")) for k in range(SEEDS)))
     seeds = sums.select("_source", (F.array_position(off, F.array_min(off)) - 1).alias("_seed"))
     chosen = saved(rates.join(seeds.withColumnRenamed("_source", "_s"), F.col("_source").eqNullSafe(F.col("_s"))).drop("_s"), "mix-rates", few=True)
-    u = F.coalesce(*(F.when(F.col("_seed") == k, draw(F.col("doc_id"), k)) for k in range(SEEDS)))
-    out = t.join(chosen, same).withColumn("_copies", (F.col("_times") + F.when(u < F.col("_part"), 1).otherwise(0)).cast("bigint"))
-    return out.select(*docs.columns, "_size", "_source_size", "_target", "_copies")
+    u = F.coalesce(*(F.when(F.col("_seed") == k, draw(F.col("_d.doc_id"), k)) for k in range(SEEDS)))
+    out = t.join(chosen, F.col("_d.source").eqNullSafe(F.col("_source"))).withColumn("_copies", (F.col("_times") + F.when(u < F.col("_part"), 1).otherwise(0)).cast("bigint"))
+    added = ("_size", "_source_size", "_target", "_copies")
+    return out.select(*own(docs, added), *added)
 
 
 def mixed(docs: DataFrame) -> DataFrame:
     """The documents of the mix themselves, each as often as it is taken."""
     n = docs.columns
-    return mix(docs).where("_copies > 0").select(*n, F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int"))).alias("_copy")).select(*n)
+    taken = mix(packed(docs).select("_d.doc_id", "_d.text", "_d.source", "_d")).where("_copies > 0")
+    return taken.select("_d", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int"))).alias("_copy")).select(*own(docs)).select(*n)
 
 
 def query(spark, sf_dir: str) -> DataFrame:

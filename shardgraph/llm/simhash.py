@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from shardgraph.llm.common import Links, components, in_blocks, saved, whole_runs
+from shardgraph.llm.common import Links, components, in_blocks, own, packed, saved, whole_runs
 
 #: Words in a shingle, differing bits that still link, and the hash seed.
 SHINGLE, RADIUS, SEED = 3, 3, 42
@@ -266,11 +266,11 @@ def keep_one(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -> Data
     groups = saved(similar_groups(docs, shingle, similarity), "sim-groups")
     first = groups.groupBy("_group").agg(F.min(F.struct(F.col("_id").isNull().alias("n"), F.col("_id").alias("i"), F.col("_h").alias("h"))).alias("_f"))
     stay = saved(first.select(F.col("_f.i").alias("_i"), F.col("_f.h").alias("_k")), "sim-stay", few=True)
-    hashed = F.xxhash64(F.coalesce("text", F.lit("")))
-    kept = docs.join(stay, docs["doc_id"].cast("bigint").eqNullSafe(stay["_i"]) & (hashed == stay["_k"]), "left_semi")
-    if groups.groupBy("_id", "_h").agg(F.count("*").alias("n")).where("n > 1").isEmpty():
-        return kept
-    return kept.withColumn("_k", hashed).dropDuplicates(["doc_id", "_k"]).select(*docs.columns)
+    hashed = F.xxhash64(F.coalesce("_d.text", F.lit("")))
+    kept = packed(docs).join(stay, F.col("_d.doc_id").cast("bigint").eqNullSafe(F.col("_i")) & (hashed == F.col("_k")), "left_semi")
+    if not groups.groupBy("_id", "_h").agg(F.count("*").alias("n")).where("n > 1").isEmpty():
+        kept = kept.withColumns({"_i": F.col("_d.doc_id"), "_k": hashed}).dropDuplicates(["_i", "_k"])
+    return kept.select(*own(docs))
 
 
 def hex_digits(c):
