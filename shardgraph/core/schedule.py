@@ -8,6 +8,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+#: Tests of an id against a filter that a round may take.
+PROBES = 1 << 20
+
+
 def positions(src: Column, m: Column, k: int) -> Column:
     """k bit positions of an id in a filter of m bits."""
     return F.array(*(F.pmod(F.xxhash64(src, F.lit(i)), m) for i in range(k)))
@@ -50,8 +54,12 @@ def edges_of_active(edges: DataFrame, active: DataFrame) -> DataFrame:
 
 
 def pick(sg, schedule: str, threshold: float, active: DataFrame, ratio: float) -> list[int] | None:
-    """Shard ids to visit (P at most), or None for all: filters are asked only at or below the threshold."""
+    """Shard ids to visit (P at most), or None for all: filters are asked only at or below the threshold.
+
+    Probing tests every active id against every filter; beyond PROBES tests the exact index, one semi-join, is asked instead.
+    """
     if schedule in ("all", "vertex") or schedule == "selective" and ratio > threshold:
         return None
-    found = active_shards_exact(sg.mirror, active) if schedule == "exact" else active_shards_bloom(sg.filters, active)
+    few = ratio * sg.n * sg.shards <= PROBES
+    found = active_shards_bloom(sg.filters, active) if schedule == "selective" and few else active_shards_exact(sg.mirror, active)
     return sorted(r["shard_id"] for r in found.collect())
