@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 import zlib
+from collections.abc import Iterator
 from itertools import groupby
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -57,7 +59,7 @@ def _read(text: str) -> tuple[np.ndarray, np.ndarray]:
         return np.zeros(0, np.int64), np.full(len(LABELLERS), np.nan)
     at = table.look_up(words)
     rows = table.rows[at]
-    caps, shouts, tails, lone, letters, inked = rows[:, 1:].mean(0)
+    caps, shouts, tails, lone, letters, inked = rows[:, 1:].mean(0, dtype=np.float64)
     repeats = (at[1:] == at[:-1]).sum() / n
     sameness = 1 - len(set(words)) / n if n >= 50 else np.nan  # too few words to tell
     lines = text.split("\n")
@@ -147,16 +149,20 @@ def score(text: str | None, w: np.ndarray) -> float:
 def read_features(docs: DataFrame) -> DataFrame:
     """(doc_id, p, at, x): each text's vote pattern and hashed features, written once: about a tenth of the text."""
 
-    @F.pandas_udf("struct<p: int, at: array<int>, x: array<float>>")
-    def read(text: pd.Series) -> pd.DataFrame:
-        out = []
-        for t in text:
-            shapes, measures = _read(t or "")
-            at, x = features(shapes, measures)
-            out.append((pattern(measures), at.astype(np.int32), x.astype(np.float32)))
-        return pd.DataFrame(out, columns=["p", "at", "x"])
-
-    return saved(docs.select("doc_id", read("text").alias("f")).select("doc_id", "f.p", "f.at", "f.x"), "quality-features")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for k in range(0, whole.num_rows, 500):
+                b, ps, ats, xs = whole.slice(k, 500), [], [], []
+                for t in b.column(1):
+                    shapes, measures = _read(t.as_py() or "")
+                    at, x = features(shapes, measures)
+                    ps.append(pattern(measures))
+                    ats.append(at.astype(np.int32))
+                    xs.append(x.astype(np.float32))
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(ps, pa.int32()), pa.array(ats, pa.list_(pa.int32())), pa.array(xs, pa.list_(pa.float32()))], names=["doc_id", "p", "at", "x"])
+
+    own = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
+    return saved(own.mapInArrow(run, "doc_id long, p int, at array<int>, x array<float>"), "quality-features")
 
 
 def fit(read: DataFrame, most: int = SAMPLE) -> np.ndarray:

@@ -8,7 +8,7 @@ from array import array
 from itertools import islice
 
 #: Words that a worker remembers at most.
-REMEMBERED = 500_000
+REMEMBERED = 200_000
 
 
 def byte_letters() -> dict[int, str]:

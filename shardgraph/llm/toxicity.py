@@ -66,7 +66,7 @@ class Reader:
             return np.zeros(len(FEATURES))
         at = self.table.look_up(words)
         rows = self.table.rows[at]
-        total = rows.sum(0)
+        total = rows.sum(0, dtype=np.float64)
         hint = rows[:, 0] > 0
         hit = np.flatnonzero(rows[:, 0] >= np.log(LEAST_ODDS))
         you = np.flatnonzero(rows[:, 2] > 0)

@@ -13,9 +13,9 @@ from pyspark.sql import functions as F
 class WordTable:
     """Word to place, and a row of numbers for each place; beyond `most` words only those met first, the frequent ones, stay."""
 
-    def __init__(self, width: int, describe: Callable[[str], tuple], most: int = 300_000):
+    def __init__(self, width: int, describe: Callable[[str], tuple], most: int = 100_000):
         self.places: dict[str, int] = {}
-        self.describe, self.most, self.rows = describe, most, np.zeros((1024, width))
+        self.describe, self.most, self.rows = describe, most, np.zeros((1024, width), np.float32)
 
     def look_up(self, words: list[str]) -> np.ndarray:
         """The places of words; their rows are self.rows[places]."""
