@@ -145,7 +145,7 @@ def reuse(spark: SparkSession, sf: str, g: str = "part_next") -> DataFrame:
     for app in ("pagerank", "sssp"):
         for m in ("pull_window", "psw"):
             r = run_model(m, sg, program(app), EngineOptions(max_iter=2))
-            rows.append((app, m, sum(x["seconds"] for x in r.ledger if x["phase"] == "load"), sum(x["seconds"] for x in r.ledger if x["phase"] != "load")))
+            rows.append((app, m, *(float(sum(x["seconds"] for x in r.ledger if (x["phase"] == "load") == own)) for own in (True, False))))
     return spark.createDataFrame(rows, "app string, model string, own_preparation double, run double")
 
 
