@@ -182,7 +182,7 @@ def query(spark, sf_dir: str) -> DataFrame:
 
 ORACLE = """
 with recursive sound as (select vec_id, label, embedding::double[] as e from embeddings
-    where label is not null and embedding is not null and len(list_filter(embedding, x -> x is null or not isfinite(x))) = 0 and len(list_filter(embedding, x -> x <> 0)) > 0),
+    where label is not null and embedding is not null and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0 and len(list_filter(embedding, lambda x: x <> 0)) > 0),
 pairs as materialized (select a.vec_id as a, b.vec_id as b from sound a join sound b on a.label = b.label and a.vec_id <> b.vec_id and list_cosine_similarity(a.e, b.e) >= 0.98),
 reach(id, far) as (select a, b from pairs union select r.id, p.b from reach r join pairs p on r.far = p.a),
 least as (select id, min(far) as far from reach group by id),

@@ -61,3 +61,13 @@ def test_edges(spark):
     df = spark.createDataFrame([(*r, 5) for r in rows], "vec_id long, embedding array<double>, label int, node int")
     assert sorted((tuple(r) for r in em.near_vectors(df).collect()), key=str) == brute([r if r[0] not in (15, 16) else (r[0], [1.0] * 8, 2) for r in rows])
     assert em.near_vectors(df.limit(0)).count() == 0
+
+
+def test_query_equals_sql(spark, data):
+    import duckdb
+
+    con = duckdb.connect()
+    con.execute(f"create view embeddings as select * from read_parquet('{data}/embeddings.parquet')")
+    r = con.sql(em.ORACLE)
+    assert r.columns == ["vec_id", "n_links", "component_id", "kept"]
+    assert sorted((tuple(x) for x in em.query(spark, data).collect()), key=str) == sorted(r.fetchall(), key=str)
