@@ -5,7 +5,6 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -171,93 +170,138 @@ def near_groups(docs: DataFrame, radius: int = RADIUS, shingle: int = SHINGLE) -
     return prints.join(groups, "fp").select("doc_id", "fp", "component_id")
 
 
-#: Long codes for a similarity below what three of 64 bits can tell: 64-bit words of a code, bits in a band, bands, deviations of slack.
-WORDS, BAND_BITS, BANDS, SLACK = 8, 12, 40, 2.0
+#: Members of a group of candidates up to which one task holds their shingles; larger groups are dealt in blocks.
+GROUP = 5_000
+#: Texts that tell which shingles are common, and how many of those are known to all tasks. Only speed depends on either.
+SAMPLE, COMMON = 4_000, 100_000
 
 
-def long_code(text: bytes, shingle: int) -> tuple[np.ndarray, np.ndarray]:
-    """(code, shingle hashes): majority bits over WORDS independent hashes of each distinct shingle."""
+def shingle_set(text: bytes, shingle: int) -> np.ndarray:
+    """Hashes of a text's distinct shingles, rising; a text without words has that of the empty one."""
     from xxhash import xxh64_intdigest
 
     words = text.lower().split()
-    hashes = np.fromiter({xxh64_intdigest(b" ".join(words[k : k + shingle])) for k in range(max(1, len(words) - shingle + 1))} if words else (), np.uint64)
-    ones = np.zeros(64 * WORDS, np.int64)
-    for at in range(0, len(hashes), 1 << 11):
-        h = hashes[at : at + (1 << 11), None] ^ _SALTS
-        h = (h ^ h >> np.uint64(30)) * np.uint64(0xBF58476D1CE4E5B9)
-        h = (h ^ h >> np.uint64(27)) * np.uint64(0x94D049BB133111EB)
-        h ^= h >> np.uint64(31)
-        ones += np.unpackbits(h.view(np.uint8), axis=1).sum(0, dtype=np.int32)
-    return np.packbits(2 * ones > len(hashes)).view(np.uint64), hashes
+    return np.unique(np.fromiter((xxh64_intdigest(b" ".join(words[k : k + shingle])) for k in range(max(1, len(words) - shingle + 1))), np.uint64)).view(np.int64)
 
 
-_SALTS = np.random.default_rng(SEED).integers(0, 1 << 63, WORDS, dtype=np.uint64)
+def prefix(members: np.ndarray, common: np.ndarray, rank: np.ndarray, similarity: float) -> np.ndarray:
+    """The members, the rarest first, of which two sets at this Jaccard similarity have at least one in common.
 
+    Such sets share at least `similarity` of the members of either, so leaving out one member fewer than
+    that leaves a shared one in both if all sets are cut in one order: by rank among the common, then by hash.
+    """
+    keep = len(members) - int(np.ceil(similarity * len(members) - 1e-9)) + 1
+    if not len(common):
+        return np.sort(members)[:keep]
+    at = np.minimum(np.searchsorted(common, members), len(common) - 1)
+    return members[np.lexsort((members, np.where(common[at] == members, rank[at], -1)))[:keep]]
 
-def code_radius(similarity: float) -> int:
-    """Differing bits up to which codes may stand for sets of this similarity.
 
-    Sets of equal size with Jaccard similarity s have cosine 2s / (1 + s); a bit differs with
-    probability angle / pi, and SLACK standard deviations of their sum are added.
-    """
-    n, p = 64 * WORDS, np.arccos(2 * similarity / (1 + similarity)) / np.pi
-    return int(n * p + SLACK * np.sqrt(n * p * (1 - p)))
+def _common_shingles(rows: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """(hashes, rising; their ranks by count) of shingles that several texts of a sample hold."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for t in b.column(0):
+                yield pa.RecordBatch.from_arrays([pa.array(shingle_set(t.as_py(), shingle))], names=["s"])
+
+    some = rows.where(F.pmod("_h", F.lit(max(1, rows.count() // SAMPLE))) == 0).dropDuplicates(["_h"]).select("_text")
+    counts = some.mapInArrow(run, "s long").groupBy("s").agg(F.count("*").alias("c")).where("c > 1")
+    top = np.array([(r["s"], r["c"]) for r in counts.orderBy(F.desc("c"), "s").limit(COMMON).collect()], np.int64).reshape(-1, 2)
+    top = top[np.argsort(top[:, 0])]
+    return top[:, 0].copy(), top[:, 1].copy()
+
+
+def _stars(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(a, b): of rows sorted by (shingle, node), the first node of each shingle with every other one."""
+    last, lead = None, None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        s, node = (batch.column(k).to_numpy() for k in range(2))
+        new = np.append(True, s[1:] != s[:-1])
+        new[0] = last is None or s[0] != last
+        run = np.cumsum(new) - 1  # -1: the run of the batch before goes on
+        leads = node[new]
+        first = np.where(run < 0, 0 if lead is None else lead, leads[run] if len(leads) else 0)
+        last, lead = s[-1], first[-1]
+        far = np.flatnonzero(first != node)
+        yield pa.RecordBatch.from_arrays([pa.array(first[far]), pa.array(node[far])], names=["a", "b"])
 
 
-def _code_search(batches: Iterator[pa.RecordBatch], radius: int) -> Iterator[pa.RecordBatch]:
-    """Links (a, b) that join each bucket's groups of codes within radius, nearest first."""
+def link_sets(sets: list[np.ndarray], similarity: float) -> list[tuple[int, int]]:
+    """Pairs at this Jaccard similarity that join all such pairs' groups; each was tested itself.
+
+    Every set meets, through an index of members, all later ones that verified pairs haven't joined it to.
+    """
+    n, size = len(sets), np.array([len(x) for x in sets], np.int64)
+    ids = np.unique(np.concatenate(sets), return_inverse=True)[1]
+    holder = np.repeat(np.arange(n), size)[np.argsort(ids, kind="stable")]
+    start = np.concatenate([[0], np.cumsum(np.bincount(ids))])
+    at = np.concatenate([[0], np.cumsum(size)])
+    group, made, left = np.arange(n), [], n
+    for x in range(n):
+        if left == 1:
+            break
+        own = ids[at[x] : at[x + 1]]
+        many = start[own + 1] - start[own]
+        met = np.repeat(start[own] - np.cumsum(many) + many, many) + np.arange(int(many.sum()))
+        shared = np.bincount(holder[met], minlength=n)
+        for y in (np.flatnonzero(shared[x + 1 :] / (size[x + 1 :] + size[x] - shared[x + 1 :]) >= similarity) + x + 1).tolist():
+            if group[y] != group[x]:
+                group[group == group[y]] = group[x]
+                made.append((x, y))
+                left -= 1
+    return made
+
+
+def _verified(batches: Iterator[pa.RecordBatch], shingle: int, similarity: float) -> Iterator[pa.RecordBatch]:
+    """Links (a, b) inside each group of candidates, or each two blocks of one."""
     for size, part in whole_runs(batches):
-        size_of = np.repeat(size, size)
-        part, size = part.filter(pa.array(size_of > 1)), size[size > 1]
-        node = part.column(3).to_numpy()
-        fp = np.frombuffer(b"".join(part.column(4).to_pylist()), np.uint64).reshape(-1, WORDS)
-        links = Links(len(node))
+        node, texts, a, b = part.column(3).to_numpy(), part.column(4), [], []
         for s, n in zip((np.cumsum(size) - size).tolist(), size.tolist(), strict=True):
-            tree_join(fp, np.arange(s, s + n), None, links, radius)
-        made = np.array(links.made, np.int64).reshape(-1, 2)
-        yield pa.RecordBatch.from_arrays([pa.array(node[made[:, 0]]), pa.array(node[made[:, 1]])], names=["a", "b"])
+            if n > 1:
+                made = np.array(link_sets([shingle_set(texts[k].as_py(), shingle) for k in range(s, s + n)], similarity), np.int64).reshape(-1, 2) + s
+                a.append(node[made[:, 0]])
+                b.append(node[made[:, 1]])
+        if a:
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(a)), pa.array(np.concatenate(b))], names=["a", "b"])
 
 
 def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
     """(_id, _h, _group): rows' ids and text hashes with the node of their group of near copies.
 
     Texts link at this Jaccard similarity of their distinct shingles (lower-cased A-Z; fewer words
-    than a shingle: the whole; none: all alike). Equal texts are one node. Bands of a long SimHash
-    code deal nodes to buckets, vantage-point trees join codes inside each, and the links that
-    join groups there, the nearest first, are held against the shingles themselves.
-    At the threshold itself the bands meet in 99.7 % of pairs and the radius holds 97 %; nearer pairs are surer.
+    than a shingle: the whole; none: all alike). Equal texts are one node. The result is exact: texts
+    that link share a shingle of their prefixes, so groups over shared ones hold every link, and inside
+    each group texts are joined by links only that their whole sets of shingles have proved.
     """
-
-    def code(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            codes = [long_code(t.as_py(), shingle)[0] for t in b.column(1)]
-            keys = []
-            for c in codes:
-                bits = np.unpackbits(c.view(np.uint8))[: BAND_BITS * BANDS].reshape(BANDS, BAND_BITS)
-                keys.append(bits @ (1 << np.arange(BAND_BITS)) + (np.arange(BANDS) << BAND_BITS))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array(keys, pa.list_(pa.int64()))], names=["node", "code", "keys"])
-
     text = F.coalesce("text", F.lit(""))
     rows = docs.select(F.col("doc_id").cast("bigint").alias("_id"), F.xxhash64(text).alias("_h"), text.cast("binary").alias("_text"))
-    coded = saved(rows.select(F.col("_h").alias("node"), "_text").mapInArrow(code, "node long, code binary, keys array<long>"), "sim-codes")
-    nodes = coded.dropDuplicates(["node"])
-    same = nodes.groupBy("code").agg(F.min("node").alias("lead"))  # equal codes meet their least node only
-    led = saved(nodes.join(same, "code").select("node", "lead", F.when(F.col("node") == F.col("lead"), F.struct("code", "keys")).alias("own")), "sim-led", few=True)
-    dealt = led.where("own is not null").select(F.explode("own.keys").alias("_key"), "node", F.col("own.code").alias("code"))
-    met = in_blocks(dealt, "_key", F.xxhash64("node"), BLOCK).select("_key", "_lo", "_hi", "node", "code").mapInArrow(lambda it: _code_search(it, code_radius(similarity)), "a long, b long")
-    alike = led.where("node <> lead").select(F.col("node").alias("a"), F.col("lead").alias("b"))
-    edges = saved(met.unionByName(alike).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "sim-candidates", few=True)
-
-    @F.pandas_udf("array<long>")
-    def shingles(texts: pd.Series) -> pd.Series:
-        return pd.Series([long_code(t, shingle)[1].view(np.int64) for t in texts])
-
-    asked = edges.select(F.col("a").alias("_h")).union(edges.select("b")).distinct()
-    sets = saved(rows.join(asked, "_h", "left_semi").dropDuplicates(["_h"]).select("_h", shingles("_text").alias("_set")), "sim-sets")
-    both = edges.join(sets.select(F.col("_h").alias("a"), F.col("_set").alias("_x")), "a").join(sets.select(F.col("_h").alias("b"), F.col("_set").alias("_y")), "b")
-    shared = F.size(F.array_intersect("_x", "_y"))
-    near = F.when((F.size("_x") == 0) & (F.size("_y") == 0), 1.0).otherwise(shared / (F.size("_x") + F.size("_y") - shared)) >= similarity
-    roots = saved(components(both.where(near).select("a", "b")), "sim-roots", few=True).select(F.col("id").alias("_h"), F.col("root").alias("_group"))
+    common, rank = _common_shingles(rows, shingle)
+    sent = docs.sparkSession.sparkContext.broadcast((common, rank))
+
+    def prefixes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[int] = set()  # copies in one task are one node already here
+        for b in batches:
+            nodes, parts = [], []
+            for h, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+                if h not in seen:
+                    seen.add(h)
+                    nodes.append(h)
+                    parts.append(prefix(shingle_set(t.as_py(), shingle), *sent.value, similarity))
+            if len(seen) > 200_000:
+                seen.clear()
+            if nodes:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(parts)), pa.array(np.repeat(np.array(nodes, np.int64), [len(x) for x in parts]))], names=["s", "node"])
+
+    dealt = rows.select("_h", "_text").mapInArrow(prefixes, "s long, node long").repartition("s").sortWithinPartitions("s", "node")
+    stars = saved(dealt.mapInArrow(_stars, "a long, b long").distinct(), "sim-stars", few=True)
+    maybe = saved(components(stars).select(F.col("id").alias("_h"), F.col("root").alias("_maybe")), "sim-maybe", few=True)
+    texts = rows.select("_h", "_text").join(maybe, "_h").dropDuplicates(["_h"])
+    met = in_blocks(texts, "_maybe", F.xxhash64("_h"), GROUP).select("_maybe", "_lo", "_hi", "_h", "_text")
+    edges = saved(met.mapInArrow(lambda it: _verified(it, shingle, similarity), "a long, b long"), "sim-links")
+    roots = saved(components(edges), "sim-roots", few=True).select(F.col("id").alias("_h"), F.col("root").alias("_group"))
     return rows.drop("_text").join(roots, "_h", "left").withColumn("_group", F.coalesce("_group", "_h"))
 
 

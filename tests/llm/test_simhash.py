@@ -133,3 +133,52 @@ def test_similar_groups_against_all_pairs(spark):
     got = sorted(-1 if r.doc_id is None else r.doc_id for r in kept.collect())
     assert set(want) <= set(got) and len(set(got) - set(want)) <= 1  # a pair at the very threshold may be missed
     assert simhash.keep_one(df.limit(0)).count() == 0
+
+
+def grams(t):
+    w = t.lower().split()
+    return {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))}
+
+
+def similar(a, b):
+    return len(a & b) >= 0.8 * len(a | b)
+
+
+def parts_of(spark, texts):
+    got = {r._id: r._group for r in simhash.similar_groups(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    return [got[k] for k in range(len(texts))]
+
+
+@pytest.mark.parametrize("block", [5000, 300])
+def test_star_of_edited_copies(spark, block, monkeypatch):
+    """Copies with three words of their own each: all link with the middle, few with each other."""
+    monkeypatch.setattr(simhash, "GROUP", block)
+    rng = random.Random(5)
+    base = [f"w{k}" for k in range(200)]
+    texts = [" ".join(base)]
+    for c in range(1500):
+        own = base[:]
+        for k in range(3):
+            own[rng.randrange(5 + 65 * k, 60 + 65 * k)] = f"c{c}x{k}"
+        texts.append(" ".join(own))
+    sets = [grams(t) for t in texts]
+    assert all(similar(sets[0], s) for s in sets) and sum(similar(sets[1], s) for s in sets) < 150
+    rng.shuffle(texts)
+    assert len(set(parts_of(spark, texts))) == 1
+
+
+def test_link_sets_against_all_pairs():
+    rng = np.random.default_rng(2)
+    sets = []
+    for g in range(12):
+        base = rng.integers(0, 1 << 62, rng.integers(1, 60))
+        sets += [np.unique(np.where(rng.random(len(base)) < rng.choice([0.02, 0.1, 0.2]), rng.integers(0, 1 << 62, len(base)), base)) for _ in range(15)]
+    rng.shuffle(order := list(range(len(sets))))
+    sets = [sets[k] for k in order]
+    own = [set(x.tolist()) for x in sets]
+    made, want = simhash.Links(len(sets)), simhash.Links(len(sets))
+    pairs = simhash.link_sets(sets, 0.8)
+    assert all(similar(own[a], own[b]) for a, b in pairs)
+    for links, ps in ((made, pairs), (want, [(i, j) for i in range(len(sets)) for j in range(i) if similar(own[i], own[j])])):
+        links.join(*np.array(ps).T)
+    assert made.roots().tolist() == want.roots().tolist()
