@@ -182,3 +182,16 @@ def test_link_sets_against_all_pairs():
     for links, ps in ((made, pairs), (want, [(i, j) for i in range(len(sets)) for j in range(i) if similar(own[i], own[j])])):
         links.join(*np.array(ps).T)
     assert made.roots().tolist() == want.roots().tolist()
+
+
+def test_short_texts_at_the_threshold(spark):
+    """Pairs of few shingles that link by one word more or less, and one of 12 shared shingles in 15."""
+    texts, want = [], []
+    for words, less in ((9, 1), (10, 1), (11, 1), (19, 3)):
+        for c in range(40):
+            long = [f"p{words}x{c}x{k}" for k in range(words)]
+            texts += [" ".join(long), " ".join(long[:-less])]
+            want += [len(want), len(want)]
+            assert similar(grams(texts[-1]), grams(texts[-2]))
+    got = parts_of(spark, texts)
+    assert [got.index(g) for g in got] == want
