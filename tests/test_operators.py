@@ -89,3 +89,27 @@ def test_ablations_move_as_published(spark, data):
 def test_entry_and_registry(spark):
     assert entry.entry(spark).count() == 10
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_registered_experiments_run_the_surveyed_job(monkeypatch):
+    seen = []
+    for name in ("scheduling", "cache_modes", "in_memory", "models", "shards_and_workers"):
+        monkeypatch.setattr(experiments, name, lambda s, d, *a, name=name, **kw: seen.append((name, a, kw)) or _Frame())
+    monkeypatch.setattr(experiments.F, "lit", lambda v: v)
+    for name in ("w01_scheduling", "w02_cache_modes", "w03_in_memory", "w04_out_of_core", "w07_clusters"):
+        experiments.EXPERIMENTS[name](None, "")
+    by = {}
+    for name, a, kw in seen:
+        by.setdefault(name, []).append((a, kw))
+    assert [(a[0], kw["rounds"], kw["thresholds"]) for a, kw in by["scheduling"]] == [(g, 200, (1e-4, 1e-3, 1e-2, 1.0)) for g in ("word_next", "event_chain")]
+    assert by["cache_modes"] == [(("word_next",), {"rounds": 10, "apps": experiments.APPS})] and by["in_memory"] == [((), {"rounds": (120, 15, 25)})]
+    disk, cluster = (kw for _, kw in by["models"])
+    assert disk["gs"] == cluster["gs"] == experiments.FOUR and disk["rounds"] == cluster["rounds"] == 10 and cluster["apps"] == experiments.APPS
+
+
+class _Frame:
+    def withColumn(self, *_):
+        return self
+
+    def unionByName(self, _):
+        return self
