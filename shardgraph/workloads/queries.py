@@ -48,8 +48,14 @@ def _run(model: str, app: str, sg: ShardedGraph, rounds: int, **opts) -> engine.
     return run_model(model, sg, program, EngineOptions(max_iter=rounds, **opts))
 
 
+def _fitting(sg: ShardedGraph, program, rounds: int, tables: bool = False) -> engine.Result:
+    """By the kernel where its arrays fit, and by rounds over tables beyond or where asked."""
+    run = engine.run if tables or sg.n > engine.KERNEL_ROWS else engine.run_kernel
+    return run(sg, program, EngineOptions(max_iter=rounds))
+
+
 def _kernel(spark, sf, name, program, rounds, symmetric=False) -> DataFrame:
-    return engine.run_kernel(sharded(spark, sf, name, symmetric), program, EngineOptions(max_iter=rounds)).values
+    return _fitting(sharded(spark, sf, name, symmetric), program, rounds, name == "doc_dup").values  # a document is a vertex there
 
 
 def _cuts(spark, sf, g):
@@ -107,7 +113,7 @@ def _ledger(spark, sf, model):
 
 def _activity(spark, sf, g):
     """Vertices that each round of unit-weight distances changes."""
-    r = engine.run_kernel(sharded(spark, sf, g), programs.bfs(0), EngineOptions(max_iter=1000))
+    r = _fitting(sharded(spark, sf, g), programs.bfs(0), 1000)
     rows = [(x["iter"], x["active"]) for x in r.ledger]
     return spark.createDataFrame(rows, "iter int, active long")
 

@@ -113,3 +113,16 @@ class _Frame:
 
     def unionByName(self, _):
         return self
+
+
+def test_queries_beyond_the_kernel(spark, data, monkeypatch):
+    from shardgraph.core import engine
+    from shardgraph.workloads import queries
+
+    q, _ = queries.build()
+    names = ("cc_part_next", "sssp_weighted_part_next", "active_ratio_sssp_part_next")
+    want = {n: sorted(map(tuple, q[n](spark, data).collect()), key=str) for n in names}
+    monkeypatch.setattr(engine, "KERNEL_ROWS", 10)
+    assert {n: sorted(map(tuple, q[n](spark, data).collect()), key=str) for n in names} == want
+    monkeypatch.setattr(engine, "run_kernel", None)
+    assert q["cc_sizes_doc_dup"](spark, data).count() > 0
