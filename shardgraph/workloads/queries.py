@@ -164,8 +164,13 @@ def _reach(spark, sf, program):
     return _kernel_free(spark, sf, program)
 
 
-def _kernel_free(spark, sf, program, rounds=50):
-    return engine.run(sharded(spark, sf, "part_next"), program, EngineOptions(max_iter=rounds)).values
+def _kernel_free(spark, sf, program, rounds=None):
+    """Values after so many rounds, or once nothing changes any more: paths have fewer edges than there are vertices."""
+    sg = sharded(spark, sf, "part_next")
+    r = engine.run(sg, program, EngineOptions(max_iter=rounds or sg.n + 1))
+    if rounds is None and not r.converged:
+        raise RuntimeError(f"{program.name} did not settle in {r.rounds} rounds")
+    return r.values
 
 
 def build() -> tuple[dict[str, Query], dict[str, str]]:

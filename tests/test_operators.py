@@ -126,3 +126,16 @@ def test_queries_beyond_the_kernel(spark, data, monkeypatch):
     assert {n: sorted(map(tuple, q[n](spark, data).collect()), key=str) for n in names} == want
     monkeypatch.setattr(engine, "run_kernel", None)
     assert q["cc_sizes_doc_dup"](spark, data).count() > 0
+
+
+def test_reachability_of_a_long_path(spark, data, monkeypatch):
+    from shardgraph.build import prepare
+    from shardgraph.model.graph import Graph
+    from shardgraph.workloads import queries
+
+    n = 56
+    edges = spark.createDataFrame([(k, k + 1, 1) for k in range(n - 1)], "src long, dst long, weight long")
+    path = prepare.prepare(Graph(edges, spark.range(n).select("id"), "path"), shards=2)
+    monkeypatch.setattr(queries, "sharded", lambda *_: path)
+    q, _ = queries.build()
+    assert q["reachability"](spark, data).where("value = 1").count() == n
