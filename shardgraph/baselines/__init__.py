@@ -1,8 +1,8 @@
 """The computation models and engine styles that the pull-window model is compared with, on one substrate.
 
 Every model runs the same programs and gives the same values. What differs is how messages get from
-sources to destinations in a round, and so what is read, written and shuffled; `reads` and `writes`
-count logical records, free of Spark's own encodings.
+sources to destinations in a round, and so what is read, written and shuffled. `io` gives logical
+records and bytes by formula from the sizes of the graph; rows really read or written are not counted.
 """
 
 from __future__ import annotations

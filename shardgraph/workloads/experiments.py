@@ -132,7 +132,7 @@ def compressors(spark: SparkSession, sf: str, gs=("part_next", "event_chain")) -
 
 
 def analytic(spark: SparkSession, sf: str, g: str = "part_next", workers: int = 4) -> DataFrame:
-    """Formulas beside logical bytes that one round counted, for each model."""
+    """Formulas beside the ledger's logical bytes of one round, which are formulas of the graph's sizes too, for each model."""
     sg = sharded(spark, sf, g)
     want = cost.analytic_frame(spark, VERTEX_BYTES, EDGE_BYTES, sg.n, sg.m, sg.shards, workers, 1.0)
     runs = _union([run_model(m, sg, programs.pagerank(), EngineOptions(max_iter=1)).ledger_frame().where("iter = 1") for m in ("psw", "esg", "vsp", "dsw", "pull_window")])

@@ -106,7 +106,7 @@ def _analytic(spark, sf, g):
 
 
 def _ledger(spark, sf, model):
-    """Logical bytes of one round under a model, scheduling and cache off."""
+    """Logical bytes of one round under a model by formula, scheduling and cache off."""
     sg = sharded(spark, sf, "part_next")
     return _run(model, "pagerank", sg, 1).ledger_frame().where("iter = 1").select("model", "read_bytes", "write_bytes")
 
