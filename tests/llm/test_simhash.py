@@ -195,3 +195,22 @@ def test_short_texts_at_the_threshold(spark):
             assert similar(grams(texts[-1]), grams(texts[-2]))
     got = parts_of(spark, texts)
     assert [got.index(g) for g in got] == want
+
+
+def test_long_codes_of_near_sets_are_within_the_radius():
+    """The most differing bits of sets that just reach a similarity of 0.8, by their sizes; others are twice as far."""
+    rng = np.random.default_rng(4)
+    most, far = {}, []
+    for shared in (4, 5, 6, 7, 8, 9, 10, 12, 13, 16, 20, 24, 31, 40, 80, 200, 1000):
+        for one in range(shared // 4 + 1):
+            two = shared // 4 - one
+            for _ in range(8):
+                x = rng.integers(0, 1 << 62, shared + one + two)
+                codes = np.stack([simhash.long_code(x[: shared + one]), simhash.long_code(np.concatenate([x[:shared], x[shared + one :]]))])
+                d = int(simhash.distance(codes, 0, 1))
+                most[shared] = max(most.get(shared, 0), d)
+            if one > 25:
+                break
+        far.append(int(simhash.distance(np.stack([simhash.long_code(rng.integers(0, 1 << 62, shared)) for _ in range(2)]), 0, 1)))
+    assert max(most.values()) <= simhash.LONG_RADIUS - 30, most
+    assert min(far) > simhash.LONG_RADIUS
