@@ -126,8 +126,8 @@ def doc_dup(spark: SparkSession, sf: str) -> Graph:
     return Graph(edges, d.select(F.col("doc_id").alias("id")), "doc_dup")
 
 
-def vec_knn(spark: SparkSession, sf: str, cosine: float = 0.98) -> Graph:
-    """Vectors of one label whose cosine reaches a bound: a join inside labels, for tables of modest size."""
+def vec_knn(spark: SparkSession, sf: str, cosine: float = 0.4) -> Graph:
+    """Vectors of one label whose cosine reaches a bound, one that occurs in the given tables: a join inside labels, for tables of modest size."""
     v = table(spark, sf, "embeddings").select("vec_id", "label", F.transform("embedding", lambda x: x.cast("double")).alias("e"))
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
     v = v.withColumn("norm", F.sqrt(dot(F.col("e"), F.col("e"))))

@@ -2,25 +2,27 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from shardgraph.core.schedule import build_filters
-from shardgraph.model.graph import Graph, ShardedGraph, interval_of
-from shardgraph.session import saved, scratch_path
+from shardgraph.model.graph import Graph, ShardedGraph, buckets_of, interval_of
+from shardgraph.session import bucketed, open_bucketed, saved, scratch_path
 
 #: Vertices in a block of the prefix sums that the greedy cut walks over.
 BLOCK = 1 << 16
 
 
 def degrees(g: Graph) -> DataFrame:
-    """(id, in_deg, out_deg), vertices without edges included: two aggregates before one join each."""
+    """(id, in_deg, out_deg, out_weight), vertices without edges included: two aggregates before one join each."""
     into = g.edges.groupBy(F.col("dst").alias("id")).agg(F.count("*").alias("in_deg"))
-    out = g.edges.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("out_deg"))
+    out = g.weighed().groupBy(F.col("src").alias("id")).agg(F.count("*").alias("out_deg"), F.sum("weight").alias("out_weight"))
     zero = F.lit(0).cast("long")
-    return g.vertices.select("id").join(into, "id", "left").join(out, "id", "left").select("id", F.coalesce("in_deg", zero).alias("in_deg"), F.coalesce("out_deg", zero).alias("out_deg"))
+    return g.vertices.select("id").join(into, "id", "left").join(out, "id", "left").select("id", F.coalesce("in_deg", zero).alias("in_deg"), F.coalesce("out_deg", zero).alias("out_deg"), F.coalesce("out_weight", zero).alias("out_weight"))
 
 
 def prefix(deg: DataFrame, size: int = BLOCK) -> DataFrame:
@@ -39,13 +41,15 @@ def cut_intervals(deg: DataFrame, threshold: int, policy: str = "greedy", bounds
     more in-edges stands alone with ids that have none; prefix cuts where the running sum passes a multiple of the threshold, in
     parallel; equal_vertices makes `shards` ranges of equal length; user takes the given starts.
 
-    For greedy only one total a block comes to the driver; blocks that hold a boundary are fetched
-    as they are met, so memory follows the number of blocks, not of vertices.
+    The greedy cut depends on all that came before it, so one task walks the sorted degrees, 16 bytes a
+    vertex, in bounded memory; only starts come to the driver. prefix has no such task.
     """
     if n is None:
         n = deg.count()
     if n == 0:
         return []
+    if shards is not None and shards < 1:
+        raise ValueError("a graph needs a shard at least")
     if policy == "equal_vertices":
         k = min(n, shards or 1)
         starts = sorted({-(-i * n // k) for i in range(k)})
@@ -63,30 +67,21 @@ def cut_intervals(deg: DataFrame, threshold: int, policy: str = "greedy", bounds
 
 
 def _greedy(deg: DataFrame, threshold: int, n: int) -> list[int]:
-    table = saved(deg.select("id", "in_deg", F.floor(F.col("id") / BLOCK).alias("block")).repartitionByRange("id").sortWithinPartitions("id"), "degrees")
-    totals = {r["block"]: r["s"] for r in table.groupBy("block").agg(F.sum("in_deg").alias("s")).collect()}
-    starts, held, block, last = [0], 0, 0, (n - 1) // BLOCK
-    while block <= last:
-        if held + totals.get(block, 0) <= threshold:  # no boundary in here
-            held += totals.get(block, 0)
-            block += 1
-            continue
-        wave = range(block, min(last, block + 63) + 1)  # the blocks met next, in one job
-        rows = table.where(F.col("block").between(wave[0], wave[-1])).select("id", "in_deg").toArrow()
-        ids, d = (rows.column(k).to_numpy() for k in range(2))
-        order = np.argsort(ids, kind="stable")
-        ids, total = ids[order], np.cumsum(d[order])
-        base, open_at = -held, -1  # edges of the open shard are total - base; it starts at place open_at of this wave, if in it
-        while True:
-            nxt = max(int(np.searchsorted(total, base + threshold, "right")), open_at + 1)
-            if nxt >= len(ids):
-                break
-            open_at, base = nxt, int(total[nxt - 1]) if nxt else 0
-            if ids[nxt] > 0:
+    def walk(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, first = 0, True  # edges of the open shard; whether there is none yet
+        for b in batches:
+            if not b.num_rows:
+                continue
+            ids, total, starts = b.column(0).to_numpy(), np.cumsum(b.column(1).to_numpy()), []
+            base, at = -held, 0 if first else -1  # the open shard holds total - base; its first place, if in this batch
+            while (nxt := max(int(np.searchsorted(total, base + threshold, "right")), at + 1)) < len(ids):
+                at, base = nxt, int(total[nxt - 1]) if nxt else 0
                 starts.append(int(ids[nxt]))
-        held = int(total[-1]) - base
-        block = wave[-1] + 1
-    return sorted(set(starts))
+            held, first = int(total[-1]) - base, False
+            yield pa.RecordBatch.from_arrays([pa.array(starts, pa.int64())], names=["start"])
+
+    rows = deg.select("id", "in_deg").repartition(1).sortWithinPartitions("id").mapInArrow(walk, "start long").collect()
+    return sorted({0, *(r["start"] for r in rows)})
 
 
 def assign_shards(edges: DataFrame, bounds: list[tuple[int, int, int, int]]) -> DataFrame:
@@ -108,9 +103,10 @@ def to_csr(sharded: DataFrame, bounds: list[tuple[int, int, int, int]], weighted
         lo, hi = limits[k]
         src, dst = t.column("src").to_numpy(), t.column("dst").to_numpy()
         keep = dst >= 0
-        order = np.lexsort((src[keep], dst[keep]))
-        row = np.concatenate([[0], np.cumsum(np.bincount(dst[keep] - lo, minlength=hi - lo + 1))])
-        out = {"shard_id": pa.array([k], pa.int32()), "lo": [lo], "hi": [hi], "row": pa.array([row], pa.list_(pa.int64())), "col": pa.array([src[keep][order]], pa.list_(pa.int64()))}
+        src, dst = src[keep], dst[keep]
+        order = np.lexsort((src, dst))
+        row = np.concatenate([[0], np.cumsum(np.bincount(dst - lo, minlength=hi - lo + 1))])
+        out = {"shard_id": pa.array([k], pa.int32()), "lo": [lo], "hi": [hi], "row": pa.array([row], pa.list_(pa.int64())), "col": pa.array([src[order]], pa.list_(pa.int64()))}
         if weighted:
             out["val"] = pa.array([t.column("weight").to_numpy()[keep][order]], pa.list_(pa.int64()))
         return pa.table(out)
@@ -149,46 +145,43 @@ def write_meta(path: str, g: Graph, n: int, m: int, bounds: list, vinfo: DataFra
 def prepare(g: Graph, threshold: int | None = None, path: str | None = None, policy: str = "greedy", shards: int = 16, filters: bool = True) -> ShardedGraph:
     """Cut, route and write a graph once; any program then runs on what open_sharded reads.
 
-    Edges are dealt by shard and written partitioned by it, sorted by (dst, src): later rounds read
-    whole shards or prune them by literal partition filters, and edges move no more.
+    Edges are dealt by shard and written in buckets of it, sorted by (shard, dst, src): later rounds group
+    them by shard, or read the buckets of the shards they visit, and edges move no more. Edges with a null end
+    or a negative destination belong to no shard and are left out; a vertex that comes twice is one.
     """
     spark = g.vertices.sparkSession
     path = path or scratch_path(spark, f"sharded-{g.name}")
-    edges = saved(g.weighed().select("src", "dst", "weight"), "edges")
-    held = Graph(edges, saved(g.vertices.select("id"), "vertices"), g.name, g.directed)
+    edges = saved(g.weighed().select("src", "dst", F.coalesce("weight", F.lit(1).cast("long")).alias("weight")).where("src is not null and dst >= 0"), "edges")
+    held = Graph(edges, saved(g.vertices.select("id").distinct(), "vertices"), g.name, g.directed)
     deg = saved(degrees(held), "degrees")
     row = deg.agg(F.count("*").alias("n"), F.sum("in_deg").alias("m")).first()
     n, m = row["n"], row["m"] or 0
     bounds = cut_intervals(deg, threshold or max(1, m // shards), policy, shards=shards, n=n)
-    routed = assign_shards(edges, bounds).repartition("shard_id").sortWithinPartitions("shard_id", "dst", "src")
-    routed.write.partitionBy("shard_id").parquet(f"{path}/edges")
+    buckets = buckets_of(len(bounds))
+    sharded = bucketed(assign_shards(edges, bounds), f"{path}/edges", "shard_id", buckets, ("shard_id", "dst", "src"))
     vinfo = deg.withColumn("shard_id", interval_of(F.col("id"), [b[1] for b in bounds]))
     write_meta(path, g, n, m, bounds, vinfo)
-    sharded = _edges(spark, path)
     to_csr(sharded, bounds).write.parquet(f"{path}/csr")
-    sharded.select("shard_id", "src").distinct().write.parquet(f"{path}/mirror")
+    mirror = bucketed(sharded.select("shard_id", "src").distinct(), f"{path}/mirror", "src", buckets)
     if filters:
-        build_filters(spark.read.parquet(f"{path}/mirror")).write.parquet(f"{path}/filters")
+        build_filters(mirror).write.parquet(f"{path}/filters")
     return open_sharded(spark, path, held)
 
 
-def _edges(spark: SparkSession, path: str) -> DataFrame:
-    return spark.read.schema("src long, dst long, weight long, shard_id int").parquet(f"{path}/edges")
-
-
 def open_sharded(spark: SparkSession, path: str, g: Graph | None = None) -> ShardedGraph:
     """A graph that prepare wrote."""
     import os
 
     p = spark.read.json(f"{path}/props").first()
     bounds = [tuple(b) for b in p["intervals"]]
-    vinfo, edges = spark.read.parquet(f"{path}/vinfo"), _edges(spark, path)
+    buckets = buckets_of(len(bounds))
+    vinfo, edges = spark.read.parquet(f"{path}/vinfo"), open_bucketed(spark, f"{path}/edges", "src long, dst long, weight long, shard_id int", "shard_id", buckets)
     g = g or Graph(edges.drop("shard_id"), vinfo.select("id"), os.path.basename(path))
     try:
         filters = spark.read.parquet(f"{path}/filters")
     except Exception:  # noqa: BLE001  written only on demand
         filters = None
-    return ShardedGraph(g, p["num_vertices"], p["num_edges"], bounds, edges, vinfo, spark.read.parquet(f"{path}/mirror"), filters, spark.read.parquet(f"{path}/csr"), path)
+    return ShardedGraph(g, p["num_vertices"], p["num_edges"], bounds, edges, vinfo, open_bucketed(spark, f"{path}/mirror", "shard_id int, src long", "src", buckets), filters, spark.read.parquet(f"{path}/csr"), path)
 
 
 def graph_stats(g: Graph) -> DataFrame:

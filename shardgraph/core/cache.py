@@ -12,6 +12,8 @@ from pyspark import StorageLevel
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from shardgraph.session import saved
+
 #: Codecs of the cache modes and the ratios expected of modes 1 to 4.
 CODECS = {0: "none", 1: "raw", 2: "snappy", 3: "zlib-1", 4: "zlib-3"}
 GAMMAS = (1.0, 2.0, 4.0, 5.0)
@@ -56,19 +58,21 @@ def decode(block: bytes, delta: bool) -> tuple[np.ndarray, np.ndarray, np.ndarra
 _PAYLOAD = "shard_id int, lo long, hi long, codec string, raw_bytes long, bytes long, pack_s double, unpack_s double, payload binary"
 
 
-def payloads(csr: DataFrame, codec: str, delta: bool = False) -> DataFrame:
-    """CSR rows as compressed blocks, with sizes and seconds."""
+def payloads(csr: DataFrame, codec: str, delta: bool = False, timed: bool = False) -> DataFrame:
+    """CSR rows as compressed blocks, with sizes and seconds; only with timed are they unpacked again to measure that."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out = []
-            for r in b.to_pylist():
-                raw = encode(np.array(r["row"], np.int64), np.array(r["col"], np.int64), np.array(r["val"], np.int64) if r.get("val") is not None else None, delta)
+            for k in range(b.num_rows):
+                flat = lambda c: b.column(c)[k].values.to_numpy(zero_copy_only=False) if c in b.schema.names else None  # noqa: B023, E731
+                raw = encode(flat("row"), flat("col"), flat("val"), delta)
                 t0 = time.perf_counter()
                 packed = compress(raw, codec)
                 t1 = time.perf_counter()
-                decompress(packed, codec, len(raw))
-                out.append((r["shard_id"], r["lo"], r["hi"], codec, len(raw), len(packed), t1 - t0, time.perf_counter() - t1, packed))
+                if timed:
+                    decompress(packed, codec, len(raw))
+                out.append((*(b.column(c)[k].as_py() for c in ("shard_id", "lo", "hi")), codec, len(raw), len(packed), t1 - t0, time.perf_counter() - t1, packed))
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True) if out else [[]] * 9, (pa.int32(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary()), strict=True)], names=[x.split()[0] for x in _PAYLOAD.split(", ")])
 
     return csr.mapInArrow(run, _PAYLOAD)
@@ -78,7 +82,7 @@ def compression_report(csr: DataFrame, codecs: tuple[str, ...] = ("raw", "snappy
     """(codec, raw_bytes, bytes, ratio, mb_s) of each codec over all shards; mb_s is of decompressed bytes a second and core."""
     each = None
     for c in codecs:
-        one = payloads(csr, c, delta).groupBy("codec").agg(F.sum("raw_bytes").alias("raw_bytes"), F.sum("bytes").alias("bytes"), F.sum("unpack_s").alias("s"))
+        one = payloads(csr, c, delta, True).groupBy("codec").agg(F.sum("raw_bytes").alias("raw_bytes"), F.sum("bytes").alias("bytes"), F.sum("unpack_s").alias("s"))
         each = one if each is None else each.union(one)
     return each.select("codec", "raw_bytes", "bytes", F.round(F.col("raw_bytes") / F.col("bytes"), 4).alias("ratio"), F.round(F.col("raw_bytes") / 1e6 / F.greatest("s", F.lit(1e-9)), 1).alias("mb_s"))
 
@@ -121,7 +125,7 @@ class EdgeCache:
             self.cached: set[int] = set()
             self.payload, self.total = None, csr.count()
             return
-        packed = payloads(csr, CODECS[mode])
+        packed = saved(payloads(csr, CODECS[mode]), "cache-payloads")  # packed once; a lost executor's shards are read from here again
         kept = {r["shard_id"]: r["cached"] for r in admission(packed.select("shard_id", "bytes"), capacity).collect()}
         self.cached, self.total = {k for k, x in kept.items() if x}, len(kept)
         self.payload = packed.where(F.col("shard_id").isin(sorted(self.cached))).select("shard_id", "lo", "hi", "codec", "raw_bytes", "payload").persist(StorageLevel.MEMORY_ONLY)
@@ -135,24 +139,20 @@ class EdgeCache:
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
-                for r in b.to_pylist():
+                for r in b.to_pylist():  # a shard's payload is one block of bytes
                     row, col, val = decode(decompress(r["payload"], r["codec"], r["raw_bytes"]), False)
                     dst = np.repeat(np.arange(r["lo"], r["hi"] + 1), np.diff(row))
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(dst), r["shard_id"], np.int32)), pa.array(col), pa.array(dst), pa.array(val if val is not None else np.ones(len(dst), np.int64))], names=["shard_id", "src", "dst", "weight"])
 
         return self.payload.where(F.col("shard_id").isin(shards)).mapInArrow(run, "shard_id int, src long, dst long, weight long")
 
-    def scan(self, files: DataFrame, shards: list[int] | None, all_shards: list[int]) -> tuple[DataFrame, int]:
-        """(edges of these shards, hits): hits from memory, misses from pruned files."""
+    def scan(self, files: DataFrame, shards: list[int] | None, all_shards: list[int]) -> tuple[DataFrame | None, int, DataFrame | None]:
+        """(edges of these shards from pruned files, hits, edges from memory); None where there are none."""
         want = all_shards if shards is None else shards
         hits = sorted(self.cached & set(want))
         misses = sorted(set(want) - self.cached)
-        parts = []
-        if misses or not hits:
-            parts.append((files.where(F.col("shard_id").isin(misses)) if len(misses) < len(all_shards) else files).select("shard_id", "src", "dst", "weight"))
-        if hits:
-            parts.append(self.edges(hits))
-        return (parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])), len(hits)
+        missed = files.where(F.col("shard_id").isin(misses)) if len(misses) < len(all_shards) else files
+        return missed.select("shard_id", "src", "dst", "weight") if misses or not hits else None, len(hits), self.edges(hits) if hits else None
 
     def close(self) -> None:
         if self.payload is not None:

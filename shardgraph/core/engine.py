@@ -14,13 +14,13 @@ from shardgraph.core.cache import EdgeCache
 from shardgraph.core.schedule import edges_of_active, pick
 from shardgraph.model.graph import ArrowProgram, EngineOptions, Result, ShardedGraph, VertexProgram
 from shardgraph.model.schema import EDGE_BYTES, VERTEX_BYTES
-from shardgraph.session import forget, scratch_path
+from shardgraph.session import dealt_by_one_key, forget, saved, scratch_path
 
 
 def start(vinfo: DataFrame, program: VertexProgram, n: int) -> DataFrame:
     """state(id, shard_id, value, out_deg, active) before the first round."""
     value, active = program.init(max(1, n))
-    return vinfo.select("id", "shard_id", value.alias("value"), "out_deg", active.alias("active"))
+    return vinfo.select("id", "shard_id", value.alias("value"), F.col(program.degree).alias("out_deg"), active.alias("active"))
 
 
 class Generations:
@@ -33,32 +33,79 @@ class Generations:
         """(the state read back, active vertices): one job writes the round and counts."""
         seen = Observation()
         path = scratch_path(self.spark, self.label)
-        state.observe(seen, F.coalesce(F.sum(F.col("active").cast("long")), F.lit(0)).alias("active")).write.parquet(path)
+        with dealt_by_one_key(self.spark):
+            state.observe(seen, F.coalesce(F.sum(F.col("active").cast("long")), F.lit(0)).alias("active")).write.parquet(path)
         self.paths.append(path)
         if len(self.paths) > 2:
             forget(self.spark, self.paths.pop(0))
         return self.spark.read.schema(state.schema).parquet(path), seen.get["active"]
 
 
-def advance(state: DataFrame, combined: DataFrame, program: VertexProgram, n: int, visited: list[int] | None) -> DataFrame:
-    """The next state: combined(id, msg) joins the old values; vertices of shards not visited keep theirs."""
+class Meter:
+    """Records that pass marked places of plans, counted while they are read or written."""
+
+    def __init__(self):
+        self.open: list[tuple[bool, int, Observation]] = []
+
+    def _mark(self, df: DataFrame, written: bool, width: int) -> DataFrame:
+        seen = Observation()
+        self.open.append((written, width, seen))
+        return df.observe(seen, F.count(F.lit(1)).alias("n"))
+
+    def reads(self, df: DataFrame, width: int) -> DataFrame:
+        return self._mark(df, False, width)
+
+    def writes(self, df: DataFrame, width: int) -> DataFrame:
+        return self._mark(df, True, width)
+
+    def take(self) -> tuple[int, int, int, int]:
+        """(rows read, bytes read, rows written, bytes written) since the last call; every marked plan has run by then."""
+        out = [0, 0, 0, 0]
+        for written, width, seen in self.open:
+            n = seen.get.get("n", 0)
+            out[2 * written] += n
+            out[2 * written + 1] += n * width
+        self.open.clear()
+        return tuple(out)
+
+
+def advance(state: DataFrame, combined: DataFrame, program: VertexProgram, n: int, visited: list[int] | None, buckets: int | None = None) -> DataFrame:
+    """The next state: combined([shard_id,] id, msg) joins the old values; vertices of shards not visited keep theirs.
+
+    With buckets, combined already lies by shard, and only the state is dealt to it.
+    """
     new = program.apply(F.col("value"), F.col("msg"), max(1, n))
     if visited is not None:
         new = F.when(F.col("shard_id").isin(visited), new).otherwise(F.col("value"))
-    both = state.drop("active").join(combined, "id", "left").withColumn("_new", new)
+    old = state.drop("active")
+    if buckets:
+        both = old.repartition(buckets, "shard_id").join(combined.hint("shuffle_hash"), ["shard_id", "id"], "left")
+    else:
+        both = old.join(combined, "id", "left")
+    both = both.withColumn("_new", new)
     return both.select("id", "shard_id", F.col("_new").alias("value"), "out_deg", F.coalesce(program.changed(F.col("value"), F.col("_new")), F.lit(False)).alias("active"))
 
 
-def pull(edges: DataFrame, state: DataFrame, program: VertexProgram, broadcast: bool) -> DataFrame:
-    """(id, msg): source values meet in-edges, and messages combine by (shard, destination), which stays with the shard.
+def routed_values(sg: ShardedGraph, state: DataFrame) -> DataFrame:
+    """(shard_id, src, _v, _d), dealt by shard: each shard's own sources with their values."""
+    src = state.select(F.col("id").alias("src"), F.col("value").alias("_v"), F.col("out_deg").alias("_d"))
+    return sg.mirror.join(src, "src").repartition(sg.buckets, "shard_id")
+
+
+def pull(sg: ShardedGraph, edges: DataFrame, state: DataFrame, program: VertexProgram, broadcast: bool) -> DataFrame:
+    """(shard_id, id, msg): source values meet in-edges where the edges lie, and messages combine there.
 
-    broadcast sends the vertex values to the edges, which then don't move at all; otherwise values are shuffled to
-    the edges' sources and partial sums to the destinations.
+    broadcast sends all vertex values to the edges. Otherwise each shard is sent the values of its
+    own sources: the mirror (shard, source), in buckets of the source, meets the values, and what it finds goes to the
+    shard. Edges lie in buckets of their shard, so neither the join nor the aggregation moves them.
     """
-    src = state.select(F.col("id").alias("src"), F.col("value").alias("_v"), F.col("out_deg").alias("_d"))
-    met = edges.join(F.broadcast(src) if broadcast else src, "src")
+    if broadcast:
+        src = state.select(F.col("id").alias("src"), F.col("value").alias("_v"), F.col("out_deg").alias("_d"))
+        met = edges.join(F.broadcast(src), "src")
+    else:
+        met = edges.join(routed_values(sg, state).hint("shuffle_hash"), ["shard_id", "src"])
     msg = program.gather(F.col("_v"), F.col("weight"), F.col("_d"))
-    return met.groupBy("dst").agg(program.aggregate(msg).alias("msg")).withColumnRenamed("dst", "id")
+    return met.groupBy("shard_id", F.col("dst").alias("id")).agg(program.aggregate(msg).alias("msg"))
 
 
 def run(sg: ShardedGraph, program: VertexProgram, opts: EngineOptions = EngineOptions()) -> Result:
@@ -67,26 +114,31 @@ def run(sg: ShardedGraph, program: VertexProgram, opts: EngineOptions = EngineOp
     Values are broadcast while there are no more than broadcast_rows of them (16 bytes each), and routed beyond.
     """
     spark = sg.edges.sparkSession
-    broadcast = opts.value_mode == "broadcast" or opts.value_mode == "auto" and sg.n <= opts.broadcast_rows
+    if opts.value_mode == "broadcast" and sg.n > opts.broadcast_rows:
+        raise ValueError(f"{sg.n} vertices: more than broadcast_rows = {opts.broadcast_rows}")
+    broadcast = opts.value_mode != "routed" and sg.n <= opts.broadcast_rows
     cache = None
     if opts.cache is not None:
         cache = EdgeCache(sg.csr, opts.cache_bytes, opts.cache)
     gens = Generations(spark, f"state-{program.name}")
     state, active = gens.keep(start(sg.vinfo, program, sg.n))
     edges_in = {b[0]: b[3] for b in sg.bounds}
-    every, ledger, rounds = sorted(edges_in), [], 0
+    every, ledger, rounds, meter = sorted(edges_in), [], 0, Meter()
     try:
         while active and rounds < opts.max_iter:
             t0 = time.perf_counter()
             ratio = active / max(1, sg.n)
             visited = pick(sg, opts.schedule, opts.threshold, state.where("active"), ratio) if program.idempotent else None
-            edges, hits = cache.scan(sg.edges, visited, every) if cache else (sg.edges if visited is None else sg.edges.where(F.col("shard_id").isin(visited)), 0)
+            files, hits, held = sg.edges if visited is None else sg.edges.where(F.col("shard_id").isin(visited)), 0, None
+            if cache:
+                files, hits, held = cache.scan(sg.edges, visited, every)
+            edges = held if files is None else meter.reads(files, EDGE_BYTES) if visited != [] else files
+            edges = edges if held is None or files is None else edges.unionByName(held)
             if opts.schedule == "vertex" and program.idempotent and program.combine != "sum":
                 edges = edges_of_active(edges, state.where("active"))
-            state, new_active = gens.keep(advance(state, pull(edges, state, program, broadcast), program, sg.n, visited))
+            state, new_active = gens.keep(advance(state, pull(sg, edges, state, program, broadcast), program, sg.n, visited, sg.buckets))
             rounds += 1
-            read = sum(edges_in[k] for k in (every if visited is None else visited))
-            missed = read - sum(edges_in[k] for k in (cache.cached if cache else ()) if visited is None or k in set(visited))
+            missed = meter.take()[0]
             ledger.append({"run": opts.run, "model": "pull_window", "app": program.name, "iter": rounds, "phase": "fill" if rounds == 1 and (cache or opts.schedule == "selective") else "run", "active": active, "shards_total": len(every), "shards_read": len(every if visited is None else visited), "cache_hits": hits, "read_rows": missed, "read_bytes": missed * EDGE_BYTES, "write_rows": 0, "write_bytes": 0, "seconds": time.perf_counter() - t0})
             active = new_active
     finally:
@@ -108,19 +160,24 @@ def run_kernel(sg: ShardedGraph, program: VertexProgram | ArrowProgram, opts: En
         raise ValueError(f"{sg.n} vertices: more than the kernel's arrays may hold")
     spark = sg.edges.sparkSession
     v, on = program.init(max(1, sg.n))
-    first = sg.vinfo.select("id", v.alias("value"), "out_deg", on.alias("active")).toArrow().sort_by("id")
+    first = sg.vinfo.select("id", v.alias("value"), F.col(getattr(program, "degree", "out_deg")).alias("out_deg"), on.alias("active")).toArrow().sort_by("id")
     whole = pa.types.is_integer(first.schema.field("value").type)
     far = np.iinfo(np.int64).max // 4
     old = first.column("value").fill_null(far).to_numpy() if whole else first.column("value").to_numpy()
     deg = first.column("out_deg").to_numpy()
-    active = int(np.count_nonzero(first.column("active").to_numpy()))
+    on = first.column("active").to_numpy()
+    active = int(np.count_nonzero(on))
     update: Callable = program.update if isinstance(program, ArrowProgram) else program.kernel
     n, ledger, rounds = sg.n, [], 0
     csr = sg.csr.persist()
-    edges_in = sum(b[3] for b in sg.bounds)
+    edges_in = {b[0]: b[3] for b in sg.bounds}
     try:
         while active and rounds < opts.max_iter:
             t0 = time.perf_counter()
+            ratio = active / max(1, n)
+            visited = None
+            if opts.schedule in ("selective", "exact") and getattr(program, "idempotent", True) and (opts.schedule == "exact" or ratio <= opts.threshold):
+                visited = pick(sg, opts.schedule, opts.threshold, spark.createDataFrame(pa.table({"id": np.flatnonzero(on)})), ratio)
             sent = spark.sparkContext.broadcast((old, deg))
 
             def step(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
@@ -134,14 +191,16 @@ def run_kernel(sg: ShardedGraph, program: VertexProgram | ArrowProgram, opts: En
                         yield pa.RecordBatch.from_arrays([pa.array([lo]), pa.array([np.ascontiguousarray(new).tobytes()], pa.binary())], names=["lo", "new"])
 
             new = old.copy()
-            for r in csr.mapInArrow(step, "lo long, new binary").collect():  # one array of at most KERNEL_ROWS values, by shard
+            held = csr if visited is None else csr.where(F.col("shard_id").isin(visited))
+            for r in held.mapInArrow(step, "lo long, new binary").collect():  # one array of at most KERNEL_ROWS values, by shard
                 part = np.frombuffer(r["new"], old.dtype)
                 new[r["lo"] : r["lo"] + len(part)] = part
             sent.destroy()
             rounds += 1
-            changed = int(np.count_nonzero(new != old)) if not isinstance(program, ArrowProgram) else int(np.count_nonzero(program.changed(old, new)))
-            ledger.append({"run": opts.run, "model": "pull_window", "app": program.name, "iter": rounds, "phase": "kernel", "active": active, "shards_total": sg.shards, "shards_read": sg.shards, "cache_hits": sg.shards, "read_rows": edges_in, "read_bytes": edges_in * EDGE_BYTES, "write_rows": 0, "write_bytes": 0, "seconds": time.perf_counter() - t0})
-            old, active = new, changed
+            on = new != old if not isinstance(program, ArrowProgram) else program.changed(old, new)
+            many, read = (sg.shards, sg.m) if visited is None else (len(visited), sum(edges_in[k] for k in visited))
+            ledger.append({"run": opts.run, "model": "pull_window", "app": program.name, "iter": rounds, "phase": "kernel", "active": active, "shards_total": sg.shards, "shards_read": many, "cache_hits": many, "read_rows": read, "read_bytes": read * EDGE_BYTES, "write_rows": 0, "write_bytes": 0, "seconds": time.perf_counter() - t0})
+            old, active = new, int(np.count_nonzero(on))
     finally:
         csr.unpersist()
     values = pa.table({"id": np.arange(n), "value": pa.array(old, mask=old >= far) if whole else pa.array(old)})
@@ -161,8 +220,8 @@ def pagerank(sg: ShardedGraph, opts: EngineOptions = EngineOptions(), damping: f
     while active and rounds < opts.max_iter:
         lost = state.where("out_deg = 0").agg(F.coalesce(F.sum("value"), F.lit(0.0)).alias("s")).first()["s"]
         base = (1 - damping) / sg.n + damping * lost / sg.n
-        msg = pull(sg.edges, state, program, sg.n <= opts.broadcast_rows)
-        both = state.join(msg, "id", "left").withColumn("_new", F.lit(base) + F.lit(damping) * F.coalesce("msg", F.lit(0.0)))
+        msg = pull(sg, sg.edges, state, program, sg.n <= opts.broadcast_rows)
+        both = state.repartition(sg.buckets, "shard_id").join(msg.hint("shuffle_hash"), ["shard_id", "id"], "left").withColumn("_new", F.lit(base) + F.lit(damping) * F.coalesce("msg", F.lit(0.0)))
         state, active = gens.keep(both.select("id", "shard_id", F.col("_new").alias("value"), "out_deg", (F.col("_new") != F.col("value")).alias("active")))
         rounds += 1
     return Result(state.select("id", "value"), [], rounds, not active)
@@ -187,3 +246,25 @@ def compare(a: DataFrame, b: DataFrame) -> DataFrame:
 def memory_bytes(sg: ShardedGraph, workers: int) -> int:
     """What the model holds: two value arrays, the out-degrees and one shard a worker."""
     return 3 * VERTEX_BYTES * sg.n + workers * EDGE_BYTES * sg.m // max(1, sg.shards)
+
+
+def hits(sg: ShardedGraph, rounds: int = 10) -> DataFrame:
+    """(id, hub, authority) after so many rounds: authorities sum their in-neighbours' hub values, hubs their
+    out-neighbours' authorities, and each has length 1 after a round. All are 1 at first."""
+    state = saved(sg.vinfo.select("id", F.lit(1.0).alias("hub"), F.lit(1.0).alias("authority")), "hits")
+
+    def summed(values: DataFrame, out: str, near: str, far: str) -> DataFrame:
+        met = sg.edges.select("src", "dst").join(values.select(F.col("id").alias(near), F.col("_x")), near)
+        return met.groupBy(F.col(far).alias("id")).agg(F.sum("_x").alias(out))
+
+    def scaled(df: DataFrame, c: str) -> DataFrame:
+        length = df.agg(F.sqrt(F.sum(F.col(c) * F.col(c))).alias("s")).first()["s"] or 1.0
+        return df.withColumn(c, F.col(c) / F.lit(length))
+
+    for _ in range(rounds):
+        a = summed(state.withColumn("_x", F.col("hub")), "_a", "src", "dst")
+        new = saved(state.select("id").join(a, "id", "left").select("id", F.coalesce("_a", F.lit(0.0)).alias("authority")), "hits-a")
+        new = scaled(new, "authority")
+        h = summed(new.withColumn("_x", F.col("authority")), "_h", "dst", "src")
+        state = scaled(saved(new.join(h, "id", "left").select("id", F.coalesce("_h", F.lit(0.0)).alias("hub"), "authority"), "hits-h"), "hub")
+    return state.select("id", "hub", "authority")

@@ -55,6 +55,8 @@ class VertexProgram:
     kernel: Callable | None = None
     #: Whether unchanged inputs leave a vertex as it is, so that shards may be skipped without loss.
     idempotent: bool = True
+    #: The column of the vertex information that gather is given as out_deg: out_deg, or out_weight for the sum of out-edges' values.
+    degree: str = "out_deg"
 
     def aggregate(self, message: Column) -> Column:
         return {"sum": F.sum, "min": F.min, "max": F.max, "mode": lambda c: F.mode(c, deterministic=True)}[self.combine](message)
@@ -106,8 +108,9 @@ class Result:
 class ShardedGraph:
     """A prepared graph: shards of in-edges by destination interval, with what each application needs.
 
-    edges(shard_id, src, dst, weight) partitioned by shard_id; intervals(shard_id, lo, hi, edges);
-    vinfo(id, shard_id, in_deg, out_deg); mirror(shard_id, src); filters(shard_id, m, k, words); csr, one row a shard.
+    edges(shard_id, src, dst, weight) in buckets of shard_id; intervals(shard_id, lo, hi, edges);
+    vinfo(id, shard_id, in_deg, out_deg, out_weight); mirror(shard_id, src) in buckets of src; filters(shard_id, m, k, places,
+    words); csr, one row a shard.
     bounds is the intervals on the driver: one row a shard.
     """
 
@@ -126,14 +129,30 @@ class ShardedGraph:
     def shards(self) -> int:
         return len(self.bounds)
 
+    @property
+    def buckets(self) -> int:
+        return buckets_of(self.shards)
+
     def shard_of(self, c: Column) -> Column:
         return interval_of(c, [b[1] for b in self.bounds])
 
 
+def buckets_of(shards: int) -> int:
+    """Buckets of the tables of so many shards."""
+    return max(1, min(shards, 4096))
+
+
 def interval_of(c: Column, starts: list[int]) -> Column:
-    """The interval that holds id c, by a balanced tree of comparisons in generated code up to 256 intervals, an array search above."""
+    """The interval that holds id c; null for a null or negative id.
+
+    By a balanced tree of comparisons in generated code up to 256 intervals; above, by halving steps
+    over one literal array: as many steps as the number of intervals has bits.
+    """
+    held = c >= 0
     if len(starts) > 256:
-        return (F.size(F.filter(F.array(*map(F.lit, starts)), lambda s: s <= c)) - 1).cast("int")
+        all_ = F.split(F.lit(",".join(map(str, starts))), ",").cast("array<bigint>")
+        steps = F.array(*(F.lit(1 << k) for k in reversed(range(len(starts).bit_length()))))
+        return F.when(held, F.aggregate(steps, F.lit(0), lambda at, h: F.when(F.coalesce(F.get(all_, at + h) <= c, F.lit(False)), at + h).otherwise(at)))
 
     def half(lo: int, hi: int) -> Column:
         if lo == hi:
@@ -141,4 +160,4 @@ def interval_of(c: Column, starts: list[int]) -> Column:
         mid = (lo + hi + 1) // 2
         return F.when(c < starts[mid], half(lo, mid - 1)).otherwise(half(mid, hi))
 
-    return half(0, len(starts) - 1).cast("int")
+    return F.when(held, half(0, len(starts) - 1)).cast("int")

@@ -91,9 +91,13 @@ def join_theta(s, d):
 
 @op(o.intervals("part_next", 16) + " select v.id, shard_id from v join iv on v.id between lo and hi")
 def join_range(s, d):
+    """Ids meet the intervals that hold them by a range condition; intervals are P rows and go to every task."""
+    from shardgraph.build import prepare
     from shardgraph.workloads.queries import sharded
 
-    return sharded(s, d, "part_next").vinfo.select("id", "shard_id")
+    sg = sharded(s, d, "part_next")
+    intervals = prepare.bounds_frame(s, sg.bounds).select("shard_id", "lo", "hi")
+    return graphs.part_next(s, d).vertices.join(F.broadcast(intervals), F.col("id").between(F.col("lo"), F.col("hi"))).select("id", "shard_id")
 
 
 @op("select p.event_id, v.event_id as last_view from events p asof left join (select user_id, ts, event_id from events where event_type = 'view') v on p.user_id = v.user_id and v.ts < p.ts where p.event_type = 'purchase'")
@@ -418,6 +422,12 @@ def approx_users(s, d):
     return e.agg((F.approx_count_distinct("user_id") > 0).alias("some"), F.count("*").alias("n"))
 
 
+@op("select event_id, user_id from events where substr(md5(event_id::varchar), 1, 1) < '4'")
+def sample(s, d):
+    """A quarter of the rows by the hash of their key: the same ones on every run and however rows are dealt."""
+    return table(s, d, "events").where("substr(md5(cast(event_id as string)), 1, 1) < '4'").select("event_id", "user_id")
+
+
 # event windows, in batch and as streams
 
 
@@ -457,7 +467,7 @@ def stream_degrees(s, d):
     return streaming.drained(streaming.degrees_so_far(streaming.events(s, d)), "complete", "degrees")
 
 
-@op()
+@op("select start, event_type, n from (select time_bucket(interval 1 hour, ts) as start, event_type, count(*) as n from events group by 1, 2) where start + interval 1 hour <= (select max(ts) from events) - interval 10 minutes")
 def stream_late(s, d):
     """Windows that the watermark has closed; the last, open ones are not emitted in append mode."""
     return streaming.drained(streaming.tumbling(streaming.events(s, d)), "append", "late")

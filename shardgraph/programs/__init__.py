@@ -12,7 +12,7 @@ def pagerank(damping: float = 0.85, tol: float = 0.0, weighted: bool = False, de
     """(1 - d) / V + d * sum of value / out-degree over in-edges; all active at first.
 
     Vertices without out-edges pass nothing on, so the sum may fall below 1; see engine.pagerank for
-    redistribution. decimal makes sums independent of order. seeds, a set of ids, personalises the restart.
+    redistribution. weighted shares a value by the edges' weights over their sum. decimal makes sums independent of order. seeds, a set of ids, personalises the restart.
     """
     share = (lambda v, w, d: v * w / d) if weighted else (lambda v, w, d: v / d)
 
@@ -34,6 +34,7 @@ def pagerank(damping: float = 0.85, tol: float = 0.0, weighted: bool = False, de
         changed=lambda old, new: F.abs(new - old) > tol if tol else new != old,
         kernel=None if weighted or decimal or seeds is not None else lambda row, col, val, old, deg, lo, n: (1 - damping) / n + damping * _sums(row, (old / np.maximum(deg, 1))[col]),
         idempotent=tol == 0,
+        degree="out_weight" if weighted else "out_deg",
     )
 
 

@@ -3,7 +3,10 @@
 from __future__ import annotations
 
 import atexit
+import hashlib
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -39,9 +42,48 @@ def saved(df: DataFrame, label: str = "table", partition_by: tuple[str, ...] = (
     w = df.write
     if partition_by:
         w = w.partitionBy(*partition_by)
-    w.parquet(path)
+    with dealt_by_one_key(df.sparkSession):
+        w.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def _name(path: str) -> str:
+    return "shardgraph_" + hashlib.md5(path.encode()).hexdigest()[:20]
+
+
+def bucketed(df: DataFrame, path: str, key: str, buckets: int, sort: tuple[str, ...] = ()) -> DataFrame:
+    """Write df under path in buckets of key, one file each, and read it as a table that joins and groups on key don't shuffle."""
+    w = df.repartition(buckets, key).write.bucketBy(buckets, key)
+    if sort:
+        w = w.sortBy(*sort)
+    with dealt_by_one_key(df.sparkSession):
+        w.option("path", path).saveAsTable(_name(path))
+    return df.sparkSession.table(_name(path))
+
+
+def open_bucketed(spark: SparkSession, path: str, schema: str, key: str, buckets: int) -> DataFrame:
+    """The same for files that another session wrote."""
+    spark.sql(f"create table if not exists {_name(path)} ({schema}) using parquet clustered by ({key}) into {buckets} buckets location '{path}'")
+    return spark.table(_name(path))
+
+
+@contextmanager
+def dealt_by_one_key(spark: SparkSession) -> Iterator[None]:
+    """Plans made in here may join on several keys tables that are both dealt by one of them, without dealing them again."""
+    key = "spark.sql.requireAllClusterKeysForCoPartition"
+    old = spark.conf.get(key, None)
+    spark.conf.set(key, "false")
+    try:
+        yield
+    finally:
+        spark.conf.unset(key) if old is None else spark.conf.set(key, old)
+
+
+def drop_bucketed(spark: SparkSession, path: str) -> None:
+    """Forget such a table and delete its files."""
+    spark.sql(f"drop table if exists {_name(path)}")
+    forget(spark, path)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")

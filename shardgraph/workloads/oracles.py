@@ -33,8 +33,8 @@ GRAPHS = {
         n as (select id as src, lead(id) over (partition by conv_id order by turn) as dst from t), e as materialized (select src, dst, 1::bigint as weight from n where dst is not null), v as (select id from t)""",
     "doc_dup": """l as (select doc_id, lower(trim(unnest(string_split(text, chr(10))))) as line from documents), k as (select line, min(doc_id) as src from l where length(line) >= 40 group by line),
         e as materialized (select distinct src, doc_id as dst, 1::bigint as weight from l join k using (line) where doc_id <> src), v as (select doc_id as id from documents)""",
-    "vec_knn": """x as (select vec_id, label, embedding::double[] as e from embeddings),
-        e as materialized (select a.vec_id as src, b.vec_id as dst, 1::bigint as weight from x a join x b on a.label = b.label and a.vec_id < b.vec_id and list_cosine_similarity(a.e, b.e) >= 0.98), v as (select vec_id as id from embeddings)""",
+    "vec_knn": """x as (select vec_id, label, embedding::double[] as e from embeddings where label is not null),
+        e as materialized (select a.vec_id as src, b.vec_id as dst, 1::bigint as weight from x a join x b on a.label = b.label and a.vec_id < b.vec_id and list_cosine_similarity(a.e, b.e) >= 0.4), v as (select vec_id as id from embeddings)""",
 }
 DEGREES = """di as (select dst as id, count(*) as d from e group by dst), dо as (select src as id, count(*) as d from e group by src),
     deg as materialized (select v.id, coalesce(di.d, 0)::bigint as in_deg, coalesce(dо.d, 0)::bigint as out_deg from v left join di on di.id = v.id left join dо on dо.id = v.id)""".replace("dо", "dout")
@@ -65,14 +65,44 @@ def intervals(g: str, shards: int) -> str:
     )
 
 
-def pagerank(g: str, rounds: int = 10, damping: float = 0.85) -> str:
-    parts = [DEGREES, "n as (select count(*)::double as n from v)".replace("n as", "nv as"), "r0 as materialized (select id, 1.0::double / n as value from v, nv)"]
+def pagerank(g: str, rounds: int = 10, damping: float = 0.85, weighted: bool = False, seeds: tuple[int, ...] = ()) -> str:
+    share = "value * weight / total" if weighted else "value / out_deg"
+    out = "join (select src, sum(weight) as total from e group by src) t on t.src = e.src" if weighted else "join deg on deg.id = e.src"
+    restart = f"case when v.id in {seeds!r} then {(1 - damping) / len(seeds)!r}::double else 0 end" if seeds else f"{1 - damping!r}::double / n"
+    parts = [DEGREES, "nv as (select count(*)::double as n from v)", "r0 as materialized (select id, 1.0::double / n as value from v, nv)"]
     for k in range(1, rounds + 1):
-        parts.append(f"r{k} as materialized (select v.id, {1 - damping!r}::double / n + {damping!r}::double * coalesce(m.s, 0) as value from v cross join nv left join (select dst, sum(value / out_deg) as s from e join r{k - 1} r on r.id = e.src join deg on deg.id = e.src group by dst) m on m.dst = v.id)")
+        parts.append(f"r{k} as materialized (select v.id, {restart} + {damping!r}::double * coalesce(m.s, 0) as value from v cross join nv left join (select dst, sum({share}) as s from e join r{k - 1} r on r.id = e.src {out} group by dst) m on m.dst = v.id)")
     return head(g, *parts)
 
 
-def sssp(g: str, weighted: bool = True, source: int = 0) -> str:
+def influence(g: str, rounds: int, damping: float = 0.5) -> str:
+    parts = ["r0 as materialized (select id, 1.0::double as value from v)"]
+    for k in range(1, rounds + 1):
+        parts.append(f"r{k} as materialized (select v.id, 1.0::double + {damping!r}::double * coalesce(m.s, 0) as value from v left join (select dst, sum(value) as s from e join r{k - 1} r on r.id = e.src group by dst) m on m.dst = v.id)")
+    return head(g, *parts)
+
+
+def hits(g: str, rounds: int) -> str:
+    parts = ["h0 as materialized (select id, 1.0::double as hub, 1.0::double as authority from v)"]
+    for k in range(1, rounds + 1):
+        parts += [
+            f"x{k} as materialized (select v.id, coalesce(sum(hub), 0) as a from v left join e on e.dst = v.id left join h{k - 1} h on h.id = e.src group by v.id)",
+            f"a{k} as materialized (select id, a / sqrt(sum(a * a) over ()) as authority from x{k})",
+            f"y{k} as materialized (select v.id, coalesce(sum(authority), 0) as b from v left join e on e.src = v.id left join a{k} a on a.id = e.dst group by v.id)",
+            f"h{k} as materialized (select y.id, b / sqrt(sum(b * b) over ()) as hub, authority from y{k} y join a{k} a on a.id = y.id)",
+        ]
+    return head(g, *parts)
+
+
+def visits(g: str, shards: int) -> str:
+    """k(iter, shards_read): shards with an in-edge from a vertex that the round before reached, by rounds of unit-weight distances."""
+    cut = intervals(g, shards)[len("with recursive ") :]
+    reach = sssp(g, False)[len("with recursive ") + len(GRAPHS[g]) :]
+    return "with recursive " + cut + reach + """, held as materialized (select distinct shard_id, src from e join iv on dst between lo and hi),
+        k as materialized (select (value + 1)::int as iter, count(distinct shard_id) as shards_read from dist left join held on src = dist.id where value is not null group by 1)"""
+
+
+def sssp(g: str, weighted: bool = True, source: int | str = 0) -> str:
     step = "e.weight" if weighted else "1"
     return head(g) + f""", d(id, dist) using key (id) as (select {source}::bigint, 0::bigint union
         (select e.dst, min(d.dist + {step})::bigint from d join e on e.src = d.id left join recurring.d r on r.id = e.dst where r.dist is null or d.dist + {step} < r.dist group by e.dst)),

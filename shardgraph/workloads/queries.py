@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from shardgraph import cost, programs
-from shardgraph.baselines import MODELS, run_model, spmv
+from shardgraph.baselines import MODELS, HybridCut, run_model, spmv
 from shardgraph.build import graphs, prepare
 from shardgraph.core import cache, engine, schedule
 from shardgraph.model.graph import EngineOptions, Graph, ShardedGraph
@@ -48,14 +48,23 @@ def _run(model: str, app: str, sg: ShardedGraph, rounds: int, **opts) -> engine.
     return run_model(model, sg, program, EngineOptions(max_iter=rounds, **opts))
 
 
-def _fitting(sg: ShardedGraph, program, rounds: int, tables: bool = False) -> engine.Result:
-    """By the kernel where its arrays fit, and by rounds over tables beyond or where asked."""
-    run = engine.run if tables or sg.n > engine.KERNEL_ROWS else engine.run_kernel
+def _fitting(sg: ShardedGraph, program, rounds: int) -> engine.Result:
+    """By the kernel where its arrays fit, and by rounds over tables beyond."""
+    run = engine.run if sg.n > engine.KERNEL_ROWS else engine.run_kernel
     return run(sg, program, EngineOptions(max_iter=rounds))
 
 
 def _kernel(spark, sf, name, program, rounds, symmetric=False) -> DataFrame:
-    return _fitting(sharded(spark, sf, name, symmetric), program, rounds, name == "doc_dup").values  # a document is a vertex there
+    return _fitting(sharded(spark, sf, name, symmetric), program, rounds).values
+
+
+def _settled(spark, sf, name, program, symmetric=False) -> DataFrame:
+    """Values once nothing changes any more, by rounds over tables: paths have fewer edges than there are vertices."""
+    sg = sharded(spark, sf, name, symmetric)
+    r = engine.run(sg, program, EngineOptions(max_iter=sg.n + 1))
+    if not r.converged:
+        raise RuntimeError(f"{program.name} did not settle in {r.rounds} rounds")
+    return r.values
 
 
 def _cuts(spark, sf, g):
@@ -73,16 +82,36 @@ def _lookup(spark, sf):
     return prepare.in_neighbors(csr, 7, sg.bounds)
 
 
-def _exact(spark, sf, bloom):
-    """Shards with an active source when vertices below 5 are active; the filters' answer minus these is what they add."""
+def _exact(spark, sf):
+    """Shards with an active source when vertices below 5 are active."""
     sg = sharded(spark, sf, "event_chain")
-    active = sg.vinfo.where("id < 5")
-    exact = schedule.active_shards_exact(sg.mirror, active)
-    if not bloom:
-        return exact
-    found = schedule.active_shards_bloom(sg.filters, active)
-    missed = exact.join(found, "shard_id", "left_anti").agg(F.count("*").alias("missed"))
-    return missed
+    return schedule.active_shards_exact(sg.mirror, sg.vinfo.where("id < 5"))
+
+
+def _bloom(spark, sf, g):
+    """For each shard alone, its least source being active: shards that must be read, those that filters miss, and whether
+    they add a twentieth of all at most."""
+    sg = sharded(spark, sf, g)
+    tried = sg.mirror.groupBy("shard_id").agg(F.min("src").alias("id"))
+    rows = []
+    for r in tried.orderBy("shard_id").collect():  # one a shard
+        active = spark.createDataFrame([(r["id"],)], "id long")
+        exact, found = ({x["shard_id"] for x in f(t, active).collect()} for f, t in ((schedule.active_shards_exact, sg.mirror), (schedule.active_shards_bloom, sg.filters)))
+        rows.append((r["shard_id"], len(exact), len(exact - found), len(found - exact) <= max(1, sg.shards // 20)))
+    return spark.createDataFrame(rows, "shard_id int, needed long, missed long, few_more boolean")
+
+
+def _visits(spark, sf, g, how):
+    """Shards that each round of unit-weight distances reads when scheduling is always on; with filters, whether it read
+    what it must and a twentieth of all more at most."""
+    sg = sharded(spark, sf, g)
+    rows = {k: [(x["iter"], x["shards_read"]) for x in engine.run_kernel(sg, programs.bfs(0), EngineOptions(max_iter=1000, schedule=k, threshold=1.0)).ledger] for k in {"exact", how}}
+    if how == "exact":
+        return spark.createDataFrame(rows["exact"], "iter int, shards_read long")
+    more = sum(b - a for (_, a), (_, b) in zip(rows["exact"], rows[how], strict=True))
+    enough = all(a <= b for (_, a), (_, b) in zip(rows["exact"], rows[how], strict=True))
+    needed = sum(a for _, a in rows["exact"])
+    return spark.createDataFrame([(needed, enough, more <= max(2, len(rows[how]) * sg.shards // 20))], "needed long, enough boolean, few_more boolean")
 
 
 def _mirrors(spark, sf, g):
@@ -97,7 +126,15 @@ def _choices(spark, sf):
 def _admission(spark, sf):
     sg = sharded(spark, sf, "part_next")
     sizes = prepare.bounds_frame(spark, sg.bounds).select("shard_id", (F.col("edges") * 8).alias("bytes"))
-    return cache.admission_by_prefix(sizes, sg.m * 8 // 2)
+    return cache.admission(sizes, sg.m * 8 // 2)
+
+
+def _hits(spark, sf):
+    """Cached shards and edges read from files in each of three rounds, with room for two fifths of the raw shards."""
+    sg = sharded(spark, sf, "part_next")
+    raw = 8 * (sg.n + sg.shards + 2 * sg.m + 3 * sg.shards)
+    r = _run("pull_window", "pagerank", sg, 3, cache=1, cache_bytes=raw * 2 // 5)
+    return spark.createDataFrame([(x["iter"], x["cache_hits"], x["read_rows"]) for x in r.ledger], "iter int, hits long, read_rows long")
 
 
 def _analytic(spark, sf, g):
@@ -105,15 +142,16 @@ def _analytic(spark, sf, g):
     return cost.analytic_frame(spark, 8, 8, sg.n, sg.m, SHARDS, 4, 1.0)
 
 
-def _ledger(spark, sf, model):
-    """Logical bytes of one round under a model by formula, scheduling and cache off."""
-    sg = sharded(spark, sf, "part_next")
+def _ledger(spark, sf, model, g):
+    """Bytes of the records that one round under a model read and wrote, as counted, scheduling and cache off."""
+    sg = sharded(spark, sf, g)
     return _run(model, "pagerank", sg, 1).ledger_frame().where("iter = 1").select("model", "read_bytes", "write_bytes")
 
 
-def _activity(spark, sf, g):
-    """Vertices that each round of unit-weight distances changes."""
-    r = _fitting(sharded(spark, sf, g), programs.bfs(0), 1000)
+def _activity(spark, sf, g, app="bfs"):
+    """Vertices that the round before left changed, for each round."""
+    program = {"bfs": programs.bfs(0), "cc": programs.components(), "pagerank": programs.pagerank()}[app]
+    r = _fitting(sharded(spark, sf, g, app == "cc"), program, 200 if app == "pagerank" else 100_000)
     rows = [(x["iter"], x["active"]) for x in r.ledger]
     return spark.createDataFrame(rows, "iter int, active long")
 
@@ -125,11 +163,11 @@ def _topk(spark, sf, k=10):
 
 def _parents(spark, sf):
     sg = sharded(spark, sf, "part_next")
-    return engine.sssp_parents(sg, _kernel(spark, sf, "part_next", programs.sssp((0,)), 1000))
+    return engine.sssp_parents(sg, _settled(spark, sf, "part_next", programs.sssp((0,))))
 
 
 def _cc_sizes(spark, sf, g):
-    return _kernel(spark, sf, g, programs.components(), 10000, True).groupBy(F.col("value").alias("component")).agg(F.count("*").alias("size"))
+    return _settled(spark, sf, g, programs.components(), True).groupBy(F.col("value").alias("component")).agg(F.count("*").alias("size"))
 
 
 def _agree(spark, sf, model, app, g="part_next"):
@@ -151,6 +189,13 @@ def _cached(spark, sf, mode):
     return _rounded(_run("pull_window", "pagerank", sg, 10, cache=mode, cache_bytes=sg.m * 8 // 5).values)
 
 
+def _hubs(spark, sf, g):
+    """Vertices whose in-edges the hybrid cut spreads, and those edges."""
+    sg = sharded(spark, sf, g)
+    limit = HybridCut(sg, programs.pagerank(), EngineOptions()).limit()
+    return sg.vinfo.where(F.col("in_deg") > limit).agg(F.count("*").alias("hubs"), F.sum("in_deg").alias("hub_edges"))
+
+
 def _redistributed(spark, sf):
     return _rounded(engine.pagerank(sharded(spark, sf, "event_chain"), EngineOptions(max_iter=10), dangling="redistribute").values)
 
@@ -196,9 +241,17 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
         add(f"symmetrize_{g}", lambda s, d, g=g: graphs.symmetrize(graph(s, d, g)).edges, o.head(g, o.SYMMETRIC) + " select src, dst, weight from s")
         add(f"pagerank10_{g}", lambda s, d, g=g: _rounded(_run("pull_window", "pagerank", sharded(s, d, g), 10).values), o.pagerank(g) + " select id, round(value, 10) as value from r10")
         add(f"pagerank10_kernel_{g}", lambda s, d, g=g: _rounded(_kernel(s, d, g, programs.pagerank(), 10)), o.pagerank(g) + " select id, round(value, 10) as value from r10")
-        add(f"sssp_{g}", lambda s, d, g=g: _kernel(s, d, g, programs.bfs(0), 10000), o.sssp(g, False) + " select id, value from dist")
-        add(f"sssp_weighted_{g}", lambda s, d, g=g: _kernel(s, d, g, programs.sssp((0,)), 10000), o.sssp(g) + " select id, value from dist")
-        add(f"cc_{g}", lambda s, d, g=g: _kernel(s, d, g, programs.components(), 10000, True), o.components(g) + " select id, label as value from c")
+        add(f"pagerank10_routed_{g}", lambda s, d, g=g: _rounded(_run("pull_window", "pagerank", sharded(s, d, g), 10, broadcast_rows=0).values), o.pagerank(g) + " select id, round(value, 10) as value from r10")
+        for way, run, routed in (("", _settled, False), ("_kernel", _kernel, True)):
+            more = (100_000,) if routed else ()
+            add(f"sssp{way}_{g}", lambda s, d, g=g, run=run, more=more: run(s, d, g, programs.bfs(0), *more), o.sssp(g, False) + " select id, value from dist")
+            add(f"sssp_weighted{way}_{g}", lambda s, d, g=g, run=run, more=more: run(s, d, g, programs.sssp((0,)), *more), o.sssp(g) + " select id, value from dist")
+            add(f"cc{way}_{g}", lambda s, d, g=g, run=run, more=more: run(s, d, g, programs.components(), *more, symmetric=True), o.components(g) + " select id, label as value from c")
+        add(f"shards_read_exact_{g}", lambda s, d, g=g: _visits(s, d, g, "exact"), o.visits(g, SHARDS) + " select iter, shards_read from k")
+        add(f"shards_read_bloom_{g}", lambda s, d, g=g: _visits(s, d, g, "selective"), o.visits(g, SHARDS) + " select sum(shards_read)::bigint as needed, true as enough, true as few_more from k")
+        add(f"shards_active_bloom_{g}", lambda s, d, g=g: _bloom(s, d, g), o.intervals(g, SHARDS) + ", h as materialized (select distinct shard_id, src from e join iv on dst between lo and hi), f as (select shard_id, min(src) as src from h group by 1) select f.shard_id, (select count(*) from h where h.src = f.src) as needed, 0::bigint as missed, true as few_more from f")
+        for app in ("cc", "pagerank"):
+            add(f"active_ratio_{app}_{g}", lambda s, d, g=g, app=app: _activity(s, d, g, app))
         add(f"active_ratio_sssp_{g}", lambda s, d, g=g: _activity(s, d, g), o.sssp(g, False) + " select (value + 1)::int as iter, count(*) as active from dist where value is not null group by 1")
         x = f"(1 - exp(-m / v / {SHARDS}.0)) * {SHARDS}.0"
         add(f"analytic_t3_{g}", lambda s, d, g=g: _analytic(s, d, g), o.head(g) + f""", k as (select (select count(*) from e)::double as m, (select count(*) from v)::double as v)
@@ -216,24 +269,28 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
         parts.append(f"r{k} as materialized (select v.id, 0.15::double / n + 0.85::double * (select coalesce(sum(r.value), 0) from r{k - 1} r join deg on deg.id = r.id where out_deg = 0) / n + 0.85::double * coalesce(m.s, 0) as value from v cross join nv left join (select dst, sum(value / out_deg) as s from e join r{k - 1} r on r.id = e.src join deg on deg.id = e.src group by dst) m on m.dst = v.id)")
     add("pagerank_dangling", _redistributed, o.head("event_chain", *parts) + " select id, round(value, 10) as value from r10")
     add("sssp_parents", _parents, o.sssp("part_next") + " select b.id, min(e.src) as parent from e join dist a on a.id = e.src join dist b on b.id = e.dst where a.value + e.weight = b.value group by b.id")
-    add("shards_active_exact", lambda s, d: _exact(s, d, False), o.intervals("event_chain", SHARDS) + " select distinct shard_id from e join iv on dst between lo and hi where src < 5")
-    add("shards_active_bloom", lambda s, d: _exact(s, d, True), "select 0::bigint as missed")
+    add("shards_active_exact", _exact, o.intervals("event_chain", SHARDS) + " select distinct shard_id from e join iv on dst between lo and hi where src < 5")
     for how in ("selective", "exact", "vertex"):
         add(f"schedule_lossless_{how}", lambda s, d, how=how: _schedule_same(s, d, how), o.head("part_next") + " select count(*) as vertices, 0::bigint as differ from v")
     for mode in range(5):
         add(f"cache_mode{mode}_pagerank10", lambda s, d, mode=mode: _cached(s, d, mode), o.pagerank("part_next") + " select id, round(value, 10) as value from r10")
     add("cache_choice", _choices, "select s as size, c as capacity, case when s <= c then 1 when s / 2 <= c then 2 when s / 4 <= c then 3 else 4 end as mode from (select unnest([6.5, 196.0, 362.0])::double as s) cross join (select unnest([100.0, 80.0, 50.0])::double as c)")
-    add("cache_admission", _admission, o.intervals("part_next", SHARDS) + ", k as (select shard_id, (select sum(in_deg)::bigint from deg where id between lo and hi) * 8 as bytes from iv) select shard_id, bytes, sum(bytes) over (order by shard_id) <= (select sum(in_deg)::bigint * 8 // 2 from deg) as cached from k")
+    sized = o.intervals("part_next", SHARDS) + ", k as materialized (select shard_id, (select sum(in_deg)::bigint from deg where id between lo and hi) as edges, hi - lo + 1 as own from iv), room as (select sum(edges) * 8 // 2 as half, (8 * (sum(own) + 4 * count(*) + 2 * sum(edges))) * 2 // 5 as raw from k), "
+    walk = "a(shard_id, bytes, used, cached) as (select -1, 0::bigint, 0::bigint, false union all select k.shard_id, {b}, a.used + case when a.used + {b} <= {room} then {b} else 0 end, a.used + {b} <= {room} from a join k on k.shard_id = a.shard_id + 1, room)"
+    add("cache_admission", _admission, sized + walk.format(b="(k.edges * 8)::bigint", room="half") + " select shard_id, bytes, cached from a where shard_id >= 0")
+    add("cache_hits_raw", _hits, sized + walk.format(b="(8 * (k.own + 4 + 2 * k.edges))::bigint", room="raw") + " select unnest([1, 2, 3])::int as iter, count(*) filter (cached) as hits, sum(edges) filter (not cached)::bigint as read_rows from a join k using (shard_id)")
     add("compression", lambda s, d: cache.compression_report(_csr(s, d, "part_next")[1]))
     add("compression_delta", lambda s, d: cache.compression_report(_csr(s, d, "part_next")[1], delta=True))
     flat = {"pagerank": o.pagerank("part_next") + " select id, round(value, 10) as value from r10", "sssp": o.sssp("part_next") + " select id, value from dist", "cc": o.components("part_next") + " select id, label as value from c"}
     for model in ("pull_window", *MODELS):
         for app, want in flat.items():
             add(f"{model}_{'pagerank10' if app == 'pagerank' else app}", lambda s, d, m=model, a=app: _agree(s, d, m, a), want)
-    sizes = o.intervals("part_next", SHARDS) + ", k as (select (select count(*) from e) as m, (select count(*) from v) as n, (select count(*) from iv) as p, (select count(*) from (select distinct shard_id, src from e join iv on dst between lo and hi)) as mir) "
-    io = {"pull_window": ("8 * m", "0"), "psw": ("8 * n + 32 * m", "8 * n + 32 * m"), "esg": ("8 * n + 16 * m", "8 * n + 8 * m"), "vsp": ("8 * (n + mir) + 8 * m", "8 * n"), "dsw": ("8 * 4 * n + 8 * m", "8 * 4 * n"), "spmv_mem": ("0", "0"), "bsp_ooc": ("8 * m + 16 * m", "16 * m"), "esg_cluster": ("8 * n + 16 * m", "8 * n + 8 * m")}
-    for model, (r, w) in io.items():
-        add(f"ledger_{model}", lambda s, d, m=model: _ledger(s, d, m), sizes + f"select '{model}' as model, ({r})::bigint as read_bytes, ({w})::bigint as write_bytes from k")
+    io = {"pull_window": ("8 * m", "0"), "psw": ("8 * n + 32 * m", "8 * n + 32 * m"), "esg": ("8 * n + 16 * m", "8 * n + 8 * m"), "vsp": ("8 * (n + mir) + 8 * m", "8 * n"), "dsw": ("8 * 4 * n + 8 * m + 8 * blk", "8 * blk + 8 * n"), "spmv_mem": ("0", "0"), "bsp_ooc": ("8 * m + 16 * m", "16 * m"), "esg_cluster": ("8 * n + 16 * m", "8 * n + 8 * m")}
+    for g in MAIN:
+        sizes = o.intervals(g, SHARDS) + """, k0 as (select (select count(*) from e) as m, (select count(*) from v) as n, (select count(*) from iv) as p),
+            k as (select m, n, p, (select count(*) from (select distinct dst * p // n, src from e)) as mir, (select count(*) from (select distinct src * 4 // n, dst from e)) as blk from k0) """
+        for model, (r, w) in io.items():
+            add(f"ledger_{model}_{g}", lambda s, d, m=model, g=g: _ledger(s, d, m, g), sizes + f"select '{model}' as model, ({r})::bigint as read_bytes, ({w})::bigint as write_bytes from k")
     for ring, (f, a) in {"plus_times": ("sum(src * weight)::bigint", ""), "min_plus": ("min(src + weight)", ""), "min_first": ("min(src)", "")}.items():
         add(f"spmv_{ring}", lambda s, d, ring=ring: _spmv(s, d, ring), o.head("part_next") + f" select dst as id, {f} as value from e group by dst")
     add("in_degree_program", lambda s, d: _kernel_free(s, d, programs.in_degree(), 1), o.head("part_next", o.DEGREES) + " select id, in_deg as value from deg")
@@ -241,7 +298,19 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
     add("max_propagation", lambda s, d: engine.run(sharded(s, d, "part_next", True), programs.max_propagation(), EngineOptions(max_iter=200)).values, o.components("part_next") + ", k as (select label, max(id) as value from c group by label) select c.id, k.value from c join k using (label)")
     add("cc_unsymmetrised", lambda s, d: _kernel(s, d, "event_chain", programs.components(), 10000), o.head("event_chain") + ", c(id, label) using key (id) as (select id, id from v union (select e.dst, min(c.label) from c join e on e.src = c.id join recurring.c r on r.id = e.dst where c.label < r.label group by e.dst)) select id, label as value from c")
     add("pagerank_decimal", lambda s, d: engine.run(sharded(s, d, "part_next"), programs.pagerank(decimal=True), EngineOptions(max_iter=10)).values.select("id", F.round("value", 10).alias("value")), o.pagerank("part_next") + " select id, round(value, 10) as value from r10")
-    add("label_propagation", lambda s, d: _kernel_free(s, d, programs.label_propagation(), 3))
-    add("widest_path", lambda s, d: _kernel_free(s, d, programs.widest_path(0)))
-    add("multi_source_sssp", lambda s, d: _kernel(s, d, "part_next", programs.sssp((0, 1, 2)), 1000))
+    votes = ["l0 as materialized (select id, id as label from v)"]
+    for k in range(1, 4):
+        votes.append(f"l{k} as materialized (select v.id, coalesce(m.label, p.label) as label from v join l{k - 1} p on p.id = v.id left join (select dst, label, row_number() over (partition by dst order by count(*) desc, label) as best from e join l{k - 1} p on p.id = e.src group by dst, label) m on m.dst = v.id and m.best = 1)")
+    add("label_propagation", lambda s, d: _kernel_free(s, d, programs.label_propagation(), 3), o.head("part_next", *votes) + " select id, label as value from l3")
+    add("widest_path", lambda s, d: _kernel_free(s, d, programs.widest_path(0)), o.head("part_next") + """, w(id, width) using key (id) as (select 0::bigint, (2::hugeint ** 62)::bigint union
+        (select e.dst, max(least(w.width, e.weight))::bigint from w join e on e.src = w.id left join recurring.w r on r.id = e.dst where r.width is null or least(w.width, e.weight) > r.width group by e.dst)) select v.id, w.width as value from v left join w on w.id = v.id""")
+    add("multi_source_sssp", lambda s, d: _settled(s, d, "part_next", programs.sssp((0, 1, 2))), o.sssp("part_next", source="unnest([0, 1, 2])") + " select id, value from dist")
+    add("multi_source_sssp_kernel", lambda s, d: _kernel(s, d, "part_next", programs.sssp((0, 1, 2)), 1000), o.sssp("part_next", source="unnest([0, 1, 2])") + " select id, value from dist")
+    for g in ("part_next", "word_next"):
+        add(f"pagerank_weighted_{g}", lambda s, d, g=g: _rounded(engine.run(sharded(s, d, g), programs.pagerank(weighted=True), EngineOptions(max_iter=10)).values), o.pagerank(g, weighted=True) + " select id, round(value, 10) as value from r10")
+    add("pagerank_personalised", lambda s, d: _rounded(engine.run(sharded(s, d, "part_next"), programs.pagerank(seeds={0, 7, 11}), EngineOptions(max_iter=10)).values), o.pagerank("part_next", seeds=(0, 7, 11)) + " select id, round(value, 10) as value from r10")
+    add("influence", lambda s, d: _rounded(engine.run(sharded(s, d, "event_chain"), programs.influence(), EngineOptions(max_iter=10)).values), o.influence("event_chain", 10) + " select id, round(value, 10) as value from r10")
+    add("hits", lambda s, d: engine.hits(sharded(s, d, "part_next"), 5).select("id", F.round("hub", 9).alias("hub"), F.round("authority", 9).alias("authority")), o.hits("part_next", 5) + " select id, round(hub, 9) as hub, round(authority, 9) as authority from h5")
+    for g in MAIN:
+        add(f"hybrid_hubs_{g}", lambda s, d, g=g: _hubs(s, d, g), o.head(g, o.DEGREES) + ", q as (select quantile_cont(in_deg, 0.99) as q from deg) select count(*) as hubs, sum(in_deg)::bigint as hub_edges from deg, q where in_deg > q")
     return q, sql

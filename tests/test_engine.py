@@ -2,11 +2,12 @@ import duckdb
 import numpy as np
 import pytest
 
-from shardgraph import programs
+from shardgraph import plans, programs
 from shardgraph.baselines import MODELS, run_model
 from shardgraph.build import graphs, prepare
 from shardgraph.core import cache, engine, schedule
 from shardgraph.model import EngineOptions, Graph
+from shardgraph.session import dealt_by_one_key
 
 
 def tiny(spark, edges, n, name="tiny"):
@@ -65,15 +66,46 @@ def literal_cut(deg, threshold):
 
 
 @pytest.mark.parametrize("deg,threshold", [([1] * 10, 3), ([9, 0, 0, 1, 2], 3), ([0, 0, 9, 0, 1, 1, 1, 1], 3), ([5], 3), ([0] * 5, 3), ([1, 2, 3, 4, 5, 6], 6), (list(range(40)) * 5, 77)])
-def test_greedy_cut(spark, monkeypatch, deg, threshold):
+def test_greedy_cut(spark, deg, threshold):
     df = spark.createDataFrame([(i, d, 0) for i, d in enumerate(deg)], "id long, in_deg long, out_deg long")
-    for block in (1 << 16, 4):
-        monkeypatch.setattr(prepare, "BLOCK", block)
+    for batch in (10000, 3):
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", batch)
         got = prepare.cut_intervals(df, threshold)
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
         assert [b[1] for b in got] == literal_cut(deg, threshold)
         assert sum(b[3] for b in got) == sum(deg) and got[-1][2] == len(deg) - 1
 
 
+def test_interval_policies(spark):
+    deg = [1, 5, 0, 2, 2, 9, 0, 0, 1, 3]
+    df = spark.createDataFrame([(i, d, 0) for i, d in enumerate(deg)], "id long, in_deg long, out_deg long")
+    starts = lambda **k: [b[1] for b in prepare.cut_intervals(df, 6, **k)]
+    assert starts(policy="equal_vertices", shards=4) == [0, 3, 5, 8]
+    assert starts(policy="user", bounds=[3, 7]) == [0, 3, 7]
+    before = np.cumsum([0, *deg[:-1]])
+    assert starts(policy="prefix") == [0, *(i for i in range(1, 10) if before[i] // 6 > before[i - 1] // 6)]
+    for policy in ("equal_vertices", "user", "prefix"):
+        got = prepare.cut_intervals(df, 6, policy, bounds=[3, 7], shards=4)
+        assert sum(b[3] for b in got) == sum(deg) and got[-1][2] == 9 and [a[2] + 1 for a in got[:-1]] == [b[1] for b in got[1:]]
+
+
+def test_five_thousand_shards(spark):
+    n = 20_000
+    g = Graph(spark.range(n).selectExpr("id as src", "(id * 7 + 1) % 20000 as dst", "1L as weight"), spark.range(n).select("id"), "many")
+    sg = prepare.prepare(g, threshold=4)
+    assert sg.shards == 5000 and [b[3] for b in sg.bounds] == [4] * 5000
+    assert sg.edges.where("shard_id <> dst div 4").count() == 0
+    assert sg.vinfo.where("shard_id <> id div 4").count() == 0
+    assert values(engine.run(sg, programs.in_degree(), EngineOptions(max_iter=1))) == dict.fromkeys(range(n), 1)
+
+
+def test_ids_out_of_range_belong_to_no_shard(spark):
+    rows = [(0, 1, 1), (None, 1, 1), (1, None, 1), (1, -4, 1), (2, 2, None)]
+    g = Graph(spark.createDataFrame(rows, "src long, dst long, weight long"), spark.createDataFrame([(0,), (1,), (1,), (2,)], "id long"), "odd")
+    sg = prepare.prepare(g, threshold=1)
+    assert (sg.n, sg.m) == (3, 2) and sorted((r.src, r.dst) for r in sg.edges.collect()) == [(0, 1), (2, 2)]
+
+
 def test_shards_hold_each_edge_once(spark, sharded):
     got = sorted((r.src, r.dst, r.weight) for r in sharded.edges.collect())
     assert got == sorted(EDGES)
@@ -141,6 +173,59 @@ def test_scheduling_is_lossless_and_skips(chain):
     assert exact <= bloom
 
 
+def test_routed_edges_stay_where_they_are(spark, data):
+    """No exchange above the edge scan in either mode: what moves are values, by mirror, and the state."""
+    sg = prepare.prepare(graphs.part_next(spark, data))
+    state = engine.start(sg.vinfo, programs.pagerank(), sg.n)
+    for broadcast in (True, False):
+        with dealt_by_one_key(spark):
+            tree = plans.text(engine.advance(state, engine.pull(sg, sg.edges, state, programs.pagerank(), broadcast), programs.pagerank(), sg.n, None, sg.buckets)).splitlines()
+        scan = next(k for k, line in enumerate(tree) if "FileScan" in line and "dst#" in line)
+        assert "Bucketed: true" in tree[scan]
+        depth, above = tree[scan].index("FileScan"), []
+        for line in reversed(tree[:scan]):  # the path from the scan to the root
+            at = len(line) - len(line.lstrip(" :+-*()0123456789"))
+            if at < depth:
+                depth = at
+                above.append(line)
+        assert not any("Exchange" in line for line in above), above
+
+
+@pytest.mark.parametrize("name", ["part_next", "event_chain"])
+def test_routed_rounds_on_tables(spark, data, name):
+    sg = prepare.prepare(graphs.BUILDERS[name](spark, data))
+    a, b = (engine.run(sg, programs.pagerank(), EngineOptions(broadcast_rows=k)).values for k in (0, 1 << 20))
+    assert engine.compare(a, b).first().max_abs < 1e-12
+    with pytest.raises(ValueError):
+        engine.run(sg, programs.pagerank(), EngineOptions(broadcast_rows=1, value_mode="broadcast"))
+
+
+def test_filters_miss_nothing_and_add_little(spark):
+    mirror = spark.range(40_000).selectExpr("cast(id % 8 as int) as shard_id", "id as src")
+    filters = schedule.build_filters(mirror)
+    rows = filters.collect()
+    h = spark.range(80_000).selectExpr("id", "xxhash64(id) as h").toPandas()
+    for r in rows:
+        hit = schedule.probe(h["h"].to_numpy(), r.m, r.k, np.array(r.places), np.array(r.words))
+        own = (h["id"] < 40_000) & (h["id"] % 8 == r.shard_id)
+        assert hit[own].all() and hit[~own].mean() < 0.02
+    active = spark.range(50_000, 50_003)
+    assert schedule.active_shards_bloom(filters, active).count() <= 2
+    monkey = schedule.CHUNK
+    schedule.CHUNK = 7
+    try:
+        assert schedule.active_shards_bloom(filters, spark.range(0, 40, 8)).collect()[0].shard_id == 0
+    finally:
+        schedule.CHUNK = monkey
+
+
+def test_kernel_skips_shards_without_loss(chain):
+    full = engine.run_kernel(chain, programs.sssp((0,)), EngineOptions(max_iter=12))
+    for s in ("selective", "exact"):
+        r = engine.run_kernel(chain, programs.sssp((0,)), EngineOptions(max_iter=12, schedule=s, threshold=1.0))
+        assert values(r) == values(full) and sum(x["shards_read"] for x in r.ledger) < sum(x["shards_read"] for x in full.ledger)
+
+
 def test_routed_values_equal_broadcast(sharded):
     a = values(engine.run(sharded, programs.pagerank(), EngineOptions(value_mode="routed")))
     assert a == pytest.approx(values(engine.run(sharded, programs.pagerank(), EngineOptions(value_mode="broadcast"))))
@@ -168,12 +253,9 @@ def test_admission_never_exceeds(spark):
     assert [r.cached for r in cache.admission(sizes, 100).orderBy("shard_id").collect()] == [True, False, True, False]
 
 
-def test_edges_do_not_move_in_a_round(sharded):
-    state = engine.start(sharded.vinfo, programs.pagerank(), sharded.n)
-    plan = engine.pull(sharded.edges, state, programs.pagerank(), True)._jdf.queryExecution().executedPlan().toString()
-    assert "SortMergeJoin" not in plan and "BroadcastHashJoin" in plan
-    pruned = sharded.edges.where("shard_id in (1)")._jdf.queryExecution().executedPlan().toString()
-    assert "PartitionFilters: [isnotnull(shard_id" in pruned
+def test_visited_shards_prune_buckets(sharded):
+    pruned = sharded.edges.where("shard_id in (1)").groupBy("shard_id").count()
+    assert f"SelectedBucketsCount: 1 out of {sharded.buckets}" in plans.text(pruned)
 
 
 def test_edge_graphs(spark):
