@@ -173,6 +173,25 @@ def whole_runs(batches: Iterator[pa.RecordBatch], keys: int = 3) -> Iterator[tup
         yield out(pa.concat_tables(held))
 
 
+def shared_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of rows (s, node) sorted by both, the distinct ones whose s has another node."""
+    held, goes_on = None, False  # the last row met, and whether its run began before it
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        rows = np.stack([batch.column(k).to_numpy() for k in range(2)], 1)
+        if held is not None:
+            rows = np.concatenate([held, rows])
+        rows = rows[np.append(True, (rows[1:] != rows[:-1]).any(1))]
+        same = rows[1:, 0] == rows[:-1, 0]
+        before = np.append(goes_on, same)
+        held, goes_on = rows[-1:], bool(before[-1])
+        out = rows[:-1][before[:-1] | same]
+        yield pa.RecordBatch.from_arrays([pa.array(out[:, 0]), pa.array(out[:, 1])], names=["s", "node"])
+    if held is not None and goes_on:
+        yield pa.RecordBatch.from_arrays([pa.array(held[:, 0]), pa.array(held[:, 1])], names=["s", "node"])
+
+
 class Links:
     """Sets of linked positions (union by least position), and the links that joined two of them."""
 

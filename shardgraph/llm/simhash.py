@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from shardgraph.llm.common import Links, components, in_blocks, own, packed, saved, whole_runs
+from shardgraph.llm.common import Links, components, in_blocks, own, packed, saved, shared_rows, whole_runs
 
 #: Words in a shingle, differing bits that still link, and the hash seed.
 SHINGLE, RADIUS, SEED = 3, 3, 42
@@ -215,25 +215,6 @@ def _common_shingles(rows: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndar
     return top[:, 0].copy(), top[:, 1].copy()
 
 
-def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Of distinct rows sorted by (shingle, node), those whose shingle has another one."""
-    held, goes_on = None, False  # the last row met, and whether its run began before it
-    for batch in batches:
-        if not batch.num_rows:
-            continue
-        rows = np.stack([batch.column(k).to_numpy() for k in range(2)], 1)
-        if held is not None:
-            rows = np.concatenate([held, rows])
-        rows = rows[np.append(True, (rows[1:] != rows[:-1]).any(1))]
-        same = rows[1:, 0] == rows[:-1, 0]
-        before = np.append(goes_on, same)
-        held, goes_on = rows[-1:], bool(before[-1])
-        out = rows[:-1][before[:-1] | same]
-        yield pa.RecordBatch.from_arrays([pa.array(out[:, 0]), pa.array(out[:, 1])], names=["s", "node"])
-    if held is not None and goes_on:
-        yield pa.RecordBatch.from_arrays([pa.array(held[:, 0]), pa.array(held[:, 1])], names=["s", "node"])
-
-
 def long_code(members: np.ndarray) -> np.ndarray:
     """A SimHash of LONG bits, as 64-bit numbers, of a set of shingle hashes."""
     ones = np.zeros(LONG, np.int64)
@@ -332,7 +313,7 @@ def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(parts)), pa.array(np.repeat(np.array(nodes, np.int64), [len(x) for x in parts]))], names=["s", "node"])
 
     dealt = rows.select("_h", "_text").mapInArrow(prefixes, "s long, node long").repartition("s").sortWithinPartitions("s", "node")
-    shared = saved(dealt.mapInArrow(_shared, "s long, node long"), "sim-shared")
+    shared = saved(dealt.mapInArrow(shared_rows, "s long, node long"), "sim-shared")
     nodes = saved(shared.select(F.col("node").alias("_h")).distinct(), "sim-nodes", few=True)
     texts = saved(rows.select("_h", "_text").join(nodes, "_h").dropDuplicates(["_h"]), "sim-texts")
 

@@ -31,18 +31,54 @@ def brute(rows):
     return sorted(((v, n[k], least[find(k)], v == least[find(k)]) for k, (v, _, _) in enumerate(rows)), key=str)
 
 
-def test_estimates_are_unbiased_and_bounded():
+@pytest.mark.parametrize("dim,cosine", [(64, 0.9), (64, 0.98), (100, 0.98), (3, 0.98)])
+def test_estimates_are_unbiased_and_bounded(dim, cosine):
     rng = np.random.default_rng(1)
-    v, q = (x / np.linalg.norm(x) for x in rng.standard_normal((2, 64)))
-    q = 0.9 * v + np.sqrt(1 - 0.81) * (q - (q @ v) * v) / np.linalg.norm(q - (q @ v) * v)
+    v, q = (x / np.linalg.norm(x) for x in rng.standard_normal((2, dim)))
+    q = cosine * v + np.sqrt(1 - cosine**2) * (q - (q @ v) * v) / np.linalg.norm(q - (q @ v) * v)
     est = []
     for k in range(400):
         signs, f = em.encode(v[None], k)
-        turned = (q[None].astype(np.float32) @ em.rotation(64, k).T)
-        est.append(float(em.estimate(signs, f, turned)[0]))
-        assert abs(est[-1] - 0.9) <= em.half_width(f, 64)[0]
-        assert em.raw(signs, turned)[0] >= em.least_raw(f, 0.9)[0]
-    assert np.mean(est) == pytest.approx(0.9, abs=4 * np.std(est) / 20)
+        turned = q[None].astype(np.float32) @ em.rotation(dim, k).T
+        planes, low, step, total = em.query_planes(turned)
+        est.append(float(em.estimate(em.words(signs), f, em.words(planes), low, step, total, dim)[0]))
+        assert est[-1] >= cosine - em.half_width(f, step, dim, cosine)[0]
+    assert np.mean(est) == pytest.approx(cosine, abs=4 * np.std(est) / 20 + 0.01)
+
+
+def planted(groups=60, dim=64):
+    """Groups around a centre, with cosines between members on both sides of the threshold."""
+    rng = np.random.default_rng(7)
+    rows = []
+    for g in range(groups):
+        c = rng.standard_normal(dim)
+        for _ in range(6):
+            x = rng.standard_normal(dim)
+            x -= (x @ c) / (c @ c) * c
+            rows.append((len(rows), (c / np.linalg.norm(c) + rng.uniform(0.05, 0.2) * x / np.linalg.norm(x)).tolist(), g % 3))
+    return rows
+
+
+def test_planted_pairs_are_found(spark):
+    rows = planted()
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    want = brute(rows)
+    assert sum(r[1] for r in want) > 500 and any(r[1] == 0 for r in want)
+    assert sorted((tuple(r) for r in em.near_vectors(df).collect()), key=str) == want
+
+
+def test_the_bound_spares_exact_products(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    rows = [(k, rng.standard_normal(64).tolist(), 0) for k in range(3000)] + [(3000 + i, e, 0) for i, e, _ in planted(3)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    u = em._units(np.array([r[1] for r in rows]))
+    signs, f = em.encode(u)
+    planes, low, step, total = em.query_planes(u.astype(np.float32) @ em.rotation(64, 0).T)
+    i, j = np.triu_indices(len(rows), 1)
+    i, j = i[::50], j[::50]
+    open_ = em.estimate(em.words(signs)[i], f[i], em.words(planes)[j], low[j], step[j], total[j], 64) >= 0.98 - em.half_width(f[i], step[j], 64, 0.98)
+    assert open_.mean() < 0.001  # nearly no pair of strangers is recomputed
+    assert len([r for r in em.near_vectors(df, bits=8, bands=20).collect() if r.n_links]) == len([r for r in brute([r for r in rows if r[0] >= 3000]) if r[1]])
 
 
 @pytest.mark.parametrize("block", [20000, 16])
