@@ -11,12 +11,16 @@ from pyspark.sql import functions as F
 
 from shardgraph.core.schedule import build_filters
 from shardgraph.model.graph import Graph, ShardedGraph, buckets_of, interval_of
-from shardgraph.session import bucketed, open_bucketed, saved, scratch_path
+from shardgraph.session import bucketed, exists, open_bucketed, saved, scratch_path
 
-#: Vertices in a block of the prefix sums that the greedy cut walks over.
+#: Vertices in a block of prefix sums.
 BLOCK = 1 << 16
 
 
+#: What prepare makes beside shards and vertex information.
+PARTS = ("csr", "mirror", "filters")
+
+
 def degrees(g: Graph) -> DataFrame:
     """(id, in_deg, out_deg, out_weight), vertices without edges included: two aggregates before one join each."""
     into = g.edges.groupBy(F.col("dst").alias("id")).agg(F.count("*").alias("in_deg"))
@@ -142,9 +146,11 @@ def write_meta(path: str, g: Graph, n: int, m: int, bounds: list, vinfo: DataFra
     vinfo.write.parquet(f"{path}/vinfo")
 
 
-def prepare(g: Graph, threshold: int | None = None, path: str | None = None, policy: str = "greedy", shards: int = 16, filters: bool = True) -> ShardedGraph:
+def prepare(g: Graph, threshold: int | None = None, path: str | None = None, policy: str = "greedy", shards: int = 16, parts: tuple[str, ...] = PARTS) -> ShardedGraph:
     """Cut, route and write a graph once; any program then runs on what open_sharded reads.
 
+    parts says what is made beside the shards: other computation models need less than the engine.
+
     Edges are dealt by shard and written in buckets of it, sorted by (shard, dst, src): later rounds group
     them by shard, or read the buckets of the shards they visit, and edges move no more. Edges with a null end
     or a negative destination belong to no shard and are left out; a vertex that comes twice is one.
@@ -161,10 +167,12 @@ def prepare(g: Graph, threshold: int | None = None, path: str | None = None, pol
     sharded = bucketed(assign_shards(edges, bounds), f"{path}/edges", "shard_id", buckets, ("shard_id", "dst", "src"))
     vinfo = deg.withColumn("shard_id", interval_of(F.col("id"), [b[1] for b in bounds]))
     write_meta(path, g, n, m, bounds, vinfo)
-    to_csr(sharded, bounds).write.parquet(f"{path}/csr")
-    mirror = bucketed(sharded.select("shard_id", "src").distinct(), f"{path}/mirror", "src", buckets)
-    if filters:
-        build_filters(mirror).write.parquet(f"{path}/filters")
+    if "csr" in parts:
+        to_csr(sharded, bounds).write.parquet(f"{path}/csr")
+    if "mirror" in parts:
+        mirror = bucketed(sharded.select("shard_id", "src").distinct(), f"{path}/mirror", "src", buckets)
+        if "filters" in parts:
+            build_filters(mirror).write.parquet(f"{path}/filters")
     return open_sharded(spark, path, held)
 
 
@@ -177,11 +185,9 @@ def open_sharded(spark: SparkSession, path: str, g: Graph | None = None) -> Shar
     buckets = buckets_of(len(bounds))
     vinfo, edges = spark.read.parquet(f"{path}/vinfo"), open_bucketed(spark, f"{path}/edges", "src long, dst long, weight long, shard_id int", "shard_id", buckets)
     g = g or Graph(edges.drop("shard_id"), vinfo.select("id"), os.path.basename(path))
-    try:
-        filters = spark.read.parquet(f"{path}/filters")
-    except Exception:  # noqa: BLE001  written only on demand
-        filters = None
-    return ShardedGraph(g, p["num_vertices"], p["num_edges"], bounds, edges, vinfo, open_bucketed(spark, f"{path}/mirror", "shard_id int, src long", "src", buckets), filters, spark.read.parquet(f"{path}/csr"), path)
+    made = {x: read(f"{path}/{x}") if exists(spark, f"{path}/{x}") else None for x, read in (("csr", spark.read.parquet), ("filters", spark.read.parquet))}
+    mirror = open_bucketed(spark, f"{path}/mirror", "shard_id int, src long", "src", buckets) if exists(spark, f"{path}/mirror") else None
+    return ShardedGraph(g, p["num_vertices"], p["num_edges"], bounds, edges, vinfo, mirror, made["filters"], made["csr"], path)
 
 
 def graph_stats(g: Graph) -> DataFrame:

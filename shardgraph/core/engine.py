@@ -169,7 +169,7 @@ def run_kernel(sg: ShardedGraph, program: VertexProgram | ArrowProgram, opts: En
     active = int(np.count_nonzero(on))
     update: Callable = program.update if isinstance(program, ArrowProgram) else program.kernel
     n, ledger, rounds = sg.n, [], 0
-    csr = sg.csr.persist()
+    csr = (sg.csr if opts.at_once is None else sg.csr.repartitionByRange(opts.at_once, "shard_id")).persist()
     edges_in = {b[0]: b[3] for b in sg.bounds}
     try:
         while active and rounds < opts.max_iter:
@@ -244,10 +244,23 @@ def compare(a: DataFrame, b: DataFrame) -> DataFrame:
 
 
 def memory_bytes(sg: ShardedGraph, workers: int) -> int:
-    """What the model holds: two value arrays, the out-degrees and one shard a worker."""
+    """What the model holds by its formula: two value arrays, the out-degrees and one shard a worker."""
     return 3 * VERTEX_BYTES * sg.n + workers * EDGE_BYTES * sg.m // max(1, sg.shards)
 
 
+def stored_bytes(df: DataFrame) -> int:
+    """Bytes of memory and disk that a persisted table's blocks take, as the block managers report them."""
+    spark = df.sparkSession
+    before = {r.id(): r.memSize() + r.diskSize() for r in spark.sparkContext._jsc.sc().getRDDStorageInfo()}
+    df = df.persist()
+    try:
+        df.count()
+        now = {r.id(): r.memSize() + r.diskSize() for r in spark.sparkContext._jsc.sc().getRDDStorageInfo()}
+        return sum(size for k, size in now.items() if k not in before)
+    finally:
+        df.unpersist(True)
+
+
 def hits(sg: ShardedGraph, rounds: int = 10) -> DataFrame:
     """(id, hub, authority) after so many rounds: authorities sum their in-neighbours' hub values, hubs their
     out-neighbours' authorities, and each has length 1 after a round. All are 1 at first."""

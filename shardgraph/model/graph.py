@@ -75,7 +75,7 @@ class ArrowProgram:
 @dataclass(frozen=True)
 class EngineOptions:
     """max_iter rounds at most; schedule one of all, selective, exact, vertex; threshold the activation ratio below which
-    selective scheduling asks the filters; cache a mode 0..4, 'auto' or None; value_mode broadcast, routed or auto."""
+    selective scheduling asks the filters; cache a mode 0..4, 'auto' or None; value_mode broadcast, routed or auto; at_once the tasks that kernel rounds are dealt to, at most."""
 
     max_iter: int = 10
     schedule: str = "all"
@@ -85,6 +85,7 @@ class EngineOptions:
     value_mode: str = "auto"
     broadcast_rows: int = 4_000_000
     workers: int = 4
+    at_once: int | None = None
     run: str = "run"
 
 
@@ -120,9 +121,9 @@ class ShardedGraph:
     bounds: list[tuple[int, int, int, int]]
     edges: DataFrame
     vinfo: DataFrame
-    mirror: DataFrame
+    mirror: DataFrame | None
     filters: DataFrame | None
-    csr: DataFrame
+    csr: DataFrame | None
     path: str
 
     @property

@@ -36,6 +36,11 @@ def forget(spark: SparkSession, path: str) -> None:
         pass
 
 
+def exists(spark: SparkSession, path: str) -> bool:
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(p)
+
+
 def saved(df: DataFrame, label: str = "table", partition_by: tuple[str, ...] = ()) -> DataFrame:
     """Write df as Parquet to the shared folder and read it back: lineage is cut and lost executors lose nothing."""
     path = scratch_path(df.sparkSession, label)

@@ -6,19 +6,23 @@ scale they are called with prepared graphs of that size.
 
 from __future__ import annotations
 
+import os
 import time
 from collections.abc import Callable
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from shardgraph import cost, programs
+from shardgraph import cost, programs, sources
 from shardgraph.baselines import MODELS, run_model
 from shardgraph.build import graphs, prepare
 from shardgraph.core import cache, engine
-from shardgraph.model.graph import EngineOptions, Result, ShardedGraph
+from shardgraph.model.graph import EngineOptions, Graph, ShardedGraph
 from shardgraph.model.schema import EDGE_BYTES, VERTEX_BYTES
-from shardgraph.workloads.queries import SHARDS, graph, sharded
+from shardgraph.session import exists, saved, scratch_path
+from shardgraph.workloads import oracles
+from shardgraph.workloads.queries import MAIN, SHARDS, graph, sharded
 
 APPS = ("pagerank", "sssp", "cc")
 FOUR = ("part_next", "user_next", "supp_part", "word_next")
@@ -39,37 +43,34 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return out
 
 
-def _tagged(r: Result, **tags) -> DataFrame:
-    df = r.ledger_frame()
-    for k, v in tags.items():
-        df = df.withColumn(k, F.lit(v))
-    return df
+def scheduling(spark: SparkSession, sf: str, g: str = "part_next", rounds: int = 200, thresholds=(1e-3, 1.0)) -> DataFrame:
+    """Selective scheduling off and on at several thresholds: activation ratio, shards read and seconds of every round.
 
-
-def scheduling(spark: SparkSession, sf: str, g: str = "part_next", rounds: int = 12, thresholds=(1e-3, 1.0)) -> DataFrame:
-    """Selective scheduling off and on at several thresholds: activation ratio, shards read and seconds of every round."""
+    Vertex arrays are in memory and shards as CSR, as far as the kernel holds them; beyond, rounds run over tables.
+    """
     rows = []
     for app in APPS:
         sg = _graph(spark, sf, g, app)
+        run = engine.run_kernel if sg.n <= engine.KERNEL_ROWS else engine.run
         for how, limit in [("all", 0.0), *(("selective", t) for t in thresholds), ("exact", 1.0)]:
-            r = engine.run(sg, program(app), EngineOptions(max_iter=rounds, schedule=how, threshold=limit))
-            rows.append(_tagged(r, schedule=how, threshold=float(limit)).select("app", "schedule", "threshold", "iter", (F.col("active") / sg.n).alias("ratio"), "shards_read", "shards_total", "seconds"))
-    return _union(rows)
+            r = run(sg, program(app), EngineOptions(max_iter=rounds, schedule=how, threshold=limit))
+            rows += [(app, how, float(limit), x["iter"], x["active"] / max(1, sg.n), x["shards_read"], x["shards_total"], x["seconds"]) for x in r.ledger]
+    return spark.createDataFrame(rows, "app string, schedule string, threshold double, iter int, ratio double, shards_read int, shards_total int, seconds double")
 
 
-def cache_modes(spark: SparkSession, sf: str, g: str = "part_next", rounds: int = 10, share: float = 0.2, apps=("pagerank",)) -> DataFrame:
+def cache_modes(spark: SparkSession, sf: str, g: str = "part_next", rounds: int = 10, share: float = 0.2, apps=APPS) -> DataFrame:
     """Cache modes 0 to 4 and auto with room for a share of the raw edges: cached shards, hits, bytes missed, seconds."""
     rows = []
     for app in apps:
         sg = _graph(spark, sf, g, app)
         for mode in (0, 1, 2, 3, 4, "auto"):
-            r = engine.run(sg, program(app), EngineOptions(max_iter=rounds, cache=mode, cache_bytes=int(sg.m * EDGE_BYTES * share)))
-            rows.append(_tagged(r, mode=str(mode)).groupBy("app", "mode").agg(F.max(F.col("cache_hits") / F.col("shards_total")).alias("cached_ratio"), F.sum("read_bytes").alias("missed_bytes"), F.sum("seconds").alias("seconds")))
-    return _union(rows)
+            x = engine.run(sg, program(app), EngineOptions(max_iter=rounds, cache=mode, cache_bytes=int(sg.m * EDGE_BYTES * share))).ledger
+            rows.append((app, str(mode), max(r["cache_hits"] / r["shards_total"] for r in x), sum(r["read_bytes"] for r in x), x[0]["seconds"], sum(r["seconds"] for r in x[1:])))
+    return spark.createDataFrame(rows, "app string, mode string, cached_ratio double, missed_bytes long, first_round double, later_rounds double")
 
 
-def in_memory(spark: SparkSession, sf: str, g: str = "part_next", rounds=(12, 10, 10)) -> DataFrame:
-    """The in-memory sparse-matrix engine against the pull-window engine: load and run seconds, without and with preprocessing."""
+def in_memory(spark: SparkSession, sf: str, g: str = "part_next", rounds=(120, 15, 25)) -> DataFrame:
+    """The in-memory sparse-matrix engine, whose load sorts all edges, against the pull-window engine: load and run seconds, without and with preprocessing."""
     rows = []
     for app, k in zip(APPS, rounds, strict=True):
         t = time.perf_counter()
@@ -82,44 +83,67 @@ def in_memory(spark: SparkSession, sf: str, g: str = "part_next", rounds=(12, 10
     return spark.createDataFrame(rows, "app string, model string, phase string, iter int, seconds double, preprocessing double")
 
 
-def models(spark: SparkSession, sf: str, names=("psw", "esg", "vsp", "dsw", "pull_window"), gs=("part_next",), rounds: int = 10, apps=APPS) -> DataFrame:
-    """Totals of the first rounds under each model: the out-of-core comparison, or the cluster one with those names."""
+def pull_options(sg: ShardedGraph) -> dict[str, dict]:
+    """The engine without and with what it may switch on: scheduling by filters, and a cache that all raw edges would fit in."""
+    both = {"schedule": "selective", "cache": 1, "cache_bytes": 4 * EDGE_BYTES * (sg.m + sg.n)}
+    return {"pull_window": {}, "pull_window+cache+scheduling": both}
+
+
+def models(spark: SparkSession, sf: str, names=("psw", "esg", "vsp", "dsw"), gs=("part_next",), rounds: int = 10, apps=APPS) -> DataFrame:
+    """Totals of the first rounds under each model, and of the engine with and without cache and scheduling; the model's
+    own layout is timed apart."""
     rows = []
     for g in gs:
         for app in apps:
             sg = _graph(spark, sf, g, app)
-            for m in names:
-                r = run_model(m, sg, program(app), EngineOptions(max_iter=rounds))
-                rows.append(cost.totals(r.ledger_frame()).withColumn("graph", F.lit(g)))
-    return _union(rows).select("graph", "app", "model", "rounds", "seconds", "read_bytes", "write_bytes")
+            runs = [(m, m, {}) for m in names] + [("pull_window", label, more) for label, more in pull_options(sg).items()]
+            for m, label, more in runs:
+                x = run_model(m, sg, program(app), EngineOptions(max_iter=rounds, **more)).ledger
+                own = [r for r in x if r["phase"] != "load"]
+                rows.append((g, app, label, len(own), sum(r["seconds"] for r in x if r["phase"] == "load"), sum(r["seconds"] for r in own), sum(r["read_bytes"] for r in own), sum(r["write_bytes"] for r in own)))
+    return spark.createDataFrame(rows, "graph string, app string, model string, rounds int, load double, seconds double, read_bytes long, write_bytes long")
 
 
 def clusters(spark: SparkSession, sf: str, **kw) -> DataFrame:
-    return models(spark, sf, names=("bsp_push", "gas_cut", "gas_hybrid", "bsp_ooc", "esg_cluster", "pull_window"), **kw)
+    return models(spark, sf, names=("bsp_push", "gas_cut", "gas_hybrid", "bsp_ooc", "esg_cluster"), **kw)
 
 
 def preprocessing(spark: SparkSession, sf: str, gs=("part_next", "event_chain")) -> DataFrame:
-    """Seconds to prepare each model's own edge tables."""
+    """Seconds from an edge list in CSV to what each model runs on: every step that it needs, none that it doesn't."""
     rows = []
     for g in gs:
-        t = time.perf_counter()
-        sg = prepare.prepare(graph(spark, sf, g), shards=SHARDS)
-        rows.append((g, "pull_window", time.perf_counter() - t, 5 * EDGE_BYTES * sg.m))
-        for m, logical in (("psw", VERTEX_BYTES + 5 * EDGE_BYTES), ("dsw", 6 * EDGE_BYTES), ("esg", 2 * EDGE_BYTES), ("vsp", 4 * EDGE_BYTES)):
+        base = graph(spark, sf, g)
+        at = scratch_path(spark, f"csv-{g}")
+        sources.write_edges(base.weighed().select("src", "dst", "weight"), at, "csv")
+        vertices = saved(base.vertices.select("id"), "vertices")
+        needs = {"pull_window": prepare.PARTS, "psw": ("mirror",), "esg": (), "vsp": (), "dsw": ()}
+        for m, parts in needs.items():
             t = time.perf_counter()
-            model = MODELS[m](sg, programs.pagerank(), EngineOptions())
-            model.prepare(engine.start(sg.vinfo, programs.pagerank(), sg.n))
-            model.close()
-            rows.append((g, m, time.perf_counter() - t, logical * sg.m))
-    return spark.createDataFrame(rows, "graph string, model string, seconds double, logical_bytes long")
+            sg = prepare.prepare(Graph(sources.read_edges(spark, at, "csv"), vertices, g), shards=SHARDS, parts=parts)
+            if m != "pull_window":
+                model = MODELS[m](sg, programs.pagerank(), EngineOptions())
+                model.prepare(engine.start(sg.vinfo, programs.pagerank(), sg.n))
+                model.close()
+            formula = {"pull_window": 5 * EDGE_BYTES, "psw": VERTEX_BYTES + 5 * EDGE_BYTES, "dsw": 6 * EDGE_BYTES, "esg": 2 * EDGE_BYTES, "vsp": 4 * EDGE_BYTES}[m]
+            rows.append((g, m, time.perf_counter() - t, formula * sg.m))
+    return spark.createDataFrame(rows, "graph string, model string, seconds double, formula_bytes long")
 
 
 def memory(spark: SparkSession, sf: str, g: str = "part_next", workers: int = 4) -> DataFrame:
-    """Bytes that each model must hold by its formula, and the pull-window engine's arrays, shards and cache."""
+    """Bytes that each model must hold by its formula, and bytes that block managers report of what engines really hold."""
     sg = sharded(spark, sf, g)
-    formula = cost.analytic_frame(spark, VERTEX_BYTES, EDGE_BYTES, sg.n, sg.m, sg.shards, workers, 1.0).select("model", F.col("mem_b").alias("bytes"))
-    held = spark.createDataFrame([("pull_window held", float(engine.memory_bytes(sg, workers))), ("pull_window held with cache", float(engine.memory_bytes(sg, workers) + sg.m * EDGE_BYTES))], "model string, bytes double")
-    return formula.union(held)
+    rows = [(m, "formula", float(b)) for m, _, _, b, _ in cost.analytic(VERTEX_BYTES, EDGE_BYTES, sg.n, sg.m, sg.shards, workers, 1.0)]
+    rows.append(("pull_window", "arrays and one shard a worker", float(engine.memory_bytes(sg, workers))))
+    edges = sg.edges.select("src", "dst", "weight")
+    held = {
+        ("spmv_mem", "sorted matrix"): edges.repartitionByRange(sg.buckets, "dst", "src").sortWithinPartitions("dst", "src"),
+        ("bsp_push", "vertices with out-edges"): edges.repartition(sg.buckets, "src"),
+        ("pull_window", "vertex state"): engine.start(sg.vinfo, programs.pagerank(), sg.n),
+        ("pull_window", "CSR of all shards"): sg.csr,
+        ("pull_window", "cache of all shards, mode 4"): cache.payloads(sg.csr, cache.CODECS[4]).select("shard_id", "payload"),
+    }
+    rows += [(*k, float(engine.stored_bytes(df))) for k, df in held.items()]
+    return spark.createDataFrame(rows, "model string, what string, bytes double")
 
 
 def datasets(spark: SparkSession, sf: str) -> DataFrame:
@@ -127,56 +151,70 @@ def datasets(spark: SparkSession, sf: str) -> DataFrame:
     return _union([prepare.graph_stats(graph(spark, sf, g)).withColumn("graph", F.lit(g)) for g in graphs.BUILDERS])
 
 
+def datasets_oracle() -> str:
+    return " union all ".join(f"select *, '{g}' as graph from ({oracles.stats(g)})" for g in graphs.BUILDERS)
+
+
 def compressors(spark: SparkSession, sf: str, gs=("part_next", "event_chain")) -> DataFrame:
     return _union([cache.compression_report(sharded(spark, sf, g).csr, delta=d).withColumn("graph", F.lit(g)).withColumn("delta", F.lit(d)) for g in gs for d in (False, True)])
 
 
-def analytic(spark: SparkSession, sf: str, g: str = "part_next", workers: int = 4) -> DataFrame:
-    """Formulas beside the ledger's logical bytes of one round, which are formulas of the graph's sizes too, for each model."""
-    sg = sharded(spark, sf, g)
-    want = cost.analytic_frame(spark, VERTEX_BYTES, EDGE_BYTES, sg.n, sg.m, sg.shards, workers, 1.0)
-    runs = _union([run_model(m, sg, programs.pagerank(), EngineOptions(max_iter=1)).ledger_frame().where("iter = 1") for m in ("psw", "esg", "vsp", "dsw", "pull_window")])
-    return want.join(runs.select("model", "read_bytes", "write_bytes"), "model")
+def analytic(spark: SparkSession, sf: str, gs=MAIN, workers: int = 4) -> DataFrame:
+    """Formulas beside the bytes of the records that one round under each model really read and wrote."""
+    rows = []
+    for g in gs:
+        sg = sharded(spark, sf, g)
+        for m, r, w, _, _ in cost.analytic(VERTEX_BYTES, EDGE_BYTES, sg.n, sg.m, sg.shards, workers, 1.0):
+            x = run_model(m, sg, programs.pagerank(), EngineOptions(max_iter=1)).ledger[-1]
+            rows.append((g, m, round(float(r), 4), round(float(w), 4), x["read_bytes"], x["write_bytes"]))
+    return spark.createDataFrame(rows, "graph string, model string, read_b double, write_b double, read_bytes long, write_bytes long")
 
 
-def reuse(spark: SparkSession, sf: str, g: str = "part_next") -> DataFrame:
+def reuse(spark: SparkSession, sf: str, g: str = "part_next", rounds: int = 10) -> DataFrame:
     """One preparation serves every application; the sliding-window model lays its edges out for each."""
-    sg = sharded(spark, sf, g)
     rows = []
-    for app in ("pagerank", "sssp"):
+    for app in APPS:
+        sg = _graph(spark, sf, g, app)
         for m in ("pull_window", "psw"):
-            r = run_model(m, sg, program(app), EngineOptions(max_iter=2))
+            r = run_model(m, sg, program(app), EngineOptions(max_iter=rounds))
             rows.append((app, m, *(float(sum(x["seconds"] for x in r.ledger if (x["phase"] == "load") == own)) for own in (True, False))))
     return spark.createDataFrame(rows, "app string, model string, own_preparation double, run double")
 
 
-def scale(spark: SparkSession, sfs: list[str], g: str = "part_next") -> DataFrame:
-    """Vertices, edges and seconds of ten rounds at each table size."""
+def scale(spark: SparkSession, sf: str, g: str = "part_next", rounds: int = 10) -> DataFrame:
+    """Vertices, edges, seconds of preparation and of ten rounds, at each table size there is up to this one."""
+    folder, own = os.path.split(sf.rstrip("/"))
+    sizes = [x for x in ("sf0.001", "sf0.01", "sf0.1") if x != own and exists(spark, f"{folder}/{x}") and x < own] if own.startswith("sf") else []
     rows = []
-    for sf in sfs:
-        sg = sharded(spark, sf, g)
-        r = engine.run(sg, programs.pagerank(), EngineOptions(max_iter=10))
-        rows.append((sf, sg.n, sg.m, sum(x["seconds"] for x in r.ledger)))
-    return spark.createDataFrame(rows, "tables string, v long, e long, seconds double")
+    for x in (*sizes, own):
+        t = time.perf_counter()
+        sg = prepare.prepare(graph(spark, f"{folder}/{x}", g), shards=SHARDS)
+        prep = time.perf_counter() - t
+        r = engine.run(sg, programs.pagerank(), EngineOptions(max_iter=rounds))
+        spent = sum(k["seconds"] for k in r.ledger)
+        rows.append((x, sg.n, sg.m, prep, spent, rounds * sg.m / spent))
+    return spark.createDataFrame(rows, "tables string, v long, e long, preparation double, seconds double, edges_s double")
 
 
-def shards_and_workers(spark: SparkSession, sf: str, g: str = "part_next", counts=(4, 16, 64)) -> DataFrame:
-    """Seconds of five kernel rounds by number of shards, which bounds how many cores can work."""
+def workers(spark: SparkSession, sf: str, g: str = "word_next", counts=(1, 2, 4, 8), shards=(16, 64), rounds: int = 5) -> DataFrame:
+    """Seconds of kernel rounds by the number of tasks that work at once, and by shards, which bound it; medians of the rounds after the first."""
     rows = []
-    for k in counts:
-        sg = prepare.prepare(graph(spark, sf, g), shards=k)
-        r = engine.run_kernel(sg, programs.pagerank(), EngineOptions(max_iter=5))
-        rows.append((sg.shards, spark.sparkContext.defaultParallelism, sum(x["seconds"] for x in r.ledger)))
-    return spark.createDataFrame(rows, "shards int, cores int, seconds double")
+    base = graph(spark, sf, g)
+    for p in shards:
+        sg = prepare.prepare(base, shards=p, parts=("csr",))
+        for k in counts:
+            r = engine.run_kernel(sg, programs.pagerank(), EngineOptions(max_iter=rounds + 1, at_once=k))
+            rows.append((sg.shards, k, float(np.median([x["seconds"] for x in r.ledger[1:]]))))
+    return spark.createDataFrame(rows, "shards int, workers int, seconds_a_round double")
 
 
 def surveyed_scheduling(spark: SparkSession, sf: str) -> DataFrame:
-    return _union([scheduling(spark, sf, g, rounds=200, thresholds=(1e-4, 1e-3, 1e-2, 1.0)).withColumn("graph", F.lit(g)) for g in ("word_next", "event_chain")])
+    return _union([scheduling(spark, sf, g, thresholds=(1e-4, 1e-3, 1e-2, 1.0)).withColumn("graph", F.lit(g)) for g in ("word_next", "event_chain")])
 
 
 #: Registered with the rounds, graphs and applications of the survey, on whole tables.
 EXPERIMENTS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    "w01_scheduling": surveyed_scheduling, "w02_cache_modes": lambda s, d: cache_modes(s, d, "word_next", rounds=10, apps=APPS), "w03_in_memory": lambda s, d: in_memory(s, d, rounds=(120, 15, 25)),
-    "w04_out_of_core": lambda s, d: models(s, d, gs=FOUR, rounds=10), "w05_preprocessing": preprocessing, "w06_memory": memory, "w07_clusters": lambda s, d: clusters(s, d, gs=FOUR, rounds=10, apps=APPS),
-    "w08_datasets": datasets, "w09_compression": lambda s, d: compressors(s, d, tuple(graphs.BUILDERS)), "w10_analytic": analytic, "w11_reuse": reuse, "w12_scale": lambda s, d: scale(s, [d]), "w13_shards": shards_and_workers,
+    "w01_scheduling": surveyed_scheduling, "w02_cache_modes": lambda s, d: cache_modes(s, d, "word_next"), "w03_in_memory": in_memory,
+    "w04_out_of_core": lambda s, d: models(s, d, gs=FOUR), "w05_preprocessing": lambda s, d: preprocessing(s, d, MAIN), "w06_memory": memory, "w07_clusters": lambda s, d: clusters(s, d, gs=FOUR),
+    "w08_datasets": datasets, "w09_compression": lambda s, d: compressors(s, d, tuple(graphs.BUILDERS)), "w10_analytic": analytic, "w11_reuse": reuse, "w12_scale": scale, "w13_workers": workers,
 }

@@ -218,6 +218,27 @@ def _kernel_free(spark, sf, program, rounds=None):
     return r.values
 
 
+#: Bytes that one round under a model reads and writes, from the sizes of a graph and of a model's own layout.
+COUNTED = {"pull_window": ("8 * m", "0"), "psw": ("8 * n + 32 * m", "8 * n + 32 * m"), "esg": ("8 * n + 16 * m", "8 * n + 8 * m"), "vsp": ("8 * (n + mir) + 8 * m", "8 * n"), "dsw": ("8 * 4 * n + 8 * m + 8 * blk", "8 * blk + 8 * n"), "spmv_mem": ("0", "0"), "bsp_ooc": ("8 * m + 16 * m", "16 * m"), "esg_cluster": ("8 * n + 16 * m", "8 * n + 8 * m")}
+
+
+def _sizes(g: str) -> str:
+    """k(m, n, p, mir, blk): edges, vertices, shards, sources by equal destination ranges, destinations by source chunks of a grid."""
+    return o.intervals(g, SHARDS) + """, k0 as (select (select count(*) from e) as m, (select count(*) from v) as n, (select count(*) from iv) as p),
+        k as (select m, n, p, (select count(*) from (select distinct dst * p // n, src from e)) as mir, (select count(*) from (select distinct src * 4 // n, dst from e)) as blk from k0) """
+
+
+def analytic_oracle() -> str:
+    """Formulas and counts of one round on the three graphs."""
+    x = "(1 - exp(-m::double / n / p)) * p"
+    formulas = {"psw": ("8 * n + 32 * m", "8 * n + 32 * m"), "esg": ("8 * n + 16 * m", "8 * n + 8 * m"), "vsp": (f"8 * (1 + {x}) * n + 8 * m", "8 * n"), "dsw": ("8 * sqrt(p) * n + 8 * m", "8 * sqrt(p) * n"), "pull_window": ("8 * m", "0")}
+    parts = []
+    for g in MAIN:
+        rows = " union all ".join(f"select '{g}' as graph, '{m}' as model, round(({r})::double, 4) as read_b, round(({w})::double, 4) as write_b, ({COUNTED[m][0]})::bigint as read_bytes, ({COUNTED[m][1]})::bigint as write_bytes from k" for m, (r, w) in formulas.items())
+        parts.append(f"select * from ({_sizes(g)} {rows})")
+    return " union all ".join(parts)
+
+
 def build() -> tuple[dict[str, Query], dict[str, str]]:
     q: dict[str, Query] = {}
     sql: dict[str, str] = {}
@@ -285,12 +306,9 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
     for model in ("pull_window", *MODELS):
         for app, want in flat.items():
             add(f"{model}_{'pagerank10' if app == 'pagerank' else app}", lambda s, d, m=model, a=app: _agree(s, d, m, a), want)
-    io = {"pull_window": ("8 * m", "0"), "psw": ("8 * n + 32 * m", "8 * n + 32 * m"), "esg": ("8 * n + 16 * m", "8 * n + 8 * m"), "vsp": ("8 * (n + mir) + 8 * m", "8 * n"), "dsw": ("8 * 4 * n + 8 * m + 8 * blk", "8 * blk + 8 * n"), "spmv_mem": ("0", "0"), "bsp_ooc": ("8 * m + 16 * m", "16 * m"), "esg_cluster": ("8 * n + 16 * m", "8 * n + 8 * m")}
     for g in MAIN:
-        sizes = o.intervals(g, SHARDS) + """, k0 as (select (select count(*) from e) as m, (select count(*) from v) as n, (select count(*) from iv) as p),
-            k as (select m, n, p, (select count(*) from (select distinct dst * p // n, src from e)) as mir, (select count(*) from (select distinct src * 4 // n, dst from e)) as blk from k0) """
-        for model, (r, w) in io.items():
-            add(f"ledger_{model}_{g}", lambda s, d, m=model, g=g: _ledger(s, d, m, g), sizes + f"select '{model}' as model, ({r})::bigint as read_bytes, ({w})::bigint as write_bytes from k")
+        for model, (r, w) in COUNTED.items():
+            add(f"ledger_{model}_{g}", lambda s, d, m=model, g=g: _ledger(s, d, m, g), _sizes(g) + f"select '{model}' as model, ({r})::bigint as read_bytes, ({w})::bigint as write_bytes from k")
     for ring, (f, a) in {"plus_times": ("sum(src * weight)::bigint", ""), "min_plus": ("min(src + weight)", ""), "min_first": ("min(src)", "")}.items():
         add(f"spmv_{ring}", lambda s, d, ring=ring: _spmv(s, d, ring), o.head("part_next") + f" select dst as id, {f} as value from e group by dst")
     add("in_degree_program", lambda s, d: _kernel_free(s, d, programs.in_degree(), 1), o.head("part_next", o.DEGREES) + " select id, in_deg as value from deg")
