@@ -125,6 +125,7 @@ class ShardedGraph:
     filters: DataFrame | None
     csr: DataFrame | None
     path: str
+    edges_at: str
 
     @property
     def shards(self) -> int:

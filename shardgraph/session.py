@@ -52,7 +52,8 @@ def saved(df: DataFrame, label: str = "table", partition_by: tuple[str, ...] = (
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def _name(path: str) -> str:
+def table_name(path: str) -> str:
+    """The session's name of the bucketed table at path."""
     return "shardgraph_" + hashlib.md5(path.encode()).hexdigest()[:20]
 
 
@@ -62,14 +63,14 @@ def bucketed(df: DataFrame, path: str, key: str, buckets: int, sort: tuple[str,
     if sort:
         w = w.sortBy(*sort)
     with dealt_by_one_key(df.sparkSession):
-        w.option("path", path).saveAsTable(_name(path))
-    return df.sparkSession.table(_name(path))
+        w.option("path", path).saveAsTable(table_name(path))
+    return df.sparkSession.table(table_name(path))
 
 
 def open_bucketed(spark: SparkSession, path: str, schema: str, key: str, buckets: int) -> DataFrame:
     """The same for files that another session wrote."""
-    spark.sql(f"create table if not exists {_name(path)} ({schema}) using parquet clustered by ({key}) into {buckets} buckets location '{path}'")
-    return spark.table(_name(path))
+    spark.sql(f"create table if not exists {table_name(path)} ({schema}) using parquet clustered by ({key}) into {buckets} buckets location '{path}'")
+    return spark.table(table_name(path))
 
 
 @contextmanager
@@ -86,7 +87,7 @@ def dealt_by_one_key(spark: SparkSession) -> Iterator[None]:
 
 def drop_bucketed(spark: SparkSession, path: str) -> None:
     """Forget such a table and delete its files."""
-    spark.sql(f"drop table if exists {_name(path)}")
+    spark.sql(f"drop table if exists {table_name(path)}")
     forget(spark, path)
 
 

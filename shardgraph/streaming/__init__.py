@@ -9,7 +9,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from shardgraph.session import scratch_path
+from shardgraph.build import prepare
+from shardgraph.model.graph import ShardedGraph
+from shardgraph.session import exists, scratch_path, table_name
 
 
 def events(spark: SparkSession, sf: str) -> DataFrame:
@@ -81,14 +83,24 @@ def degrees_so_far(stream: DataFrame) -> DataFrame:
     return stream.groupBy("user_id").agg(F.count("*").alias("n"))
 
 
-def grow_shards(stream_edges: DataFrame, path: str, shards: int) -> None:
-    """foreachBatch: append each batch's edges to shard folders, and its sources to the index that scheduling asks."""
+def grow_shards(stream_edges: DataFrame, sg: ShardedGraph) -> ShardedGraph:
+    """A prepared graph with a stream's edges(src, dst, weight) added to the shards that own their destinations.
+
+    Each batch is dealt by the graph's intervals and appended to the same buckets; when all that is there has come,
+    counts, degrees, CSR, mirrors and filters are made anew, so that skipping stays free of loss. Edges whose ends aren't
+    vertices of the graph are left out. A batch that is run again after a failure is appended once: its number is kept with it.
+    """
     spark = stream_edges.sparkSession
+    done = scratch_path(spark, "grown-batches")
+    known = (F.col("src") >= 0) & (F.col("src") < sg.n) & (F.col("dst") >= 0) & (F.col("dst") < sg.n)
 
     def put(batch: DataFrame, k: int) -> None:
-        routed = batch.withColumn("shard_id", F.pmod(F.xxhash64("dst"), F.lit(shards)).cast("int"))
-        routed.write.mode("append").partitionBy("shard_id").parquet(f"{path}/edges")
-        routed.select("shard_id", "src").distinct().write.mode("append").parquet(f"{path}/mirror")
+        if exists(spark, f"{done}/{k}"):
+            return
+        routed = batch.where(known).select("src", "dst", "weight", sg.shard_of(F.col("dst")).alias("shard_id"))
+        routed.repartition(sg.buckets, "shard_id").write.insertInto(table_name(sg.edges_at))
+        spark.range(1).write.parquet(f"{done}/{k}")
 
     q = stream_edges.writeStream.foreachBatch(put).option("checkpointLocation", scratch_path(spark, "grow")).trigger(availableNow=True).start()
     q.awaitTermination()
+    return prepare.refresh(sg)

@@ -1,18 +1,26 @@
 from pyspark.sql import functions as F
 
-from shardgraph import streaming
-from shardgraph.build import graphs
+from shardgraph import programs, streaming
+from shardgraph.build import graphs, prepare
+from shardgraph.core import engine
+from shardgraph.model import EngineOptions, Graph
 
 
-def test_grown_shards_hold_every_edge(spark, data, tmp_path):
-    e = streaming.events(spark, data)
-    streaming.grow_shards(streaming.chain_edges(e), str(tmp_path), 4)
-    got = spark.read.parquet(f"{tmp_path}/edges")
-    want = graphs.event_chain(spark, data).edges
-    assert sorted((r.src, r.dst) for r in got.collect()) == sorted((r.src, r.dst) for r in want.collect())
-    assert got.groupBy("dst").agg(F.countDistinct("shard_id").alias("n")).where("n > 1").isEmpty()
-    mirror = {(r.shard_id, r.src) for r in spark.read.parquet(f"{tmp_path}/mirror").collect()}
-    assert mirror == {(r.shard_id, r.src) for r in got.collect()}
+def test_grown_shards_are_those_of_one_preparation(spark, data):
+    """No edge prepared, all of them streamed: owners, counts, filters and skipping are as if all had been there."""
+    whole = graphs.event_chain(spark, data)
+    user = prepare.prepare(Graph(whole.edges, whole.vertices, "chain"), threshold=300)
+    empty = prepare.prepare(Graph(whole.edges.where("src < 0"), whole.vertices, "chain"), threshold=300, bounds=[b[1] for b in user.bounds], policy="user")
+    chain = streaming.chain_edges(streaming.events(spark, data)).selectExpr("src", "dst", "1L as weight")
+    grown = streaming.grow_shards(chain, empty)
+    assert grown.bounds == user.bounds and (grown.n, grown.m) == (user.n, user.m)
+    rows = lambda df: sorted(tuple(r) for r in df.collect())
+    assert rows(grown.edges.select("shard_id", "src", "dst")) == rows(user.edges.select("shard_id", "src", "dst"))
+    assert rows(grown.mirror.select("shard_id", "src")) == rows(user.mirror.select("shard_id", "src"))
+    assert rows(grown.vinfo) == rows(user.vinfo)
+    full = engine.run(user, programs.sssp((0,)), EngineOptions(max_iter=12)).values
+    skipped = engine.run(grown, programs.sssp((0,)), EngineOptions(max_iter=12, schedule="selective", threshold=1.0)).values
+    assert engine.compare(full, skipped).first().differ == 0
 
 
 def test_closed_windows_are_those_of_the_batch(spark, data):
