@@ -163,8 +163,8 @@ def fingerprint(text: str) -> str:
     return s.text()
 
 
-#: Text that one range of documents holds, about, in code points.
-RANGE_CHARS = 1 << 24
+#: Text that one range of documents holds at least, about, in code points, and ranges at most: beyond, they grow.
+RANGE_CHARS, RANGES = 1 << 24, 50_000
 _FIELDS = [("doc_id", pa.int64()), ("n_chars", pa.int64()), ("edited_sha256", pa.string()), ("fingerprint", pa.string()), ("edited_fingerprint", pa.string()), ("near_edited", pa.float64()), ("near_next", pa.float64()), ("common_prefix", pa.int64())]
 
 
@@ -195,7 +195,7 @@ class _Held:
 def _ranges(own: DataFrame) -> list[int]:
     """The least id of each range of ids; their number follows the amount of text."""
     chars = own.agg(F.sum(F.length("text"))).first()[0] or 0
-    n = max(int(own.sparkSession.conf.get("spark.sql.shuffle.partitions")), chars // RANGE_CHARS + 1)
+    n = max(int(own.sparkSession.conf.get("spark.sql.shuffle.partitions")), min(RANGES, chars // RANGE_CHARS + 1))
     ids = saved(own.select("doc_id").where("doc_id is not null").repartitionByRange(n, "doc_id").withColumn("_pid", F.spark_partition_id()), "fp-ids")
     return sorted(r["b"] for r in ids.groupBy("_pid").agg(F.min("doc_id").alias("b")).collect())
 

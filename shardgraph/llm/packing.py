@@ -14,8 +14,8 @@ from shardgraph.llm.common import saved
 from shardgraph.llm.tokens import default_vocabulary, word_ids
 
 WINDOW, END_ID = 4096, 2
-#: Parts that each length's ranks are counted in, so no task ranks a whole hot length.
-SALTS = 256
+#: Parts that each length's ranks are counted in at least, so no task ranks a whole hot length, and pieces of which there is a part for each so many.
+SALTS, SALTED = 256, 100_000
 #: Cut documents up to which their ids are broadcast (16 bytes each); more are joined by a shuffle.
 BROADCAST_ROWS = 50_000
 
@@ -174,7 +174,8 @@ def pack(docs: DataFrame, path: str | None = None, window: int = WINDOW) -> Data
     counts = {r["length"]: r["n"] for r in pieces.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most `window` rows
     table, first, total, _ = placement(counts, window)
 
-    salt = F.pmod(F.xxhash64("doc_id", "start", "crc"), F.lit(SALTS)).cast("int")
+    salts = max(SALTS, sum(counts.values()) // SALTED)
+    salt = F.pmod(F.xxhash64("doc_id", "start", "crc"), F.lit(salts)).cast("int")
     salted = pieces.withColumn("_salt", salt)
     before = Window.partitionBy("length").orderBy("_salt").rowsBetween(Window.unboundedPreceding, -1)
     offsets = salted.groupBy("length", "_salt").agg(F.count("*").alias("_n")).select("length", "_salt", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_off"))

@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from shardgraph.llm.common import saved
+from shardgraph.llm.common import own, packed, saved
 from shardgraph.llm.words import WordTable, sampled
 
 #: Documents that the linear scorer is trained on at most, hashed features, and the least score of a kept document.
@@ -161,8 +161,8 @@ def read_features(docs: DataFrame) -> DataFrame:
                     xs.append(x.astype(np.float32))
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array(ps, pa.int32()), pa.array(ats, pa.list_(pa.int32())), pa.array(xs, pa.list_(pa.float32()))], names=["doc_id", "p", "at", "x"])
 
-    own = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    return saved(own.mapInArrow(run, "doc_id long, p int, at array<int>, x array<float>"), "quality-features")
+    texts = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
+    return saved(texts.mapInArrow(run, "doc_id long, p int, at array<int>, x array<float>"), "quality-features")
 
 
 def fit(read: DataFrame, most: int = SAMPLE) -> np.ndarray:
@@ -179,20 +179,30 @@ def fit(read: DataFrame, most: int = SAMPLE) -> np.ndarray:
 
 
 def classify(docs: DataFrame, keep: float = KEEP, most: int = SAMPLE) -> DataFrame:
-    """docs plus _score (0 to 1, higher is better) and _keep.
+    """docs plus _score (0 to 1, higher is better) and _keep; a column of docs that has such a name is replaced.
 
     No label is used. A null or empty text has no votes and is scored by the bias alone, which
     keeps it where most documents are good; null ids are scored but not learned from; repeated rows
-    count as often as they come and are scored alike; an empty table gives no rows. Columns of docs
-    stay, whatever their names.
+    count as often as they come and are scored alike; an empty table gives no rows.
     """
+    rated = _rated(docs, most)
+    return rated.select(*own(docs, ("_score", "_keep")), F.col("_s").alias("_score"), (F.col("_s") >= keep).alias("_keep"))
+
+
+def good(docs: DataFrame, keep: float = KEEP, most: int = SAMPLE) -> DataFrame:
+    """The rows of docs that classify would keep, with their columns, whatever these are called."""
+    return _rated(docs, most).where(F.col("_s") >= keep).select(*own(docs))
+
+
+def _rated(docs: DataFrame, most: int) -> DataFrame:
+    """(_d, _s): docs as one column, and scores."""
     w = fit(read_features(docs.select("doc_id", "text")), most)
 
     @F.pandas_udf("double")
     def rate(text: pd.Series) -> pd.Series:
         return pd.Series([score(t, w) for t in text], dtype="float64")
 
-    return docs.withColumn("_score", rate("text")).withColumn("_keep", F.col("_score") >= keep)
+    return packed(docs).withColumn("_s", rate("_d.text"))
 
 
 def query(spark, sf_dir: str) -> DataFrame:

@@ -37,6 +37,29 @@ def test_runs_do_not_matter(monkeypatch):
     assert fp.fingerprint("") == fp.fingerprint("") != fp.fingerprint("a")
 
 
+def plain_fingerprint(text):
+    """The fingerprint by whole numbers of any size, one window after another."""
+    h = lambda c, base: sum((ord(x) + 1) * pow(base, k, fp.PRIME) for k, x in enumerate(c)) % fp.PRIME
+    whole = h(text, fp.BASES[0]) << 31 | h(text, fp.BASES[1])
+    least = [None] * 64
+    windows = [h(text[k : k + 12], fp.BASES[0]) for k in range(len(text) - 11)] or ([whole] if text else [])
+    for w in windows:
+        x = w * 0x9E3779B97F4A7C15 % 2**64
+        x = (x ^ x >> 29) * 0xBF58476D1CE4E5B9 % 2**64
+        slot = x >> 58
+        least[slot] = x if least[slot] is None else min(x, least[slot])
+    return f"{len(text):08x}{whole:016x}" + "".join("0000" if x is None else f"{max(1, x >> 8 & 0xFFFF):04x}" for x in least)
+
+
+def plain_likeness(a, b):
+    if a == b:
+        return 1.0
+    x, y = ([f[k : k + 4] for k in range(24, len(f), 4)] for f in (a, b))
+    some = [(p, q) for p, q in zip(x, y, strict=True) if (p, q) != ("0000", "0000")]
+    j = sum(p == q for p, q in some) / len(some) if some else 0.0
+    return 2 * j / (1 + j)
+
+
 def brute(docs):
     rows = sorted(docs, key=lambda r: (r[0] is not None, r[0] or 0, r[1] or ""))
     out = []
@@ -44,15 +67,19 @@ def brute(docs):
         t, nxt = t or "", rows[(k + 1) % len(rows)][1] or ""
         cut = len(t) // 4
         e = t[: len(t) - cut] + nxt[:cut]
-        f, g = fp.fingerprint(t), fp.fingerprint(e)
-        out.append((i, len(t), hashlib.sha256(e.encode()).hexdigest(), f, g, fp.likeness(f, g), fp.likeness(f, fp.fingerprint(nxt))))
+        f, g = plain_fingerprint(t), plain_fingerprint(e)
+        out.append((i, len(t), hashlib.sha256(e.encode()).hexdigest(), f, g, plain_likeness(f, g), plain_likeness(f, plain_fingerprint(nxt))))
     return sorted(out, key=str)
 
 
 def test_whole_table(spark, data):
     rows = fp.query(spark, data).collect()
-    docs = [(r.doc_id, r.text) for r in spark.read.parquet(f"{data}/documents.parquet").collect()]
-    assert sorted((tuple(r)[:7] for r in rows), key=str) == brute(docs)
+    docs = sorted(((r.doc_id, r.text) for r in spark.read.parquet(f"{data}/documents.parquet").collect()), key=lambda r: r[0])
+    assert len(rows) == len(docs)
+    some = [k for k in range(len(docs) - 1) if len(docs[k][1] or "") < 3000][:60]  # long texts take too long by plain numbers
+    got = {r.doc_id: tuple(r)[:7] for r in rows}
+    for k in some:
+        assert got[docs[k][0]] == next(r for r in brute(docs[k : k + 2]) if r[0] == docs[k][0])
     long = [r for r in rows if r.n_chars > 400]
     assert sum(r.near_edited for r in long) / len(long) == pytest.approx(0.75, abs=0.05)
     assert sum(r.near_edited > r.near_next for r in long) > 0.95 * len(long)

@@ -39,3 +39,7 @@ def test_edges(spark):
     out = quality.classify(df).collect()
     assert len(out) == 6 and all(0 <= r._score <= 1 for r in out)
     assert quality.classify(df.limit(0)).count() == 0
+    clash = df.withColumnRenamed("score", "_score").selectExpr("*", "'x' as _keep", "1 as _s", "2 as _d")
+    kept = quality.good(clash)
+    assert kept.columns == clash.columns and {r._score for r in kept.collect()} == {r["score"] for r in out if r._keep}
+    assert quality.classify(clash).columns == ["doc_id", "text", "_s", "_d", "_score", "_keep"]
