@@ -18,7 +18,7 @@ SHINGLE, SIMILARITY = 5, 0.8
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier rejects go."""
-    return quality.classify(docs).where("_keep").select(*docs.columns)
+    return quality.good(docs)
 
 
 def drop_shared_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
