@@ -50,14 +50,13 @@ def mode_least(values: pd.Series) -> int:
     return int(values.mode().min())
 
 
-@F.udtf(returnType=StructType([StructField("dst", LongType()), StructField("src", LongType())]))
+@F.udtf(returnType=StructType([StructField("dst", LongType()), StructField("src", LongType())]), useArrow=True)
 class CsrRows:
-    """Table function: the edges of one CSR shard."""
+    """Table function: the edges of one CSR shard; its rows travel in Arrow batches."""
 
     def eval(self, lo: int, row: list[int], col: list[int]) -> Iterator[tuple[int, int]]:
         for r in range(len(row) - 1):
-            for k in range(row[r], row[r + 1]):
-                yield lo + r, col[k]
+            yield from ((lo + r, s) for s in col[row[r] : row[r + 1]])
 
 
 def codec_sizes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -6,6 +6,8 @@ import zlib
 from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, InputPartition
 
@@ -68,36 +70,49 @@ class _CsrReader(DataSourceReader):
                 yield f
 
     def partitions(self) -> list[InputPartition]:
-        import os
-
-        ids = sorted(int(f[:-2]) for f in os.listdir(self.path) if f.endswith(".z"))
+        fs, at = _files(self.path)
+        found = [f.base_name for f in fs.get_file_info(pafs.FileSelector(at))]
+        ids = sorted(int(f[:-2]) for f in found if f.endswith(".z"))
         return [InputPartition(k) for k in ids if self.only in (None, k)] or [InputPartition(-1)]
 
-    def read(self, partition: InputPartition) -> Iterator[tuple[int, int, int]]:
+    def read(self, partition: InputPartition) -> Iterator[pa.RecordBatch]:
         k = partition.value
         if k < 0:
             return
-        with open(f"{self.path}/{k}.z", "rb") as f:
+        fs, at = _files(self.path)
+        with fs.open_input_stream(f"{at}/{k}.z") as f:
             x = np.frombuffer(zlib.decompress(f.read()), "<i8")
         lo, n = int(x[0]), int(x[1])
         row, col = x[2 : 2 + n], x[2 + n :]
         dst = np.repeat(np.arange(lo, lo + n - 1), np.diff(row))
-        yield from ((k, int(s), int(d)) for s, d in zip(col, dst, strict=True))
-
+        for i in range(0, len(col), 1 << 16):
+            part = col[i : i + (1 << 16)]
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), k, np.int32)), pa.array(part), pa.array(dst[i : i + (1 << 16)])], names=["shard_id", "src", "dst"])
 
-def write_csr_files(csr: DataFrame, path: str) -> None:
-    """CSR rows as files of the csr_shards format, by the tasks that hold them."""
-    import os
 
-    os.makedirs(path, exist_ok=True)
+def _files(path: str) -> tuple[pafs.FileSystem, str]:
+    """The file system of a path and the path in it; one without a scheme is of the local, or mounted, file system."""
+    if "://" in path:
+        return pafs.FileSystem.from_uri(path)
+    return pafs.LocalFileSystem(), path.removeprefix("file:")
 
-    def put(rows) -> None:
-        for r in rows:
-            block = np.concatenate([[r["lo"], len(r["row"])], r["row"], r["col"]]).astype("<i8").tobytes()
-            with open(f"{path}/{r['shard_id']}.z", "wb") as f:
-                f.write(zlib.compress(block, 3))
 
-    csr.select("shard_id", "lo", "row", "col").foreachPartition(put)
+def write_csr_files(csr: DataFrame, path: str) -> None:
+    """CSR rows as files of the csr_shards format, by the tasks that hold them; a file that a task writes again is the same."""
+    fs, at = _files(path)
+    fs.create_dir(at)
+
+    def put(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fs, at = _files(path)
+        for b in batches:
+            for i in range(b.num_rows):
+                row, col = (b.column(c)[i].values.to_numpy() for c in ("row", "col"))
+                block = np.concatenate([[b.column("lo")[i].as_py(), len(row)], row, col]).astype("<i8").tobytes()
+                with fs.open_output_stream(f"{at}/{b.column('shard_id')[i].as_py()}.z") as f:
+                    f.write(zlib.compress(block, 3))
+            yield pa.RecordBatch.from_arrays([b.column("shard_id")], names=["shard_id"])
+
+    csr.select("shard_id", "lo", "row", "col").mapInArrow(put, "shard_id int").count()
 
 
 def register(spark: SparkSession) -> None:

@@ -11,6 +11,7 @@ from shardgraph import cost, programs
 from shardgraph.baselines import MODELS, HybridCut, run_model, spmv
 from shardgraph.build import graphs, prepare
 from shardgraph.core import cache, engine, schedule
+from shardgraph.functions import facade
 from shardgraph.model.graph import EngineOptions, Graph, ShardedGraph
 from shardgraph.session import saved
 from shardgraph.workloads import oracles as o
@@ -189,6 +190,18 @@ def _cached(spark, sf, mode):
     return _rounded(_run("pull_window", "pagerank", sg, 10, cache=mode, cache_bytes=sg.m * 8 // 5).values)
 
 
+def _facade(spark, sf, g, statement):
+    """An application as one SQL statement over the views of a prepared graph."""
+    facade.register(sharded(spark, sf, g), f"sg_{g}")
+    out = facade.run_sql(spark, statement)
+    return _rounded(out) if "double" in dict(out.dtypes)["value"] else out
+
+
+def _facade_state(spark, sf):
+    facade.register_result(sharded(spark, sf, "part_next", True), programs.components(), "sg_components", EngineOptions(max_iter=200))
+    return spark.sql("select value as component, count(*) as size from sg_components group by value")
+
+
 def _hubs(spark, sf, g):
     """Vertices whose in-edges the hybrid cut spreads, and those edges."""
     sg = sharded(spark, sf, g)
@@ -329,6 +342,10 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
     add("pagerank_personalised", lambda s, d: _rounded(engine.run(sharded(s, d, "part_next"), programs.pagerank(seeds={0, 7, 11}), EngineOptions(max_iter=10)).values), o.pagerank("part_next", seeds=(0, 7, 11)) + " select id, round(value, 10) as value from r10")
     add("influence", lambda s, d: _rounded(engine.run(sharded(s, d, "event_chain"), programs.influence(), EngineOptions(max_iter=10)).values), o.influence("event_chain", 10) + " select id, round(value, 10) as value from r10")
     add("hits", lambda s, d: engine.hits(sharded(s, d, "part_next"), 5).select("id", F.round("hub", 9).alias("hub"), F.round("authority", 9).alias("authority")), o.hits("part_next", 5) + " select id, round(hub, 9) as hub, round(authority, 9) as authority from h5")
+    add("facade_pagerank", lambda s, d: _facade(s, d, "part_next", facade.pagerank_sql("sg_part_next", 3)), o.pagerank("part_next", 3) + " select id, round(value, 10) as value from r3")
+    add("facade_sssp", lambda s, d: _facade(s, d, "event_chain", facade.sssp_sql("sg_event_chain", 0)), o.sssp("event_chain") + " select id, value from dist")
+    add("facade_reached", lambda s, d: _facade(s, d, "geo_tree", facade.reached_sql("sg_geo_tree")), o.head("geo_tree", "p(root, id) as (select id, id from v union all select p.root, e.dst from p join e on e.src = p.id)") + " select id, min(root) as value from p group by id")
+    add("facade_state", lambda s, d: _facade_state(s, d), o.components("part_next") + " select label as component, count(*) as size from c group by label")
     for g in MAIN:
         add(f"hybrid_hubs_{g}", lambda s, d, g=g: _hubs(s, d, g), o.head(g, o.DEGREES) + ", q as (select quantile_cont(in_deg, 0.99) as q from deg) select count(*) as hubs, sum(in_deg)::bigint as hub_edges from deg, q where in_deg > q")
     return q, sql

@@ -7,6 +7,7 @@ from shardgraph.baselines import MODELS, run_model
 from shardgraph.build import graphs, prepare
 from shardgraph.core import cache, engine, schedule
 from shardgraph.model import EngineOptions, Graph
+from shardgraph.model.graph import ArrowProgram
 from shardgraph.session import dealt_by_one_key
 
 
@@ -275,3 +276,83 @@ def test_builders_have_dense_ids(spark, data):
     for name, (v, e) in want.items():
         g = graphs.BUILDERS[name](spark, data)
         assert (g.vertices.count(), g.edges.count()) == (v, e), name
+
+
+def test_weighted_and_personal_pagerank(spark, sharded):
+    out = np.zeros(7)
+    for s, _, w in EDGES:
+        out[s] += w
+    v, p = np.full(7, 1 / 7), np.full(7, 1 / 7)
+    deg = np.bincount([s for s, _, _ in EDGES], minlength=7)
+    for _ in range(10):
+        nv, np_ = np.full(7, 0.15 / 7), np.where(np.isin(range(7), [3, 5]), 0.075, 0.0)
+        for s, d, w in EDGES:
+            nv[d] += 0.85 * v[s] * w / out[s]
+            np_[d] += 0.85 * p[s] / deg[s]
+        v, p = nv, np_
+    got = values(engine.run(sharded, programs.pagerank(weighted=True)))
+    assert [got[i] for i in range(7)] == pytest.approx(v.tolist(), abs=1e-12) and sum(got.values()) <= 1 + 1e-12
+    got = values(engine.run(sharded, programs.pagerank(seeds={3, 5})))
+    assert [got[i] for i in range(7)] == pytest.approx(p.tolist(), abs=1e-12)
+
+
+def test_tolerance_ends_a_run(sharded):
+    r = engine.run(sharded, programs.pagerank(tol=1e-3), EngineOptions(max_iter=200))
+    assert r.converged and r.rounds < 60
+    assert max(abs(a - b) for a, b in zip(ref_pagerank(EDGES, 7, 300), (values(r)[i] for i in range(7)), strict=True)) < 0.01
+
+
+def test_greatest_label(spark, sharded):
+    sym = prepare.prepare(graphs.symmetrize(sharded.graph), threshold=4)
+    got = values(engine.run(sym, programs.components("max"), EngineOptions(max_iter=20)))
+    assert [got[i] for i in range(7)] == [5, 5, 5, 4, 4, 5, 6]
+
+
+def test_a_program_over_arrays(sharded):
+    """A user's own update over whole shards: the greatest edge value into each vertex."""
+
+    def update(row, col, val, old, out, lo, n):
+        new = old[lo : lo + len(row) - 1].copy()
+        for k in range(len(new)):
+            new[k] = max([new[k], *val[row[k] : row[k + 1]]])
+        return new
+
+    F = graphs.F
+    program = ArrowProgram("greatest", lambda n: (F.lit(0).cast("long"), F.lit(True)), update, lambda old, new: new != old)
+    r = engine.run_kernel(sharded, program, EngineOptions(max_iter=5))
+    assert r.converged and values(r) == {0: 4, 1: 2, 2: 7, 3: 1, 4: 3, 5: 0, 6: 0}
+
+
+def test_hits(sharded):
+    a = np.zeros((7, 7))
+    for s, d, _ in EDGES:
+        a[s, d] += 1
+    hub = np.ones(7)
+    for _ in range(4):
+        auth = a.T @ hub
+        auth /= np.linalg.norm(auth)
+        hub = a @ auth
+        hub /= np.linalg.norm(hub)
+    got = {r.id: (r.hub, r.authority) for r in engine.hits(sharded, 4).collect()}
+    assert [got[i][0] for i in range(7)] == pytest.approx(hub.tolist()) and [got[i][1] for i in range(7)] == pytest.approx(auth.tolist())
+
+
+def test_one_owner_for_each_destination(sharded):
+    assert sharded.edges.groupBy("dst").agg(graphs.F.countDistinct("shard_id").alias("k")).where("k > 1").isEmpty()
+
+
+def test_hybrid_cut_has_hubs(spark, data):
+    sg = prepare.prepare(graphs.word_next(spark, data))
+    model = MODELS["gas_hybrid"](sg, programs.pagerank(), EngineOptions())
+    model.prepare(None)
+    plain = MODELS["gas_cut"](sg, programs.pagerank(), EngineOptions())
+    plain.prepare(None)
+    assert model.made["hubs"] > 0 and 1 < model.replication < plain.replication
+    model.close(), plain.close()
+
+
+def test_counted_records_match_the_formulas_order(sharded):
+    """What models read in a round, as counted: sliding windows most, pulled windows least."""
+    read = {m: run_model(m, sharded, programs.pagerank(), EngineOptions(max_iter=1)).ledger[-1]["read_bytes"] for m in ("psw", "esg", "vsp", "pull_window")}
+    assert read["psw"] == 8 * 7 + 32 * 9 and read["esg"] == 8 * 7 + 16 * 9 and read["pull_window"] == 8 * 9
+    assert read["psw"] > read["esg"] > read["vsp"] > read["pull_window"]
