@@ -36,15 +36,15 @@ def totals(ledger: DataFrame) -> DataFrame:
     return ledger.groupBy("run", "model", "app").agg(F.count("*").alias("rounds"), F.sum("seconds").alias("seconds"), F.sum("read_bytes").alias("read_bytes"), F.sum("write_bytes").alias("write_bytes"), F.sum("shards_read").alias("shards_read"), F.sum("cache_hits").alias("hits"))
 
 
-def speed_up(ledger: DataFrame, base: str, other: str) -> DataFrame:
-    """(app, speed_up): total seconds of model `base` over those of `other`."""
-    t = totals(ledger)
-    a, b = (t.where(F.col("model") == m).select("app", F.col("seconds").alias(s)) for m, s in ((base, "x"), (other, "y")))
-    return a.join(b, "app").select("app", (F.col("x") / F.col("y")).alias("speed_up"))
+def speed_ups(totals: DataFrame, base: str = "pull_window") -> DataFrame:
+    """totals(graph, app, model, seconds, ...) with speed_up: how many times the seconds of model `base` each takes."""
+    own = totals.where(F.col("model") == base).select("graph", "app", F.col("seconds").alias("_base"))
+    return totals.join(own, ["graph", "app"], "left").withColumn("speed_up", F.col("seconds") / F.greatest("_base", F.lit(1e-9))).drop("_base")
 
 
-def edges_per_second(ledger: DataFrame, edges: int) -> DataFrame:
-    return totals(ledger).select("run", "model", "app", (F.col("rounds") * F.lit(edges) / F.greatest("seconds", F.lit(1e-9))).alias("edges_s"))
+def edges_per_second(totals: DataFrame) -> DataFrame:
+    """totals(rounds, edges, seconds, ...) with edges_s: edges that rounds pass over in a second."""
+    return totals.withColumn("edges_s", F.col("rounds") * F.col("edges") / F.greatest("seconds", F.lit(1e-9)))
 
 
 def activation(ledger: DataFrame, vertices: int) -> DataFrame:

@@ -65,8 +65,9 @@ def cache_modes(spark: SparkSession, sf: str, g: str = "part_next", rounds: int
         sg = _graph(spark, sf, g, app)
         for mode in (0, 1, 2, 3, 4, "auto"):
             x = engine.run(sg, program(app), EngineOptions(max_iter=rounds, cache=mode, cache_bytes=int(sg.m * EDGE_BYTES * share))).ledger
-            rows.append((app, str(mode), max(r["cache_hits"] / r["shards_total"] for r in x), sum(r["read_bytes"] for r in x), x[0]["seconds"], sum(r["seconds"] for r in x[1:])))
-    return spark.createDataFrame(rows, "app string, mode string, cached_ratio double, missed_bytes long, first_round double, later_rounds double")
+            hit = max(r["cache_hits"] / r["shards_total"] for r in x)
+            rows.append((app, str(mode), hit, 1 - hit, sum(r["read_bytes"] for r in x), x[0]["seconds"], sum(r["seconds"] for r in x[1:])))
+    return spark.createDataFrame(rows, "app string, mode string, cached_ratio double, miss_ratio double, missed_bytes long, first_round double, later_rounds double")
 
 
 def in_memory(spark: SparkSession, sf: str, g: str = "part_next", rounds=(120, 15, 25)) -> DataFrame:
@@ -100,8 +101,22 @@ def models(spark: SparkSession, sf: str, names=("psw", "esg", "vsp", "dsw"), gs=
             for m, label, more in runs:
                 x = run_model(m, sg, program(app), EngineOptions(max_iter=rounds, **more)).ledger
                 own = [r for r in x if r["phase"] != "load"]
-                rows.append((g, app, label, len(own), sum(r["seconds"] for r in x if r["phase"] == "load"), sum(r["seconds"] for r in own), sum(r["read_bytes"] for r in own), sum(r["write_bytes"] for r in own)))
-    return spark.createDataFrame(rows, "graph string, app string, model string, rounds int, load double, seconds double, read_bytes long, write_bytes long")
+                rows.append((g, app, label, len(own), sg.m, sum(r["seconds"] for r in x if r["phase"] == "load"), sum(r["seconds"] for r in own), sum(r["read_bytes"] for r in own), sum(r["write_bytes"] for r in own)))
+    totals = spark.createDataFrame(rows, "graph string, app string, model string, rounds int, edges long, load double, seconds double, read_bytes long, write_bytes long")
+    return cost.speed_ups(cost.edges_per_second(totals))
+
+
+def replication(spark: SparkSession, sf: str, gs=MAIN) -> DataFrame:
+    """Copies of vertices that the two cuts spread over workers, and the hubs that one of them tells apart."""
+    rows = []
+    for g in gs:
+        sg = sharded(spark, sf, g)
+        for name in ("gas_cut", "gas_hybrid"):
+            model = MODELS[name](sg, programs.pagerank(), EngineOptions())
+            model.prepare(engine.start(sg.vinfo, programs.pagerank(), sg.n))
+            rows.append((g, name, model.made["copies"], model.replication, model.made.get("hubs", 0)))
+            model.close()
+    return spark.createDataFrame(rows, "graph string, model string, copies long, replication double, hubs long")
 
 
 def clusters(spark: SparkSession, sf: str, **kw) -> DataFrame:
@@ -216,5 +231,5 @@ def surveyed_scheduling(spark: SparkSession, sf: str) -> DataFrame:
 EXPERIMENTS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "w01_scheduling": surveyed_scheduling, "w02_cache_modes": lambda s, d: cache_modes(s, d, "word_next"), "w03_in_memory": in_memory,
     "w04_out_of_core": lambda s, d: models(s, d, gs=FOUR), "w05_preprocessing": lambda s, d: preprocessing(s, d, MAIN), "w06_memory": memory, "w07_clusters": lambda s, d: clusters(s, d, gs=FOUR),
-    "w08_datasets": datasets, "w09_compression": lambda s, d: compressors(s, d, tuple(graphs.BUILDERS)), "w10_analytic": analytic, "w11_reuse": reuse, "w12_scale": scale, "w13_workers": workers,
+    "w08_datasets": datasets, "w09_compression": lambda s, d: compressors(s, d, tuple(graphs.BUILDERS)), "w10_analytic": analytic, "w11_reuse": reuse, "w12_scale": scale, "w13_workers": workers, "replication": replication,
 }

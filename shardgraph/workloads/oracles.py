@@ -112,3 +112,13 @@ def sssp(g: str, weighted: bool = True, source: int | str = 0) -> str:
 def components(g: str) -> str:
     return head(g, SYMMETRIC) + """, c(id, label) using key (id) as (select id, id from v union
         (select s.dst, min(c.label) from c join s on s.src = c.id join recurring.c r on r.id = s.dst where c.label < r.label group by s.dst)) """
+
+
+def label_rounds(g: str, rounds: int) -> str:
+    """(iter, active): vertices whose least label the round before changed, all at first, for as many rounds as there are such."""
+    parts = ["l0 as materialized (select id, id as label from v)"]
+    counts = ["select 1 as iter, count(*) as active from v"]
+    for k in range(1, rounds + 1):
+        parts.append(f"l{k} as materialized (select p.id, least(p.label, coalesce(min(q.label), p.label)) as label, p.label as old from l{k - 1} p left join s on s.dst = p.id left join l{k - 1} q on q.id = s.src group by p.id, p.label)")
+        counts.append(f"select {k + 1}, count(*) filter (label <> old) from l{k}")
+    return head(g, SYMMETRIC, *parts) + " select iter::int as iter, active from (" + " union all ".join(counts) + ") where active > 0"

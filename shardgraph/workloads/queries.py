@@ -284,8 +284,8 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
         add(f"shards_read_exact_{g}", lambda s, d, g=g: _visits(s, d, g, "exact"), o.visits(g, SHARDS) + " select iter, shards_read from k")
         add(f"shards_read_bloom_{g}", lambda s, d, g=g: _visits(s, d, g, "selective"), o.visits(g, SHARDS) + " select sum(shards_read)::bigint as needed, true as enough, true as few_more from k")
         add(f"shards_active_bloom_{g}", lambda s, d, g=g: _bloom(s, d, g), o.intervals(g, SHARDS) + ", h as materialized (select distinct shard_id, src from e join iv on dst between lo and hi), f as (select shard_id, min(src) as src from h group by 1) select f.shard_id, (select count(*) from h where h.src = f.src) as needed, 0::bigint as missed, true as few_more from f")
-        for app in ("cc", "pagerank"):
-            add(f"active_ratio_{app}_{g}", lambda s, d, g=g, app=app: _activity(s, d, g, app))
+        add(f"active_ratio_cc_{g}", lambda s, d, g=g: _activity(s, d, g, "cc"), o.label_rounds(g, {"part_next": 10, "word_next": 20, "event_chain": 110}[g]))
+        add(f"active_ratio_pagerank_{g}", lambda s, d, g=g: _activity(s, d, g, "pagerank"))
         add(f"active_ratio_sssp_{g}", lambda s, d, g=g: _activity(s, d, g), o.sssp(g, False) + " select (value + 1)::int as iter, count(*) as active from dist where value is not null group by 1")
         x = f"(1 - exp(-m / v / {SHARDS}.0)) * {SHARDS}.0"
         add(f"analytic_t3_{g}", lambda s, d, g=g: _analytic(s, d, g), o.head(g) + f""", k as (select (select count(*) from e)::double as m, (select count(*) from v)::double as v)

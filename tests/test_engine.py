@@ -2,7 +2,7 @@ import duckdb
 import numpy as np
 import pytest
 
-from shardgraph import plans, programs
+from shardgraph import cost, plans, programs
 from shardgraph.baselines import MODELS, run_model
 from shardgraph.build import graphs, prepare
 from shardgraph.core import cache, engine, schedule
@@ -356,3 +356,19 @@ def test_counted_records_match_the_formulas_order(sharded):
     read = {m: run_model(m, sharded, programs.pagerank(), EngineOptions(max_iter=1)).ledger[-1]["read_bytes"] for m in ("psw", "esg", "vsp", "pull_window")}
     assert read["psw"] == 8 * 7 + 32 * 9 and read["esg"] == 8 * 7 + 16 * 9 and read["pull_window"] == 8 * 9
     assert read["psw"] > read["esg"] > read["vsp"] > read["pull_window"]
+
+
+def test_filters_are_made_in_the_first_round_where_there_are_none(spark, data):
+    g = graphs.event_chain(spark, data)
+    plain = prepare.prepare(g, parts=("csr", "mirror"))
+    assert plain.filters is None
+    r = engine.run(plain, programs.sssp((0,)), EngineOptions(max_iter=4, schedule="selective", threshold=1.0))
+    assert r.ledger[0]["phase"] == "fill" and all(x["shards_read"] <= 3 for x in r.ledger)
+
+
+def test_measures(spark):
+    t = spark.createDataFrame([("g", "a", "pull_window", 10, 100, 2.0), ("g", "a", "psw", 10, 100, 5.0)], "graph string, app string, model string, rounds int, edges long, seconds double")
+    got = {r.model: (r.edges_s, r.speed_up) for r in cost.speed_ups(cost.edges_per_second(t)).collect()}
+    assert got == {"pull_window": (500.0, 1.0), "psw": (200.0, 2.5)}
+    ledger = spark.createDataFrame([("r", "m", "a", 1, 5, 4, 1)], "run string, model string, app string, iter int, active long, shards_read int, cache_hits int")
+    assert cost.activation(ledger, 10).select("ratio", "miss_ratio").first() == (0.5, 0.75)
