@@ -139,21 +139,21 @@ def in_neighbors(shards: DataFrame, v: int, bounds: list[tuple[int, int, int, in
     return shards.where(F.col("shard_id") == k).select(F.explode(F.slice("col", first.cast("int") + 1, (end - first).cast("int"))).alias("src"))
 
 
-def write_meta(path: str, g: Graph, n: int, m: int, bounds: list, vinfo: DataFrame, edges: str) -> None:
-    """Property file (counts, intervals, where the edges lie, JSON) and vertex information file (degrees, Parquet)."""
+def write_meta(path: str, g: Graph, n: int, m: int, bounds: list, vinfo: DataFrame, edges: str, laid: int) -> None:
+    """Property file (counts, intervals, where and how the edges lie, JSON) and vertex information file (degrees, Parquet)."""
     spark = g.vertices.sparkSession
-    spark.createDataFrame([(n, m, len(bounds), g.weighted, [list(b) for b in bounds], edges)], "num_vertices long, num_edges long, num_shards int, weighted boolean, intervals array<array<long>>, edges string").coalesce(1).write.json(f"{path}/props")
+    spark.createDataFrame([(n, m, len(bounds), g.weighted, [list(b) for b in bounds], edges, laid)], "num_vertices long, num_edges long, num_shards int, weighted boolean, intervals array<array<long>>, edges string, laid long").coalesce(1).write.json(f"{path}/props")
     vinfo.write.parquet(f"{path}/vinfo")
 
 
-def _derive(path: str, g: Graph, deg: DataFrame, n: int, m: int, bounds: list, edges: DataFrame, at: str, parts: tuple[str, ...]) -> ShardedGraph:
+def _derive(path: str, g: Graph, deg: DataFrame, n: int, m: int, bounds: list, edges: DataFrame, at: str, laid: int, parts: tuple[str, ...]) -> ShardedGraph:
     """Write what follows from edges that lie in their shards at `at`, and open it."""
     vinfo = deg.withColumn("shard_id", interval_of(F.col("id"), [b[1] for b in bounds]))
-    write_meta(path, g, n, m, bounds, vinfo, at)
+    write_meta(path, g, n, m, bounds, vinfo, at, laid)
     if "csr" in parts:
         to_csr(edges, bounds).write.parquet(f"{path}/csr")
     if "mirror" in parts:
-        mirror = bucketed(edges.select("shard_id", "src").distinct(), f"{path}/mirror", "src", buckets_of(len(bounds)))
+        mirror = bucketed(edges.select("shard_id", "src").distinct(), f"{path}/mirror", "src", buckets_of(len(bounds), laid))
         if "filters" in parts:
             build_filters(mirror).write.parquet(f"{path}/filters")
     return open_sharded(edges.sparkSession, path, g)
@@ -177,8 +177,8 @@ def prepare(g: Graph, threshold: int | None = None, path: str | None = None, pol
     row = deg.agg(F.count("*").alias("n"), F.sum("in_deg").alias("m")).first()
     n, m = row["n"], row["m"] or 0
     bounds = cut_intervals(deg, threshold or max(1, m // shards), policy, bounds, shards, n)
-    sharded = bucketed(assign_shards(edges, bounds), f"{path}/edges", "shard_id", buckets_of(len(bounds)), ("shard_id", "dst", "src"))
-    return _derive(path, held, deg, n, m, bounds, sharded, f"{path}/edges", parts)
+    sharded = bucketed(assign_shards(edges, bounds), f"{path}/edges", "shard_id", buckets_of(len(bounds), m), ("shard_id", "dst", "src"))
+    return _derive(path, held, deg, n, m, bounds, sharded, f"{path}/edges", m, parts)
 
 
 def refresh(sg: ShardedGraph, parts: tuple[str, ...] = PARTS) -> ShardedGraph:
@@ -190,7 +190,7 @@ def refresh(sg: ShardedGraph, parts: tuple[str, ...] = PARTS) -> ShardedGraph:
     deg = saved(degrees(held), "degrees")
     grown = {r["shard_id"]: r["n"] for r in edges.groupBy("shard_id").agg(F.count("*").alias("n")).collect()}  # one a shard
     bounds = [(k, lo, hi, grown.get(k, 0)) for k, lo, hi, _ in sg.bounds]
-    return _derive(scratch_path(spark, f"grown-{sg.graph.name}"), held, deg, sg.n, sum(grown.values()), bounds, edges, sg.edges_at, parts)
+    return _derive(scratch_path(spark, f"grown-{sg.graph.name}"), held, deg, sg.n, sum(grown.values()), bounds, edges, sg.edges_at, sg.laid, parts)
 
 
 def open_sharded(spark: SparkSession, path: str, g: Graph | None = None) -> ShardedGraph:
@@ -199,12 +199,12 @@ def open_sharded(spark: SparkSession, path: str, g: Graph | None = None) -> Shar
 
     p = spark.read.json(f"{path}/props").first()
     bounds = [tuple(b) for b in p["intervals"]]
-    buckets = buckets_of(len(bounds))
+    buckets = buckets_of(len(bounds), p["laid"])
     vinfo, edges = spark.read.parquet(f"{path}/vinfo"), open_bucketed(spark, p["edges"], "src long, dst long, weight long, shard_id int", "shard_id", buckets)
     g = g or Graph(edges.drop("shard_id"), vinfo.select("id"), os.path.basename(path))
     made = {x: read(f"{path}/{x}") if exists(spark, f"{path}/{x}") else None for x, read in (("csr", spark.read.parquet), ("filters", spark.read.parquet))}
     mirror = open_bucketed(spark, f"{path}/mirror", "shard_id int, src long", "src", buckets) if exists(spark, f"{path}/mirror") else None
-    return ShardedGraph(g, p["num_vertices"], p["num_edges"], bounds, edges, vinfo, mirror, made["filters"], made["csr"], path, p["edges"])
+    return ShardedGraph(g, p["num_vertices"], p["num_edges"], bounds, edges, vinfo, mirror, made["filters"], made["csr"], path, p["edges"], p["laid"])
 
 
 def graph_stats(g: Graph) -> DataFrame:

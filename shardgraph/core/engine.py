@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from shardgraph.core.cache import EdgeCache
-from shardgraph.core.schedule import build_filters, edges_of_active, pick
+from shardgraph.core.schedule import build_filters, edges_of_active, hashes, pick, probe
 from shardgraph.model.graph import ArrowProgram, EngineOptions, Result, ShardedGraph, VertexProgram
 from shardgraph.model.schema import EDGE_BYTES, VERTEX_BYTES
 from shardgraph.session import dealt_by_one_key, forget, saved, scratch_path
@@ -160,7 +160,8 @@ KERNEL_ROWS = 1 << 24
 
 
 def run_kernel(sg: ShardedGraph, program: VertexProgram | ArrowProgram, opts: EngineOptions = EngineOptions()) -> Result:
-    """The same rounds over CSR shards with vertex arrays in memory: each worker writes the values of its own shards only.
+    """The same rounds over CSR shards with vertex arrays in memory: each worker writes the values of its own shards only,
+    and asks a shard's filter, or its sources, itself before it works on it.
 
     For graphs whose vertex arrays fit, checked against KERNEL_ROWS; larger ones take run().
     """
@@ -178,36 +179,40 @@ def run_kernel(sg: ShardedGraph, program: VertexProgram | ArrowProgram, opts: En
     active = int(np.count_nonzero(on))
     update: Callable = program.update if isinstance(program, ArrowProgram) else program.kernel
     n, ledger, rounds = sg.n, [], 0
-    csr = (sg.csr if opts.at_once is None else sg.csr.repartitionByRange(opts.at_once, "shard_id")).persist()
-    edges_in = {b[0]: b[3] for b in sg.bounds}
+    idempotent = getattr(program, "idempotent", True)
+    csr = sg.csr
+    if opts.schedule == "selective" and idempotent:
+        csr = csr.join(sg.filters, "shard_id")
+    elif opts.schedule == "exact" and idempotent:
+        csr = csr.join(sg.mirror.groupBy("shard_id").agg(F.collect_list("src").alias("sources")), "shard_id", "left")
+    csr = (csr if opts.at_once is None else csr.repartitionByRange(opts.at_once, "shard_id")).persist()
+    edges_in = {b[1]: b[3] for b in sg.bounds}
     try:
         while active and rounds < opts.max_iter:
             t0 = time.perf_counter()
-            ratio = active / max(1, n)
-            visited = None
-            if opts.schedule in ("selective", "exact") and getattr(program, "idempotent", True) and (opts.schedule == "exact" or ratio <= opts.threshold):
-                visited = pick(sg, opts.schedule, opts.threshold, spark.createDataFrame(pa.table({"id": np.flatnonzero(on)})), ratio)
-            sent = spark.sparkContext.broadcast((old, deg))
+            asks = idempotent and (opts.schedule == "exact" or opts.schedule == "selective" and active / max(1, n) <= opts.threshold)
+            ids = np.flatnonzero(on) if asks else None
+            sent = spark.sparkContext.broadcast((old, deg, ids, hashes(ids) if asks and opts.schedule == "selective" else None))
 
             def step(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
-                values, out = sent.value
+                values, out, ids, h = sent.value
                 for b in batches:
+                    flat = lambda c, k: b.column(c)[k].values.to_numpy(zero_copy_only=False) if c in b.schema.names and b.column(c)[k].is_valid else np.zeros(0, np.int64)  # noqa: B023, E731
                     for k in range(b.num_rows):
-                        row, col = (b.column(c)[k].values.to_numpy(zero_copy_only=False) for c in ("row", "col"))
-                        val = b.column("val")[k].values.to_numpy(zero_copy_only=False) if "val" in b.schema.names else None
-                        lo = b.column("lo")[k].as_py()
-                        new = update(row, col, val, values, out, lo, n)
-                        yield pa.RecordBatch.from_arrays([pa.array([lo]), pa.array([np.ascontiguousarray(new).tobytes()], pa.binary())], names=["lo", "new"])
-
-            new = old.copy()
-            held = csr if visited is None else csr.where(F.col("shard_id").isin(visited))
-            for r in held.mapInArrow(step, "lo long, new binary").collect():  # one array of at most KERNEL_ROWS values, by shard
-                part = np.frombuffer(r["new"], old.dtype)
-                new[r["lo"] : r["lo"] + len(part)] = part
+                        lo, new = b.column("lo")[k].as_py(), None
+                        if ids is None or (np.isin(ids, flat("sources", k)) if h is None else probe(h, b.column("m")[k].as_py(), b.column("k")[k].as_py(), flat("places", k), flat("words", k))).any():
+                            new = np.ascontiguousarray(update(flat("row", k), flat("col", k), flat("val", k) if "val" in b.schema.names else None, values, out, lo, n)).tobytes()
+                        yield pa.RecordBatch.from_arrays([pa.array([lo]), pa.array([new], pa.binary())], names=["lo", "new"])
+
+            new, many, read = old.copy(), 0, 0
+            for r in csr.mapInArrow(step, "lo long, new binary").collect():  # one array of at most KERNEL_ROWS values, by shard; none of those skipped
+                if r["new"] is not None:
+                    part = np.frombuffer(r["new"], old.dtype)
+                    new[r["lo"] : r["lo"] + len(part)] = part
+                    many, read = many + 1, read + edges_in[r["lo"]]
             sent.destroy()
             rounds += 1
             on = new != old if not isinstance(program, ArrowProgram) else program.changed(old, new)
-            many, read = (sg.shards, sg.m) if visited is None else (len(visited), sum(edges_in[k] for k in visited))
             ledger.append({"run": opts.run, "model": "pull_window", "app": program.name, "iter": rounds, "phase": "kernel", "active": active, "shards_total": sg.shards, "shards_read": many, "cache_hits": many, "read_rows": read, "read_bytes": read * EDGE_BYTES, "write_rows": 0, "write_bytes": 0, "seconds": time.perf_counter() - t0})
             old, active = new, int(np.count_nonzero(on))
     finally:

@@ -36,6 +36,18 @@ def build_filters(mirror: DataFrame, fpp: float = 0.01) -> DataFrame:
     return held.select("shard_id", "m", F.lit(k).alias("k"), F.col("x.w").alias("places"), F.col("x.b").alias("words"))
 
 
+def hashes(ids: np.ndarray) -> np.ndarray:
+    """xxhash64 of 64-bit ids, with the seed that Spark's function has (fixed values: its five primes)."""
+    p1, p2, p3, p4, p5 = (np.uint64(p) for p in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
+    turn = lambda x, r: x << np.uint64(r) | x >> np.uint64(64 - r)
+    x = ids.astype(np.int64).view(np.uint64)
+    h = np.full(len(x), np.uint64(42 + 8) + p5) ^ turn(x * p2, 31) * p1
+    h = turn(h, 27) * p1 + p4
+    h = (h ^ h >> np.uint64(33)) * p2
+    h = (h ^ h >> np.uint64(29)) * p3
+    return (h ^ h >> np.uint64(32)).view(np.int64)
+
+
 def probe(h: np.ndarray, m: int, k: int, places: np.ndarray, words: np.ndarray) -> np.ndarray:
     """Whether the filter may hold each hash."""
     bits = np.zeros(m // 64 + 1, np.uint64)

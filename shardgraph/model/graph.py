@@ -112,7 +112,7 @@ class ShardedGraph:
     edges(shard_id, src, dst, weight) in buckets of shard_id; intervals(shard_id, lo, hi, edges);
     vinfo(id, shard_id, in_deg, out_deg, out_weight); mirror(shard_id, src) in buckets of src; filters(shard_id, m, k, places,
     words); csr, one row a shard.
-    bounds is the intervals on the driver: one row a shard.
+    bounds is the intervals on the driver: one row a shard. laid is how many edges there were when they were laid out.
     """
 
     graph: Graph
@@ -126,6 +126,7 @@ class ShardedGraph:
     csr: DataFrame | None
     path: str
     edges_at: str
+    laid: int
 
     @property
     def shards(self) -> int:
@@ -133,15 +134,19 @@ class ShardedGraph:
 
     @property
     def buckets(self) -> int:
-        return buckets_of(self.shards)
+        return buckets_of(self.shards, self.laid)
 
     def shard_of(self, c: Column) -> Column:
         return interval_of(c, [b[1] for b in self.bounds])
 
 
-def buckets_of(shards: int) -> int:
-    """Buckets of the tables of so many shards."""
-    return max(1, min(shards, 4096))
+#: Edges that one bucket of a graph's tables holds at least, and buckets at least and at most.
+BUCKET_EDGES, FEWEST, MOST = 1 << 20, 8, 4096
+
+
+def buckets_of(shards: int, edges: int) -> int:
+    """Buckets of the tables of a graph: no more than shards, enough for a cluster's cores, not so many that small graphs pay for tasks."""
+    return max(1, min(shards, MOST, max(FEWEST, edges // BUCKET_EDGES)))
 
 
 def interval_of(c: Column, starts: list[int]) -> Column:

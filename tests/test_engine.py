@@ -210,6 +210,7 @@ def test_filters_miss_nothing_and_add_little(spark):
         hit = schedule.probe(h["h"].to_numpy(), r.m, r.k, np.array(r.places), np.array(r.words))
         own = (h["id"] < 40_000) & (h["id"] % 8 == r.shard_id)
         assert hit[own].all() and hit[~own].mean() < 0.02
+    assert (schedule.hashes(h["id"].to_numpy()) == h["h"].to_numpy()).all()
     active = spark.range(50_000, 50_003)
     assert schedule.active_shards_bloom(filters, active).count() <= 2
     monkey = schedule.CHUNK
