@@ -66,7 +66,7 @@ def cache_modes(spark: SparkSession, sf: str, g: str = "part_next", rounds: int
         for mode in (0, 1, 2, 3, 4, "auto"):
             x = engine.run(sg, program(app), EngineOptions(max_iter=rounds, cache=mode, cache_bytes=int(sg.m * EDGE_BYTES * share))).ledger
             hit = max(r["cache_hits"] / r["shards_total"] for r in x)
-            rows.append((app, str(mode), hit, 1 - hit, sum(r["read_bytes"] for r in x), x[0]["seconds"], sum(r["seconds"] for r in x[1:])))
+            rows.append((app, str(mode), hit, 1 - hit, sum(r["read_bytes"] for r in x), x[0]["seconds"], float(sum(r["seconds"] for r in x[1:]))))
     return spark.createDataFrame(rows, "app string, mode string, cached_ratio double, miss_ratio double, missed_bytes long, first_round double, later_rounds double")
 
 
@@ -101,7 +101,7 @@ def models(spark: SparkSession, sf: str, names=("psw", "esg", "vsp", "dsw"), gs=
             for m, label, more in runs:
                 x = run_model(m, sg, program(app), EngineOptions(max_iter=rounds, **more)).ledger
                 own = [r for r in x if r["phase"] != "load"]
-                rows.append((g, app, label, len(own), sg.m, sum(r["seconds"] for r in x if r["phase"] == "load"), sum(r["seconds"] for r in own), sum(r["read_bytes"] for r in own), sum(r["write_bytes"] for r in own)))
+                rows.append((g, app, label, len(own), sg.m, float(sum(r["seconds"] for r in x if r["phase"] == "load")), float(sum(r["seconds"] for r in own)), sum(r["read_bytes"] for r in own), sum(r["write_bytes"] for r in own)))
     totals = spark.createDataFrame(rows, "graph string, app string, model string, rounds int, edges long, load double, seconds double, read_bytes long, write_bytes long")
     return cost.speed_ups(cost.edges_per_second(totals))
 
