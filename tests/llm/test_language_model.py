@@ -140,3 +140,12 @@ def test_a_hot_group_of_copies_is_salted(spark):
 def test_edges(spark, rows):
     df = spark.createDataFrame([(*r, 1.0) for r in rows], "doc_id long, text string, score double")
     compare(lm.score(df).collect(), brute(rows))
+
+
+@pytest.mark.parametrize("held", [3, 40])
+def test_counted_words_that_are_not_held_keep_their_own_counts(spark, data, held):
+    whole = spark.read.parquet(f"{data}/documents.parquet")
+    docs = whole.where("doc_id < 40").union(whole.where("doc_id >= 40 and doc_id < 80"))  # flushes of a second task have large numbers
+    rows = [(r.doc_id, r.text) for r in docs.collect()]
+    got = lm.score(docs, sizes=lm.Sizes(held=held, shard=3000, flush=900), rare="counted").collect()
+    compare(got, brute(rows))  # as where every word is held
