@@ -48,4 +48,8 @@ def reached_sql(name: str) -> str:
 
 
 def run_sql(spark: SparkSession, statement: str) -> DataFrame:
+    """The statement's rows; recursion ends where no row is left, not at the session's limits of rows and levels, which
+    are read when the rows are asked for."""
+    for limit in ("Row", "Level"):
+        spark.conf.set(f"spark.sql.cteRecursion{limit}Limit", "-1")
     return spark.sql(statement).select("id", F.col("value"))
