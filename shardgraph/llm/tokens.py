@@ -8,7 +8,9 @@ from array import array
 from itertools import islice
 
 #: Words that a worker remembers at most.
-REMEMBERED = 200_000
+REMEMBERED = 400_000
+#: ASCII marks; a run of them behind letters is a pre-token of its own. An apostrophe may begin one with letters.
+MARKS = "".join(chr(k) for k in range(33, 127) if not chr(k).isalnum() and chr(k) != "'")
 
 
 def byte_letters() -> dict[int, str]:
@@ -48,6 +50,8 @@ class WordIds(dict):
             return (low != word and self.get(low)) or array("I", [t.id for t in self.model.tokenize(low.encode().decode("latin-1").translate(self.letters))]).tobytes()
         if word[-1:] in (".", ",") and "A" <= word[-2:-1] <= "ɏ" and word[-2].isalpha():  # a letter and a mark never share a token
             return self[word[:-1]] + self[word[-1]]
+        if (head := word.rstrip(MARKS)) != word and "A" <= head[-1:] <= "ɏ" and head.isalpha():
+            return self[head] + self[word[len(head) :]]
         return array("I", self.tokenizer.encode(word, add_special_tokens=False).ids).tobytes()
 
     def __missing__(self, word: str) -> bytes:

@@ -84,3 +84,13 @@ def test_pack_edge_rows(spark):
     out = packing.pack(spark.createDataFrame(rows, DOCS), window=64).collect()
     assert check([(r[0], r[1]) for r in rows], out, 64) == 0
     assert packing.pack(spark.createDataFrame([], DOCS)).count() == 0
+
+
+def test_words_with_trailing_marks_need_no_whole_encoding(monkeypatch):
+    words, tok = WordIds(default_vocabulary()), Tokenizer.from_file(default_vocabulary())
+    some = [h + m for h in ("abc", "Éa", "x", "ß", "don") for m in ("$$$", "...", "!?", ".%%%", "`", ")(", "\\", "'s", "'", '"\'s')]
+    assert [words.look_up(w) for w in some] == [np.array(tok.encode(w, add_special_tokens=False).ids, "<u4").tobytes() for w in some]
+    for m in ("$$$", ",***"):
+        words[m]
+    words.tokenizer = None
+    assert words.look_up("heat$$$") + words.look_up("Rain,***")
