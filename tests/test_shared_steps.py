@@ -17,6 +17,15 @@ def prepared(monkeypatch):
     return seen
 
 
+def test_preprocessing_prepares_once(spark, data, prepared):
+    rows = {r.model: r.seconds for r in experiments.preprocessing(spark, data, ("event_chain",)).collect()}
+    assert len(prepared) == 1
+    spent = prepared[0][1]["spent"]
+    assert set(spent) == {"shards", "csr", "mirror", "filters"} and all(x > 0 for x in spent.values())
+    assert rows["pull_window"] == pytest.approx(sum(spent.values())) and rows["psw"] > spent["shards"] + spent["mirror"]
+    assert set(rows) == {"pull_window", "psw", "esg", "vsp", "dsw"} and all(rows[m] > spent["shards"] for m in ("esg", "vsp", "dsw"))
+
+
 def test_in_memory_prepares_each_direction_once(spark, data, prepared):
     rows = experiments.in_memory(spark, data, rounds=(3, 2, 2)).collect()
     assert [n for n, _ in prepared] == ["part_next", "part_next_sym"]
