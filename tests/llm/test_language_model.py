@@ -1,4 +1,5 @@
 import math
+import tracemalloc
 import zlib
 from collections import Counter
 
@@ -149,3 +150,24 @@ def test_counted_words_that_are_not_held_keep_their_own_counts(spark, data, held
     rows = [(r.doc_id, r.text) for r in docs.collect()]
     got = lm.score(docs, sizes=lm.Sizes(held=held, shard=3000, flush=900), rare="counted").collect()
     compare(got, brute(rows))  # as where every word is held
+
+
+def test_a_shard_is_built_and_asked_in_little_memory():
+    """What a worker takes at once beside its input, for each triple; executors run several workers."""
+    rng = np.random.default_rng(3)
+    n, words = 1_000_000, 200_000
+    t = np.unique(np.stack([rng.integers(0, words, n), rng.integers(0, words, n), rng.integers(0, words, n)], 1), axis=0)
+    codes, count = np.arange(words) * 7919, np.ones(len(t))
+    unit, u, w = (np.ascontiguousarray(x) for x in t.T)
+    asked = (unit, u, w)
+    peaks = []
+    trie = None
+    for step in (lambda: lm.Shard.build(codes, unit, u, w, count), lambda: trie.parts(*asked)):
+        tracemalloc.start()
+        got = step()
+        peaks.append(tracemalloc.get_traced_memory()[1] / len(t))
+        tracemalloc.stop()
+        trie = trie or got
+    assert peaks[0] < 100 and peaks[1] < 100, peaks  # 130 and 178 before
+    for a, b in zip(trie.parts(*(x[:1000] for x in asked)), got, strict=True):  # few questions, by successor search
+        assert (a == b[:1000]).all()
